@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from gridhub.plans.staging import stage
 
 #: Hex digits of the seeded order that name a bucket of documents.
-BUCKET_DIGITS = 4
+BUCKET_DIGITS = 3
 
 
 def word_count(text: Column) -> Column:

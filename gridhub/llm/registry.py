@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from gridhub.llm import chat, exact, mixing, simhash
+from gridhub.llm import chat, exact, mixing, packing, simhash, tokens
 
 QUERIES = {
     "op1_chat_format": chat.op1_chat_format,
     "op2_simhash_groups": simhash.op2_simhash_groups,
     "op4_source_mixing": mixing.op4_source_mixing,
+    "op6_packing": packing.op6_packing,
+    "op7_token_counts": tokens.op7_token_counts,
     "op8_exact_dedup": exact.op8_exact_dedup,
 }
 
