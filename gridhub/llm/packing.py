@@ -22,7 +22,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gridhub.llm.arrow import column, filled, text_slices
+from gridhub.llm.arrow import SLICE_BYTES, column, filled, text_slices
 from gridhub.llm.tokens import slice_ids, word_tokenizer
 from gridhub.plans.staging import stage
 
@@ -36,7 +36,7 @@ END_ID = 2
 def _encode_documents(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         block, sent = TaskContext.get().partitionId(), {}
-        for part in text_slices(batches):
+        for part in text_slices(batches, limit=2 * SLICE_BYTES):
             offsets, ids = slice_ids(filled(part), path)
             small = ids.astype("<u2") if not len(ids) or ids.max() < 65536 else ids.astype("<u4")
             wide = small.itemsize

@@ -1,0 +1,104 @@
+"""Texts as symbol n-grams over one small alphabet, counted over whole corpora.
+
+Every code point becomes one of 32 symbols: a letter without its case, a digit, white
+space, a sentence mark, another ASCII sign, or a non-ASCII character; the last symbol pads
+the start of a text.  An n-gram of order 4 is then a number below 2^20, so dense tables of
+counts or losses have a size that no corpus can change, and may be broadcast.
+"""
+
+from __future__ import annotations
+
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from gridhub.llm.arrow import SLICE_BYTES, column, filled, text_slices
+
+ORDER, BITS = 4, 5
+SYMBOLS = 1 << BITS
+CELLS = 1 << (BITS * ORDER)
+DIGIT, SPACE, MARK, SIGN, OTHER, START = 26, 27, 28, 29, 30, 31
+
+
+def _byte_table() -> np.ndarray:
+    """Symbol of each UTF-8 byte; continuation bytes carry 255 and are left out."""
+    table = np.full(256, SIGN, np.uint8)
+    for i in range(26):
+        table[[65 + i, 97 + i]] = i
+    table[48:58] = DIGIT
+    table[[9, 10, 11, 12, 13, 32]] = SPACE
+    table[[ord(c) for c in ".,;:!?"]] = MARK
+    table[128:192] = 255
+    table[192:] = OTHER
+    return table
+
+
+_TABLE = _byte_table()
+
+
+def slice_grams(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(offsets per text, n-gram code at every symbol) for an array of non-null texts."""
+    data = [t.encode("utf-8", "surrogatepass") for t in texts.to_pylist()]
+    sizes = np.fromiter(map(len, data), np.int64, len(data))
+    raw = _TABLE[np.frombuffer(b"".join(data), np.uint8)]
+    kept = raw != 255
+    offsets = np.r_[0, np.cumsum(kept)][np.r_[0, np.cumsum(sizes)]]
+    symbols = raw[kept].astype(np.int32)
+    lengths = np.diff(offsets)
+    codes = symbols.copy()
+    for back in range(1, ORDER):
+        earlier = np.full(len(symbols), START, np.int32)
+        earlier[back:] = symbols[:-back] if back else symbols
+        for first in range(back):  # symbols too near to the start of their text
+            short = offsets[:-1][lengths > first] + first
+            earlier[short] = START
+        codes |= earlier << (BITS * back)
+    return offsets, codes
+
+
+def gram_counts(docs: DataFrame) -> DataFrame:
+    """``gram, n`` over whole texts, added up inside each task before the exchange."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros(CELLS, np.int64)
+        for part in text_slices(batches):
+            held += np.bincount(slice_grams(filled(part))[1], minlength=CELLS)
+        full = np.flatnonzero(held)
+        yield pa.RecordBatch.from_pydict({"gram": pa.array(full.astype(np.int32)), "n": pa.array(held[full])})
+
+    return docs.select("text").mapInArrow(run, "gram int, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+
+
+def dense(rows: DataFrame, key: str, value: str, size: int, fill: float = 0.0) -> np.ndarray:
+    """A column of at most ``size`` keyed rows as an array; the bound is the alphabet's."""
+    table = rows.select(key, value).toArrow()
+    out = np.full(size, fill)
+    out[table[key].to_numpy()] = table[value].to_numpy()
+    return out
+
+
+def score_grams(docs: DataFrame, tables: dict[str, np.ndarray], carry: tuple[str, ...] = ()) -> DataFrame:
+    """Mean of each table's value over the n-grams of every whole text.
+
+    Returns ``doc_id``, the carried columns, ``n_symbols`` and one double per table, null
+    for a text without symbols.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast({k: v.astype(np.float32) for k, v in tables.items()})
+    kinds = dict(docs.dtypes)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in text_slices(batches, limit=SLICE_BYTES):
+            offsets, codes = slice_grams(filled(part))
+            many = np.diff(offsets)
+            out = {"doc_id": column(part, "doc_id")} | {c: column(part, c) for c in carry} | {"n_symbols": pa.array(many)}
+            for name, table in sent.value.items():
+                run_sum = np.r_[0.0, np.cumsum(table[codes], dtype=np.float64)]
+                mean = (run_sum[offsets[1:]] - run_sum[offsets[:-1]]) / np.maximum(many, 1)
+                out[name] = pa.array(np.round(mean, 6), mask=many == 0)
+            yield pa.RecordBatch.from_pydict(out)
+
+    schema = ", ".join(["doc_id long", *(f"`{c}` {kinds[c]}" for c in carry), "n_symbols long", *(f"`{t}` double" for t in tables)])
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), *carry, "text").mapInArrow(run, schema)

@@ -55,6 +55,10 @@ def _encode(path: str, texts: list[str]) -> list[list[int]]:
     return [e.ids for e in _library(path).encode_batch_fast(texts, add_special_tokens=False)]
 
 
+def _strings(array: pa.Array) -> list[str]:
+    return array.to_numpy(zero_copy_only=False).tolist()
+
+
 def _encode_chunks(path: str, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """(ids, number of the chunk each belongs to) for chunks without white space.
 
@@ -80,14 +84,9 @@ def _normal_chunks(unique: pa.Array) -> tuple[list[str], list[str]]:
     """
     body = pc.ascii_rtrim(unique, ".,;:!?")
     safe = pc.and_(pc.match_substring_regex(body, "[A-Za-z0-9À-ÖØ-öø-ſ]$"), pc.invert(pc.match_substring(unique, "<|")))
-    bodies = pc.if_else(safe, pc.ascii_lower(body), unique)
-    cut = pc.binary_length(body).to_numpy(zero_copy_only=False)
-    long_tail = (pc.binary_length(unique).to_numpy(zero_copy_only=False) > cut) & safe.to_numpy(zero_copy_only=False)
-    tails = [""] * len(unique)
-    for i in np.flatnonzero(long_tail).tolist():
-        whole = unique[i].as_py()
-        tails[i] = whole[len(whole.rstrip(".,;:!?")) :]
-    return bodies.to_pylist(), tails
+    kept = pc.if_else(safe, body, unique)
+    tails = [w[n:] for w, n in zip(_strings(unique), pc.utf8_length(kept).to_numpy(zero_copy_only=False).tolist())]
+    return _strings(pc.if_else(safe, pc.ascii_lower(kept), kept)), tails
 
 
 class _Memo:
@@ -133,8 +132,8 @@ def slice_ids(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:
     which = coded.indices.to_numpy(zero_copy_only=False)
     many = sizes[which]
     ends = np.r_[0, np.cumsum(many)]
-    at = np.repeat(starts[which] - ends[:-1], many)
-    at += np.arange(len(at))
+    at = np.repeat((starts[which] - ends[:-1]).astype(np.int32), many)  # a slice is far below 2^31
+    at += np.arange(len(at), dtype=np.int32)
     return ends[bounds], flat[at]
 
 
@@ -223,52 +222,88 @@ def long_chunk_counts(chunk: str, path: str) -> np.ndarray:
     return out
 
 
-@lru_cache(4)
-def _prefix_memo(path: str) -> _Memo:
-    def lengths(texts: list[str]) -> list[int]:
-        return np.bincount(_encode_chunks(path, texts)[1], minlength=len(texts)).tolist()
+class PrefixMemo:
+    """Token counts of all prefixes of short chunks, one byte each, as a bounded trie.
 
-    heads = _Memo(lengths, 2 * MEMO)
+    A chunk walks back to its longest known prefix; only what lies beyond is encoded, and
+    a prefix's counts are those of its parent and one more.  Two generations, as above.
+    """
 
-    def make(chunks: list[str]) -> list[bytes]:
-        short = [c for c in chunks if len(c) <= SHORT]
-        prefixes = list(dict.fromkeys(c[:n] for c in short for n in range(1, len(c) + 1)))
-        count = dict(zip(prefixes, heads.get(prefixes)))
-        flat = np.fromiter((count[c[:n]] for c in short for n in range(1, len(c) + 1)), "<i4").tobytes()
-        ends = iter(np.cumsum([0] + [4 * len(c) for c in short]).tolist())
-        start, out = next(ends), []
+    def __init__(self, path: str, limit: int = 2 * MEMO):
+        self.path, self.limit, self.young, self.old = path, limit, {}, {}
+
+    def get(self, chunks: list[str]) -> list[bytes]:
+        if len(self.young) + len(chunks) > self.limit:
+            self.young, self.old = {}, self.young
+        young, old, lacking = self.young, self.old, {}
         for c in chunks:
-            if len(c) <= SHORT:
-                end = next(ends)
-                out.append(flat[start:end])
-                start = end
-            else:
-                out.append(long_chunk_counts(c, path).astype("<i4").tobytes())
-        return out
+            if c in young:
+                continue
+            head = c
+            while head and head not in young and head not in lacking:
+                if head in old:
+                    young[head] = old[head]
+                    break
+                lacking[head] = None
+                head = head[:-1]
+        heads = sorted(lacking, key=len)
+        if heads:
+            counts = np.bincount(_encode_chunks(self.path, heads)[1], minlength=len(heads)).astype(np.uint8).tobytes()
+            for i, head in enumerate(heads):
+                young[head] = (young[head[:-1]] if len(head) > 1 else b"") + counts[i : i + 1]
+        young[""] = b""
+        return [young[c] for c in chunks]
 
-    return _Memo(make, MEMO // 2)
+
+@lru_cache(2)
+def _prefix_memo(path: str) -> PrefixMemo:
+    return PrefixMemo(path)
+
+
+@lru_cache(2)
+def _long_memo(path: str) -> _Memo:
+    return _Memo(lambda chunks: [long_chunk_counts(c, path) for c in chunks], 2_000)
+
+
+def _chunk_tables(unique: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:
+    """(code points per distinct chunk, counts of all their prefixes, one after the other)."""
+    bodies, tails = _normal_chunks(unique)
+    memo = _prefix_memo(path)
+    marks = sorted(set(tails) - {""})
+    closing = dict(zip(marks, memo.get([m[:SHORT] for m in marks])))
+    brief = memo.get([b if len(b) <= SHORT else "" for b in bodies] if any(len(b) > SHORT for b in bodies) else bodies)
+    out = []
+    for body, tail, known in zip(bodies, tails, brief):
+        if len(body) > SHORT or len(tail) > SHORT:
+            table = _long_memo(path).get([body])[0]
+            if tail:
+                table = np.concatenate([table, _long_memo(path).get([tail])[0] + table[-1]])
+            out.append(table.astype("<i4").tobytes())
+        elif tail:
+            last = known[-1]
+            out.append(known + bytes([last + x for x in closing[tail]]))
+        else:
+            out.append(known)
+    wide = [isinstance(x, bytes) and (len(b) > SHORT or len(t) > SHORT) for x, b, t in zip(out, bodies, tails)]
+    sizes = np.fromiter(map(len, out), np.int64, len(out))
+    if not any(wide):
+        return sizes, np.frombuffer(b"".join(out), np.uint8).astype(np.int32)
+    parts = [np.frombuffer(x, "<i4") if w else np.frombuffer(x, np.uint8) for x, w in zip(out, wide)]
+    return np.array([len(x) for x in parts], np.int64), np.concatenate(parts).astype(np.int32)
 
 
 def slice_prefix_counts(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:
     """(code point offsets per text, tokens of the text up to and with each code point)."""
     bounds, words = word_lists(texts)
     coded = words.dictionary_encode()
-    bodies, tails = _normal_chunks(coded.dictionary)
-    memo = _prefix_memo(path)
-    known, ends = memo.get(bodies), sorted(set(tails) - {""})
-    closing = {t: np.frombuffer(c, "<i4") for t, c in zip(ends, memo.get(ends))}
-    for i, t in enumerate(tails):
-        if t:
-            known[i] += (closing[t] + np.frombuffer(known[i], "<i4")[-1]).astype("<i4").tobytes()
-    sizes = np.fromiter(map(len, known), np.int64, len(known)) // 4
-    flat = np.frombuffer(b"".join(known), "<i4")
+    sizes, flat = _chunk_tables(coded.dictionary, path)
     starts = np.cumsum(sizes) - sizes
-    totals = flat[starts + sizes - 1].astype(np.int64) if len(known) else np.zeros(0, np.int64)
+    totals = flat[starts + sizes - 1].astype(np.int64)
     which = coded.indices.to_numpy(zero_copy_only=False)
     many = sizes[which]
     ends = np.cumsum(many)
-    at = np.repeat(starts[which] - (ends - many), many)
-    at += np.arange(len(at))
+    at = np.repeat((starts[which] - (ends - many)).astype(np.int32), many)
+    at += np.arange(len(at), dtype=np.int32)
     done = np.r_[0, np.cumsum(totals[which])]  # tokens before each chunk of the slice
     open_chunk = flat[at] + np.repeat(done[:-1], many)
 
