@@ -29,6 +29,8 @@ from gridhub.plans.staging import stage
 SEQUENCE = 4096
 #: Sequences in one window of the round-robin.
 WINDOW = 64
+#: Rows of (block, source) offsets that are broadcast, a few MB.
+BROADCAST_ROWS = 100_000
 #: Fixed value: the id that closes a document.
 END_ID = 2
 
@@ -40,9 +42,9 @@ def _encode_documents(path: str, end_id: int):
             offsets, ids = slice_ids(filled(part), path)
             small = ids.astype("<u2") if not len(ids) or ids.max() < 65536 else ids.astype("<u4")
             wide = small.itemsize
-            end = np.array([end_id], small.dtype).tobytes()
-            data = small.tobytes()
-            coded = [data[a * wide : b * wide] + end for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist())]
+            closed = np.insert(small, offsets[1:], end_id)  # the end id after each document
+            ends = (offsets + np.arange(len(offsets))) * wide
+            coded = pa.LargeBinaryArray.from_buffers(pa.large_binary(), part.num_rows, [None, pa.py_buffer(ends), pa.py_buffer(closed)]).cast(pa.binary())
             counts = (np.diff(offsets) + 1).tolist()
             starts = []
             for s, n in zip(column(part, "source").to_pylist(), counts):
@@ -51,7 +53,7 @@ def _encode_documents(path: str, end_id: int):
                 sent[s] = at + n
             yield pa.RecordBatch.from_pydict({
                 "block": pa.array([block] * part.num_rows, pa.int32()), "doc_id": column(part, "doc_id"), "source": column(part, "source"),
-                "n": pa.array(counts, pa.int64()), "at": pa.array(starts, pa.int64()), "wide": pa.array([wide] * part.num_rows, pa.int32()), "ids": pa.array(coded, pa.binary()),
+                "n": pa.array(counts, pa.int64()), "at": pa.array(starts, pa.int64()), "wide": pa.array([wide] * part.num_rows, pa.int32()), "ids": coded,
             })
 
     return run
@@ -180,7 +182,7 @@ def pack(docs: DataFrame, weights: dict | None = None, path: str | None = None,
 
     held = coded.groupBy("source", "block").agg(F.sum("n").alias("held"))
     before = F.coalesce(F.sum("held").over(Window.partitionBy("source").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    bases = held.select("source", "block", before.alias("base"))
+    bases = held.select(F.col("source").alias("s"), F.col("block").alias("b"), before.alias("base"))
     # one row per source comes to the driver, as for any list of sources
     totals = sorted(((r["source"], int(r["n"])) for r in coded.groupBy("source").agg(F.sum("n").alias("n")).collect()), key=lambda x: (x[0] is None, x[0] or ""))
     number = {s: i for i, (s, _) in enumerate(totals)}
@@ -200,7 +202,7 @@ def pack(docs: DataFrame, weights: dict | None = None, path: str | None = None,
             kind = {k: pa.array(v, pa.binary() if k == "ids" else pa.int64()) for k, v in rows.items() if keep_ids or k != "ids"}
             yield pa.RecordBatch.from_pydict(kind)
 
-    joined = coded.join(bases.withColumnRenamed("source", "s").withColumnRenamed("block", "b"), (F.col("block") == F.col("b")) & F.col("source").eqNullSafe(F.col("s"))).drop("b", "s")
+    joined = coded.join(bases, (F.col("block") == F.col("b")) & F.col("source").eqNullSafe(F.col("s"))).drop("b", "s")
     out = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long" + ", ids binary" * keep_ids
     return joined.mapInArrow(cut, out)
 

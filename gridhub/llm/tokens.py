@@ -101,8 +101,10 @@ class _Memo:
         young, old = self.young, self.old
         lacking = [k for k in keys if k not in young]
         if lacking:
-            young.update((k, old[k]) for k in lacking if k in old)
-            lacking = [k for k in dict.fromkeys(lacking) if k not in young]
+            if old:
+                young.update((k, old[k]) for k in lacking if k in old)
+                lacking = [k for k in lacking if k not in young]
+            lacking = list(dict.fromkeys(lacking))
             young.update(zip(lacking, self.make(lacking)))
         return [young[k] for k in keys]
 
@@ -114,7 +116,7 @@ def _id_memo(path: str) -> _Memo:
         data, ends = ids.astype("<u4").tobytes(), (4 * np.searchsorted(owners, np.arange(len(chunks) + 1))).tolist()
         return [data[a:b] for a, b in zip(ends, ends[1:])]
 
-    return _Memo(make)
+    return _Memo(make, 2 * MEMO)
 
 
 def slice_ids(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:
