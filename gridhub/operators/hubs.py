@@ -105,7 +105,7 @@ def usage_profile(found: DataFrame, by: tuple[str, ...] = ("hour", "weekday"), s
 def usage_pivot(found: DataFrame, by: str = "weekday") -> DataFrame:
     """One row per hub, one column per weekday."""
     roots = [c for c in found.columns if c.startswith("r_")]
-    return found.withColumn("weekday", F.dayofweek("arrive")).groupBy(*roots).pivot("weekday", list(range(1, 8))).agg(F.count("*"))
+    return found.withColumn("weekday", F.dayofweek("arrive")).groupBy(*roots).pivot("weekday", list(range(1, 8))).agg(F.count(F.lit(1)))
 
 
 def reduction(points: DataFrame, clusters: DataFrame) -> DataFrame:

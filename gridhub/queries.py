@@ -39,7 +39,7 @@ _HALF = "(3500 + ((l_suppkey * 31) % 5) * 500)"
 _LON = f"((l_suppkey % 40) * 100000 + 50000 + ((l_suppkey * 7919) % 97) * 200 + ((((l_orderkey * 1103515245 + l_partkey * 12345 + l_linenumber * 7919) % 2003) - 1001) * {_HALF}) // 1000)::BIGINT"
 _LAT = f"((l_suppkey // 40) * 100000 + 50000 + ((l_suppkey * 104729) % 89) * 200 + ((((l_orderkey * 69069 + l_partkey * 362437 + l_linenumber * 104729) % 2011) - 1005) * {_HALF}) // 1000)::BIGINT"
 _HUBS = f"pts AS (SELECT l_suppkey AS hub, {_LON} AS lon_e7, {_LAT} AS lat_e7 FROM lineitem)"
-_TRIPS = f"trips AS (SELECT l_suppkey AS hub, o_custkey AS vehicle, l_shipdate::TIMESTAMP AS at, {_LON} AS lon_e7, {_LAT} AS lat_e7 FROM lineitem JOIN orders ON l_orderkey = o_orderkey)"
+_TRIPS = f"trips AS (SELECT l_suppkey AS hub, o_custkey AS vehicle, l_shipdate::TIMESTAMP AS tm, {_LON} AS lon_e7, {_LAT} AS lat_e7 FROM lineitem JOIN orders ON l_orderkey = o_orderkey)"
 _NOISE = "noise AS (SELECT -1::BIGINT AS hub, ((o_orderkey * 1103515245 + o_custkey * 12345) % 4000037)::BIGINT AS lon_e7, ((o_orderkey * 69069 + o_custkey * 362437) % (((SELECT max(l_suppkey) FROM lineitem) // 40 + 1) * 100000))::BIGINT AS lat_e7 FROM orders)"
 
 
@@ -324,10 +324,10 @@ def _visits(s: SparkSession, d: str) -> DataFrame:
 
 _VISITS = (
     _TRIP_ROWS
-    + """, marked AS (SELECT *, CASE WHEN lag(r_tx) OVER w = r_tx AND lag(r_ty) OVER w = r_ty AND at <= lag(at) OVER w + INTERVAL 30 DAY THEN 0 ELSE 1 END AS opens
-FROM met WINDOW w AS (PARTITION BY vehicle ORDER BY at, r_tx, r_ty, lon_e7, lat_e7)),
-numbered AS (SELECT *, sum(opens) OVER (PARTITION BY vehicle ORDER BY at, r_tx, r_ty, lon_e7, lat_e7 ROWS UNBOUNDED PRECEDING)::BIGINT AS visit FROM marked),
-visits AS (SELECT vehicle, visit, r_tx, r_ty, min(at) AS arrive, max(at) AS leave, count(*)::BIGINT AS rows FROM numbered GROUP BY ALL)"""
+    + """, marked AS (SELECT *, CASE WHEN lag(r_tx) OVER w = r_tx AND lag(r_ty) OVER w = r_ty AND tm <= lag(tm) OVER w + INTERVAL 30 DAY THEN 0 ELSE 1 END AS opens
+FROM met WINDOW w AS (PARTITION BY vehicle ORDER BY tm, r_tx, r_ty, lon_e7, lat_e7)),
+numbered AS (SELECT *, sum(opens) OVER (PARTITION BY vehicle ORDER BY tm, r_tx, r_ty, lon_e7, lat_e7 ROWS UNBOUNDED PRECEDING)::BIGINT AS visit FROM marked),
+visits AS (SELECT vehicle, visit, r_tx, r_ty, min(tm) AS arrive, max(tm) AS leave, count(*)::BIGINT AS rows FROM numbered GROUP BY ALL)"""
 )
 _SECONDS = "epoch({0})::BIGINT"
 _add("visits", lambda s, d: _visits(s, d).select("vehicle", "visit", "r_tx", "r_ty", F.unix_timestamp("arrive").alias("arrive_s"), F.unix_timestamp("leave").alias("leave_s"), "rows"), _VISITS + f" SELECT vehicle, visit, r_tx, r_ty, {_SECONDS.format('arrive')} AS arrive_s, {_SECONDS.format('leave')} AS leave_s, rows FROM visits")
@@ -357,12 +357,12 @@ def _orders_as_events(s: SparkSession, d: str) -> DataFrame:
 _add(
     "asof_visit",
     lambda s, d: H.as_of_visit(_orders_as_events(s, d), stage(_visits(s, d), "visits")).where("visit is not null").groupBy("vehicle", "visit", "r_tx", "r_ty").agg(F.count("*").alias("events")),
-    _VISITS + ", ev AS (SELECT o_custkey AS vehicle, o_orderdate::TIMESTAMP AS at FROM orders), best AS (SELECT e.vehicle, e.at, v.visit, v.r_tx, v.r_ty FROM ev e ASOF JOIN (SELECT * FROM visits QUALIFY row_number() OVER (PARTITION BY vehicle, arrive ORDER BY visit DESC) = 1) v ON e.vehicle = v.vehicle AND e.at >= v.arrive) SELECT vehicle, visit, r_tx, r_ty, count(*)::BIGINT AS events FROM best GROUP BY ALL",
+    _VISITS + ", ev AS (SELECT o_custkey AS vehicle, o_orderdate::TIMESTAMP AS tm FROM orders), best AS (SELECT e.vehicle, e.tm, v.visit, v.r_tx, v.r_ty FROM ev e ASOF JOIN (SELECT * FROM visits QUALIFY row_number() OVER (PARTITION BY vehicle, arrive ORDER BY visit DESC) = 1) v ON e.vehicle = v.vehicle AND e.tm >= v.arrive) SELECT vehicle, visit, r_tx, r_ty, count(*)::BIGINT AS events FROM best GROUP BY ALL",
 )
 _add(
     "interval_events",
     lambda s, d: H.events_in_visits(_orders_as_events(s, d), stage(_visits(s, d), "visits")).groupBy("vehicle", "visit").agg(F.count("*").alias("events")),
-    _VISITS + ", ev AS (SELECT o_custkey AS vehicle, o_orderdate::TIMESTAMP AS at FROM orders) SELECT v.vehicle, v.visit, count(*)::BIGINT AS events FROM ev e JOIN visits v ON e.vehicle = v.vehicle AND e.at BETWEEN v.arrive AND v.leave GROUP BY ALL",
+    _VISITS + ", ev AS (SELECT o_custkey AS vehicle, o_orderdate::TIMESTAMP AS tm FROM orders) SELECT v.vehicle, v.visit, count(*)::BIGINT AS events FROM ev e JOIN visits v ON e.vehicle = v.vehicle AND e.tm BETWEEN v.arrive AND v.leave GROUP BY ALL",
 )
 _add("top_tiles", lambda s, d: H.top_tiles(_clusters(s, d), 2).select("r_tx", "r_ty", "tx", "ty", "n", "place"), _base_sql() + " SELECT r_tx, r_ty, tx, ty, n, row_number() OVER (PARTITION BY r_tx, r_ty ORDER BY n DESC, tx, ty)::INTEGER AS place FROM clusters QUALIFY place <= 2")
 
@@ -421,7 +421,7 @@ _add(
     lambda s, d: M.silhouette_fast(_numbered(s, d), ("x", "y"), "label").select(F.round("silhouette", 4).alias("silhouette"), "points"),
     _LAB + ", st AS (SELECT label AS k, count(*) AS m, sum(x) AS sx, sum(y) AS sy, sum(x * x + y * y) AS q FROM l GROUP BY 1), d AS (SELECT l.label, x, y, k, m, greatest(x * x + y * y + q / m - 2 * (x * sx + y * sy) / m, 0) AS d FROM (SELECT DISTINCT label, x, y FROM l) l, st), ab AS (SELECT label, x, y, max(d * m / (m - 1)) FILTER (WHERE k = label AND m > 1) AS a, min(d) FILTER (WHERE k <> label) AS b FROM d GROUP BY 1, 2, 3) SELECT round(sum(CASE WHEN a IS NULL OR b IS NULL OR greatest(a, b) = 0 THEN 0 ELSE (b - a) / greatest(a, b) END) / count(*), 4) AS silhouette, count(*)::BIGINT AS points FROM l JOIN ab USING (label, x, y)",
 )
-_add("silhouette_capped", lambda s, d: M.silhouette(_numbered(s, d), ("x", "y"), "label", 20))
+_add("silhouette_capped", lambda s, d: M.silhouette(_numbered(s, d), ("x", "y"), "label", 4))
 _add(
     "pair_scores",
     lambda s, d: M.pair_scores(_numbered(s, d), "hub", "label"),
