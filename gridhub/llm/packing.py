@@ -182,7 +182,9 @@ def pack(docs: DataFrame, weights: dict | None = None, path: str | None = None,
 
     held = coded.groupBy("source", "block").agg(F.sum("n").alias("held"))
     before = F.coalesce(F.sum("held").over(Window.partitionBy("source").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    bases = held.select(F.col("source").alias("s"), F.col("block").alias("b"), before.alias("base"))
+    bases = stage(held.select(F.col("source").alias("s"), F.col("block").alias("b"), before.alias("base")), "base")
+    if bases.count() <= BROADCAST_ROWS:  # beyond it, an equi-join on block and source
+        bases = F.broadcast(bases)
     # one row per source comes to the driver, as for any list of sources
     totals = sorted(((r["source"], int(r["n"])) for r in coded.groupBy("source").agg(F.sum("n").alias("n")).collect()), key=lambda x: (x[0] is None, x[0] or ""))
     number = {s: i for i, (s, _) in enumerate(totals)}
