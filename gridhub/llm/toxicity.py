@@ -41,7 +41,7 @@ def _grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
         mine = {data} | {data[i : i + n] for n in GRAMS for i in range(len(data) - n + 1)}
         rows += [zlib.crc32(g.encode("utf-8", "surrogatepass")) % BUCKETS for g in sorted(mine)]
         sizes.append(len(mine))
-    return np.r_[0, np.cumsum(sizes)].astype(np.int64), np.array(rows, np.int64)
+    return np.r_[0, np.cumsum(sizes)].astype(np.int64), np.array(rows, np.int32)
 
 
 def _words(texts: pa.Array) -> tuple[np.ndarray, pa.Array]:
@@ -91,22 +91,27 @@ def fit(texts: list[str], labels: np.ndarray, prior: float | None = None, epochs
     weight = np.where(labels == 1, prior / labels.mean(), (1 - prior) / (1 - labels.mean()))
     docs = np.flatnonzero(np.diff(bounds) > 0)
 
-    def bag(d: int) -> tuple[np.ndarray, np.ndarray]:
-        """Table rows of a document and the weight of each in its average."""
+    def counted(d: int) -> tuple[np.ndarray, np.ndarray]:
         words, many = np.unique(which[bounds[d] : bounds[d + 1]], return_counts=True)
-        many, lens = many**DAMPING, g_len[words]
+        return words.astype(np.int32), many.astype(np.float32) ** DAMPING
+
+    def bag(words: np.ndarray, many: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Table rows of a document and the weight of each in its average."""
+        lens = g_len[words]
         at = np.repeat(g_off[words] - np.cumsum(lens) + lens, lens) + np.arange(lens.sum())
         return g_row[at], np.repeat(many / lens / many.sum(), lens).astype(np.float32)
 
-    bags = {d: bag(d) for d in docs}
+    held = {d: counted(d) for d in docs}
+    del which, flat, coded
     for epoch in range(epochs):
         rng.shuffle(docs)
         step = rate * (1 - epoch / epochs)
         for i in range(0, len(docs), batch):
             some = docs[i : i + batch]
-            rows = np.concatenate([bags[d][0] for d in some])
-            share = np.concatenate([bags[d][1] for d in some])
-            sizes = np.array([len(bags[d][0]) for d in some])
+            bags = [bag(*held[d]) for d in some]
+            rows = np.concatenate([b[0] for b in bags])
+            share = np.concatenate([b[1] for b in bags])
+            sizes = np.array([len(b[0]) for b in bags])
             hidden = np.add.reduceat(vectors[rows] * share[:, None], np.cumsum(sizes) - sizes)
             logit = hidden @ soft + bias
             p = np.exp(logit - logit.max(1, keepdims=True))
@@ -135,14 +140,14 @@ def learnable(labels: DataFrame, folds: int = 5) -> DataFrame:
 def labelled_sample(docs: DataFrame, labels: DataFrame, folds: int = 5) -> DataFrame:
     """Bounded fit sample: rows whose id's CRC-32 is not 0 modulo ``folds``.
 
-    Documents are drawn by a hash of the id, as many of each class at most as FIT_DOCS.
-    Rows without text or label take no part.
+    Labels are drawn by a hash of the id, at most FIT_DOCS of each class; their documents
+    come by a broadcast of those ids.  Rows without text or label take no part.
     """
-    known = learnable(labels, folds)
+    known = learnable(labels, folds).withColumn("place", F.xxhash64("doc_id", F.lit(11)))
+    sides = [known.where(F.col("toxic") == c).orderBy("place", "doc_id").limit(FIT_DOCS).select("doc_id", "toxic") for c in (0, 1)]
+    drawn = F.broadcast(sides[0].unionByName(sides[1]))  # 2 * FIT_DOCS ids at most
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.octet_length("text") <= FIT_BYTES)
-    fitting = texts.join(known, "doc_id").withColumn("place", F.xxhash64("doc_id", F.lit(11)))
-    sides = [fitting.where(F.col("toxic") == c).orderBy("place", "doc_id").limit(FIT_DOCS) for c in (0, 1)]
-    return sides[0].unionByName(sides[1]).select("text", "toxic")
+    return texts.join(drawn, "doc_id").select("text", "toxic")
 
 
 def train(docs: DataFrame, labels: DataFrame) -> SubwordModel:
