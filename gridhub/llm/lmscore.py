@@ -13,7 +13,9 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from gridhub.llm.joins import with_ids
 from gridhub.llm.symbols import CELLS, SYMBOLS, dense, gram_counts, score_grams
+from gridhub.plans.staging import stage
 
 
 def losses(counts: np.ndarray) -> np.ndarray:
@@ -48,8 +50,8 @@ def cross_entropy_difference(docs: DataFrame, target: DataFrame, background: Dat
 
 def trusted_texts(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """Texts of documents labelled as of good quality."""
-    good = labels.where("quality = 1").select(F.col("doc_id").alias("good_id")).distinct()
-    return docs.select("doc_id", "text").join(good, F.col("doc_id") == F.col("good_id"), "left_semi")
+    good = stage(labels.where("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), "good")
+    return with_ids(docs.select("doc_id", "text"), good)
 
 
 def op5_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
