@@ -81,7 +81,7 @@ def judge_quality(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTIL
     """
     table = kneser_ney(gram_counts(trusted))
     scored = stage(score_grams(docs.select("doc_id", "lang", "text"), {"bits": table}, ("lang",)), "ppl")
-    held = scored.join(trusted.select(F.col("doc_id").alias("t")).distinct(), F.col("doc_id") == F.col("t"), "left_semi")
+    held = scored.join(trusted.select(F.col("doc_id").cast("long").alias("t")).distinct(), F.col("doc_id") == F.col("t"), "left_semi")
     own = language_thresholds(held, quantile)
     overall = language_thresholds(held.withColumn("lang", F.lit("")), quantile).select(F.col("threshold").alias("overall"))
     joined = scored.withColumn("lang_key", F.coalesce("lang", F.lit(""))).join(F.broadcast(own), "lang_key", "left").join(F.broadcast(overall), F.lit(True), "left")
