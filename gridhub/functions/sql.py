@@ -7,6 +7,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
+from pyspark.sql.types import DoubleType
 
 from gridhub.config import Neighborhood
 from gridhub.operators.neighbors import register_neighbors
@@ -44,7 +45,7 @@ class TileComponents:
             yield rx, ry, tx, ty, n
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def tile_entropy(weights: pd.Series) -> float:
     """A user's density function per tile, as a grouped aggregate."""
     import numpy as np

@@ -69,7 +69,7 @@ class CountStore:
 
     def _pointer(self):
         jvm = self.spark.sparkContext._jvm
-        at = jvm.org.apache.hadoop.fs.Path(f"{self.path}/_current")
+        at = jvm.org.apache.hadoop.fs.Path(f"{self.path}/CURRENT")
         return at, at.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
 
     def generation(self) -> int:
