@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridhub.llm.exact import dedup_documents
+from gridhub.llm.joins import with_ids
 from gridhub.llm.mixing import mix_copies
 from gridhub.llm.packing import pack
 from gridhub.llm.simhash import near_duplicates
@@ -15,25 +16,16 @@ from gridhub.llm.toxicity import score_texts, train
 from gridhub.plans.staging import stage
 
 
-def _keep(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """Rows of ``docs`` whose id is in ``ids``; a null id matches a null id.
-
-    An id that several rows share stays with all of them if one of them stays.
-    """
-    wanted = ids.select(F.col("doc_id").cast("long").alias("kept_id")).distinct()
-    return docs.join(wanted, F.col("doc_id").cast("long").eqNullSafe(F.col("kept_id")), "left_semi")
-
-
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rows that the toxicity model does not reject."""
     scores = stage(score_texts(docs, train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))), "tox")
-    return _keep(docs, scores.where("score < 0.5"))
+    return with_ids(docs, scores.where("score < 0.5"))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts, the row with the largest id; of rows with one id and text, one."""
     found = stage(dedup_documents(docs).select("doc_id", (F.col("row") == F.col("keep_row")).alias("kept")), "kept")
-    clean = _keep(docs, found.where("kept"))
+    clean = with_ids(docs, found.where("kept"))
     again = found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select(F.col("doc_id").alias("again"))
     if again.isEmpty():
         return clean
@@ -44,8 +36,8 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of every near-duplicate component, the document with the least id."""
-    found = near_duplicates(docs)
-    return _keep(docs, found.where("doc_id = component_id"))
+    found = stage(near_duplicates(docs), "near")
+    return with_ids(docs, found.where("doc_id <=> component_id"))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
