@@ -9,7 +9,9 @@ from pyspark.sql import functions as F
 
 from gridhub import baselines
 from gridhub.config import Grid, Neighborhood, TileParams
+from gridhub.functions import sql as Q
 from gridhub.functions.shape import covariance_ellipse, least_ellipse
+from gridhub.operators import analytics as A
 from gridhub.operators import hubs as H
 from gridhub.operators import metrics as M
 from gridhub.operators import variants as V
@@ -388,6 +390,44 @@ def _day_tiles(s: SparkSession, d: str, day: int) -> DataFrame:
 
 _add("set_ops_days", lambda s, d: _day_tiles(s, d, 3).intersect(_day_tiles(s, d, 4)).withColumn("kind", F.lit("both")).unionByName(_day_tiles(s, d, 3).exceptAll(_day_tiles(s, d, 4)).withColumn("kind", F.lit("more"))), "WITH t AS (SELECT dayofmonth(ts) AS day, floor(user_id / 10e0)::BIGINT AS tx, floor(value / 10e0)::BIGINT AS ty FROM events) SELECT *, 'both' AS kind FROM (SELECT tx, ty FROM t WHERE day = 3 INTERSECT SELECT tx, ty FROM t WHERE day = 4) UNION ALL SELECT *, 'more' FROM (SELECT tx, ty FROM t WHERE day = 3 EXCEPT ALL SELECT tx, ty FROM t WHERE day = 4)")
 
+_COUNTS4 = f"WITH {_HUBS}, {_tiles('4')}"
+
+
+def _counts4(s: SparkSession, d: str) -> DataFrame:
+    return count_tiles(hub_points(s, d), e7_grid("4"))
+
+
+_add("tau_sweep", lambda s, d: A.tau_sweep(_counts4(s, d), [1, 3, 5, 8, 12]), _COUNTS4 + " SELECT tau, count(*)::BIGINT AS tiles, sum(n)::BIGINT AS points FROM counts, (VALUES (1), (3), (5), (8), (12)) t(tau) WHERE n >= tau GROUP BY 1")
+_add("parameter_grid", lambda s, d: A.parameter_grid(s, _counts4(s, d), [5, 10], [1, 2, 3]), _COUNTS4 + ", c AS (SELECT tau, factor, floor(tx / factor)::BIGINT AS tx, floor(ty / factor)::BIGINT AS ty, sum(n) AS n FROM counts, (VALUES (5), (10)) t(tau), (VALUES (1), (2), (3)) f(factor) GROUP BY 1, 2, 3, 4 HAVING sum(n) >= tau) SELECT tau, factor, count(*)::BIGINT AS tiles, sum(n)::BIGINT AS points FROM c GROUP BY 1, 2")
+_DAILY = "SELECT datediff('day', DATE '2024-01-01', ts::DATE)::INTEGER AS day, floor(user_id / 50e0)::BIGINT AS tx, floor(value / 50e0)::BIGINT AS ty, count(*)::BIGINT AS n FROM events GROUP BY 1, 2, 3"
+_add(
+    "moving_counts",
+    lambda s, d: A.moving_counts(table(s, d, "events").select(F.datediff("ts", F.lit("2024-01-01").cast("date")).alias("day"), F.floor(F.col("user_id") / 50).alias("tx"), F.floor(F.col("value") / 50).alias("ty")).groupBy("day", "tx", "ty").agg(F.count("*").alias("n")), 7),
+    f"WITH c AS ({_DAILY}) SELECT *, (sum(n) OVER (PARTITION BY tx, ty ORDER BY day RANGE BETWEEN 6 PRECEDING AND CURRENT ROW))::BIGINT AS moving FROM c",
+)
+_add(
+    "rank_tiles",
+    lambda s, d: A.rank_tiles(_clusters(s, d)),
+    _base_sql() + " SELECT r_tx, r_ty, tx, ty, n, (rank() OVER b)::INTEGER AS rank, (dense_rank() OVER b)::INTEGER AS dense_rank, (row_number() OVER k)::INTEGER AS row_number, (ntile(4) OVER k)::INTEGER AS quarter, round(percent_rank() OVER b, 6) AS percent_rank, first_value(n) OVER k AS top, nth_value(n, 2) OVER w AS second FROM clusters WINDOW b AS (PARTITION BY r_tx, r_ty ORDER BY n DESC), k AS (PARTITION BY r_tx, r_ty ORDER BY n DESC, tx, ty), w AS (PARTITION BY r_tx, r_ty ORDER BY n DESC, tx, ty ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
+)
+_add(
+    "compare_counts",
+    lambda s, d: A.compare_counts(_counts4(s, d), count_tiles(hub_points(s, d), Grid(precision=4))),
+    _COUNTS4 + ", other AS (SELECT floor((lon_e7 / 1e7) * 10000e0)::BIGINT AS tx, floor((lat_e7 / 1e7) * 10000e0)::BIGINT AS ty, count(*)::BIGINT AS n FROM pts GROUP BY 1, 2) SELECT tx, ty, coalesce(a.n, 0) AS n_a, coalesce(b.n, 0) AS n_b FROM counts a FULL JOIN other b USING (tx, ty) WHERE coalesce(a.n, 0) <> coalesce(b.n, 0)",
+)
+_add("noise_tiles", lambda s, d: A.noise_tiles(_counts4(s, d), _clusters(s, d, "4")), _base_sql("4") + " SELECT counts.* FROM counts ANTI JOIN clusters USING (tx, ty)")
+_add("densest_tiles", lambda s, d: A.densest(_counts4(s, d), 25), _COUNTS4 + " SELECT tx, ty, n FROM counts ORDER BY n DESC, tx, ty LIMIT 25")
+_add("column_profile", lambda s, d: A.column_profile(_counts4(s, d)), _COUNTS4 + ", c AS (SELECT tx, sum(n)::BIGINT AS n, count(*)::BIGINT AS tiles FROM counts GROUP BY 1) SELECT *, (sum(n) OVER (ORDER BY tx))::BIGINT AS upto FROM c")
+_add("vehicle_sketches", lambda s, d: A.vehicle_sketches(hub_points(s, d, trips=True), ["hub"], "vehicle"))
+_add("heavy_tiles", lambda s, d: A.heavy_tiles(hub_points(s, d).select(F.floor(F.col("lon_e7") / 10000).alias("tx"), F.floor(F.col("lat_e7") / 10000).alias("ty")), ["tx", "ty"], 0.004).select("tx", "ty", "n"), f"WITH {_HUBS}, {_tiles('3')} SELECT tx, ty, n FROM counts WHERE n >= 0.004 * (SELECT count(*) FROM pts)")
+_add("by_type_and_day", lambda s, d: A.by_type_and_day(table(s, d, "events")).select("event_type", F.date_format("day", "yyyy-MM-dd").alias("day"), "level", "n"), "SELECT event_type, strftime(ts::DATE, '%Y-%m-%d') AS day, grouping(event_type, ts::DATE)::BIGINT AS level, count(*)::BIGINT AS n FROM events GROUP BY GROUPING SETS ((event_type), (ts::DATE), ())")
+_add(
+    "usage_long",
+    lambda s, d: A.long_profile(H.usage_pivot(_visits(s, d)).select("r_tx", "r_ty", *[F.coalesce(F.col(str(i)), F.lit(0)).alias(f"d{i}") for i in range(1, 8)]), ["r_tx", "r_ty"], [f"d{i}" for i in range(1, 8)]),
+    _VISITS + ", days AS (SELECT 'd' || k AS part, k FROM range(1, 8) r(k)) SELECT r_tx, r_ty, part, count(*) FILTER (WHERE dayofweek(arrive) + 1 = k)::BIGINT AS visits FROM visits, days GROUP BY 1, 2, 3",
+)
+_add("props_by_tile", lambda s, d: table(s, d, "events").select(F.floor(F.col("user_id") / 10).alias("tx"), Q.props_number(F.col("props")).alias("k")).groupBy("tx").agg(F.sum("k").alias("total"), F.max("k").alias("most")), "SELECT floor(user_id / 10e0)::BIGINT AS tx, sum((props::JSON ->> 'k')::INTEGER)::BIGINT AS total, max((props::JSON ->> 'k')::INTEGER) AS most FROM events GROUP BY 1")
+
 # ---------------------------------------------------------------- measures
 
 

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
+from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, InputPartition
 
 from gridhub.config import Grid
 from gridhub.sources.tables import table
@@ -90,8 +90,11 @@ class _HubReader(DataSourceReader):
     def __init__(self, options: dict):
         self.hubs, self.points = int(options.get("hubs", 10)), int(options.get("points", 500))
         self.parts, self.seed = int(options.get("parts", 4)), int(options.get("seed", 1))
+        self.only = None
 
     def partitions(self):
+        if self.only is not None:
+            return [_HubRange(self.only, self.only + 1)] if 0 <= self.only < self.hubs else [_HubRange(0, 0)]
         return [_HubRange(self.hubs * i // self.parts, self.hubs * (i + 1) // self.parts) for i in range(self.parts)]
 
     def read(self, partition):
@@ -107,8 +110,24 @@ class _HubReader(DataSourceReader):
             yield pa.RecordBatch.from_pydict({"hub": pa.array(np.full(self.points, hub)), "lon_e7": pa.array((hub % side) * 100_000 + 50_000 + offs[0]), "lat_e7": pa.array((hub // side) * 100_000 + 50_000 + offs[1])})
 
 
+class _PushingReader(_HubReader):
+    """Also prunes hubs; Spark refuses such a reader while its pushdown setting is off."""
+
+    def pushFilters(self, filters):
+        """Takes equality on ``hub``; needs spark.sql.python.filterPushdown.enabled."""
+        for f in filters:
+            if isinstance(f, EqualTo) and f.attribute == ("hub",) and self.only is None:
+                self.only = f.value
+            else:
+                yield f
+
+
 class HubSource(DataSource):
-    """``spark.read.format('hubgen').option('hubs', n)``: generated hubs as a source."""
+    """``spark.read.format('hubgen').option('hubs', n)``: generated hubs as a source.
+
+    With the option ``pushdown`` and spark.sql.python.filterPushdown.enabled, equality on
+    ``hub`` is answered by the source.
+    """
 
     @classmethod
     def name(cls) -> str:
@@ -118,7 +137,7 @@ class HubSource(DataSource):
         return "hub bigint, lon_e7 bigint, lat_e7 bigint"
 
     def reader(self, schema) -> DataSourceReader:
-        return _HubReader(self.options)
+        return (_PushingReader if self.options.get("pushdown") == "true" else _HubReader)(self.options)
 
 
 #: Natural point sets: table, axes as SQL over it, threshold.

@@ -129,6 +129,10 @@ def test_sources_and_sinks(spark, tmp_path):
     spark.dataSource.register(HubSource)
     made = spark.read.format("hubgen").option("hubs", 6).option("points", 20).load()
     assert made.count() == 120 and made.select("hub").distinct().count() == 6
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    again = spark.read.format("hubgen").option("hubs", 6).option("points", 20).option("pushdown", "true").load()
+    assert again.where("hub = 4").count() == 20 and again.where("hub = 9").count() == 0
+    spark.conf.unset("spark.sql.python.filterPushdown.enabled")
     counts = count_tiles(made, e7_grid("3"))
     for kind in ("parquet", "orc", "json", "csv"):
         tables.write_counts(counts, f"{tmp_path}/{kind}", kind)
