@@ -3,8 +3,8 @@
 The snapshot holds one row per distinct text.  Its digests are dealt into shards and every
 shard gets a static 3-wise binary fuse filter of 8-bit fingerprints.  A batch is first
 grouped by itself; its distinct digests then pass the filters.  What a filter turns down
-is new for certain and never meets the snapshot; the positives join the exact bucket and
-are compared by length and by the SHA-256 of the whole normalised text.
+is new for certain and never meets the snapshot; the positives join the exact bucket of
+their digest, and the bytes of both whole normalised texts are compared there.
 """
 
 from __future__ import annotations
@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridhub.llm.arrow import column, filled, text_slices
+from gridhub.llm.joins import BROADCAST_IDS
 from gridhub.plans.staging import stage
 
 #: Digests that one filter holds, about; a shard is one task's group.
@@ -109,23 +110,22 @@ class FuseFilter:
 def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     row = TaskContext.get().partitionId() << 40
     for part in text_slices(batches):
-        shas, sizes = [], []
-        for text in filled(part).to_pylist():
-            data = text.encode().lower()  # bytes.lower touches A-Z only
-            shas.append(hashlib.sha256(data).digest())
-            sizes.append(len(data))
+        normal = [t.encode().lower() for t in filled(part).to_pylist()]  # bytes.lower touches A-Z only
         n = part.num_rows
-        yield pa.RecordBatch.from_pydict({"doc_id": column(part, "doc_id"), "row": pa.array(np.arange(row, row + n)), "sha": pa.array(shas, pa.binary()), "bytes": pa.array(sizes, pa.int64())})
+        yield pa.RecordBatch.from_pydict({
+            "doc_id": column(part, "doc_id"), "row": pa.array(np.arange(row, row + n)), "sha": pa.array([hashlib.sha256(t).digest() for t in normal], pa.binary()),
+            "bytes": pa.array([len(t) for t in normal], pa.int64()), "normal": pa.array(normal, pa.binary()),
+        })
         row += n
 
 
 def text_digests(docs: DataFrame) -> DataFrame:
-    """``doc_id, row, sha, bytes`` of the whole text with A-Z lower-cased; null is empty.
+    """``doc_id, row, sha, bytes, normal``: the whole text with A-Z lower-cased; null is empty.
 
     ``row`` numbers the input rows, so that repeated rows stay apart.  It is stable only
     once the result is staged.
     """
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_digests, "doc_id long, row long, sha binary, bytes long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_digests, "doc_id long, row long, sha binary, bytes long, normal binary")
 
 
 def distinct_texts(digests: DataFrame) -> DataFrame:
@@ -159,9 +159,25 @@ def screen(batch: DataFrame, filters: DataFrame, shards: int) -> DataFrame:
     return keyed.groupBy("shard").cogroup(filters.groupBy("shard")).applyInArrow(test, "sha binary, bytes long, maybe boolean")
 
 
+def _texts_of(digests: DataFrame, rows: DataFrame) -> DataFrame:
+    """``row, normal`` of the given rows; texts stay in place while the rows are few."""
+    wanted = rows.select("row").distinct()
+    if rows.count() <= BROADCAST_IDS:
+        wanted = F.broadcast(wanted)
+    return digests.select("row", "normal").join(wanted, "row", "left_semi")
+
+
+def same_bytes(pairs: DataFrame, old: DataFrame, new: DataFrame) -> DataFrame:
+    """Pairs (``old_row``, ``new_row``) whose normalised texts are equal byte by byte."""
+    left = _texts_of(old, pairs.select(F.col("old_row").alias("row"))).withColumnsRenamed({"row": "old_row", "normal": "old_text"})
+    right = _texts_of(new, pairs.select(F.col("new_row").alias("row"))).withColumnsRenamed({"row": "new_row", "normal": "new_text"})
+    return pairs.join(left, "old_row").join(right, "new_row").where("old_text = new_text").drop("old_text", "new_text")
+
+
 def exact_duplicates(snapshot: DataFrame, batch: DataFrame, shard_keys: int = SHARD_KEYS) -> DataFrame:
     """Groups of equal texts over a snapshot and a batch, both from ``text_digests``.
 
+    A batch text whose digest, but not whose bytes, is known would stay a group of its own.
     Returns ``doc_id, row, sha, bytes, keep_id, keep_row, group_size`` with one row per
     input row; the greatest (doc_id, row) of a group stays.  A null id sorts first.
     Either side may be empty.
@@ -171,11 +187,15 @@ def exact_duplicates(snapshot: DataFrame, batch: DataFrame, shard_keys: int = SH
     shards = max(1, -(-max(old.count(), new.count()) // shard_keys))
     seen = screen(new, build_filters(old, shards), shards)
     positive = new.join(seen.where("maybe"), ["sha", "bytes"], "left_semi")
-    met = positive.select("sha", "bytes", F.col("top").alias("new_top"), F.col("n").alias("new_n")).join(old.select("sha", "bytes", "top", "n"), ["sha", "bytes"])
-    merged = stage(met.select("sha", "bytes", F.greatest("top", "new_top").alias("top"), (F.col("n") + F.col("new_n")).alias("n")), "met")
-    rest = old.unionByName(new).select("sha", "bytes", "top", "n").join(merged, ["sha", "bytes"], "left_anti")
-    groups = merged.unionByName(rest).select("sha", "bytes", F.col("top.doc_id").alias("keep_id"), F.col("top.row").alias("keep_row"), F.col("n").alias("group_size"))
-    return snapshot.unionByName(batch).join(groups, ["sha", "bytes"]).select("doc_id", "row", "sha", "bytes", "keep_id", "keep_row", "group_size")
+    met = stage(positive.select("sha", "bytes", F.col("top").alias("new_top"), F.col("n").alias("new_n"), F.col("top.row").alias("new_row")).join(old.select("sha", "bytes", "top", "n", F.col("top.row").alias("old_row")), ["sha", "bytes"]), "bucket")
+    merged = stage(same_bytes(met, snapshot, batch).select("sha", "bytes", F.greatest("top", "new_top").alias("top"), (F.col("n") + F.col("new_n")).alias("n")), "met")
+    # a group that both sides share answers for both, any other for its own side
+    sides = old.withColumn("side", F.lit(0)).unionByName(new.withColumn("side", F.lit(1))).select("sha", "bytes", "side", "top", "n")
+    rest = sides.join(merged.select("sha", "bytes"), ["sha", "bytes"], "left_anti")
+    both = merged.withColumn("side", F.explode(F.array(F.lit(0), F.lit(1))))
+    groups = both.unionByName(rest).select("sha", "bytes", "side", F.col("top.doc_id").alias("keep_id"), F.col("top.row").alias("keep_row"), F.col("n").alias("group_size"))
+    rows = snapshot.drop("normal").withColumn("side", F.lit(0)).unionByName(batch.drop("normal").withColumn("side", F.lit(1)))
+    return rows.join(groups, ["sha", "bytes", "side"]).select("doc_id", "row", "sha", "bytes", "keep_id", "keep_row", "group_size")
 
 
 def dedup_documents(docs: DataFrame, snapshot_parts: int = 2) -> DataFrame:
