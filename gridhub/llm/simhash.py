@@ -7,6 +7,11 @@ block by block, within the covering radius plus a share of the threshold, the sh
 up to the threshold at most; these are the homes of everything within the threshold.  All
 fingerprints at one anchor are compared there, and each anchor reports a spanning forest of
 its links, so no group of near copies is written out as pairs.
+
+An anchor with many homes is split by the 18 bits that need no anchor: each of its
+fingerprints goes to the parts named by those bits and by each change of one of them.  Two
+fingerprints that differ there in two bits at most meet in a part, and no task holds a
+whole crowded anchor.
 """
 
 from __future__ import annotations
@@ -22,12 +27,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridhub.llm.arrow import column, filled, text_slices
+from gridhub.llm.joins import BROADCAST_IDS
 from gridhub.operators.components import star_components
 from gridhub.plans.staging import stage
 
 #: Generator polynomial of the (23, 12) Golay code and its covering radius.
 GOLAY_POLY, GOLAY_BITS, GOLAY_RADIUS = 0b101011100011, 23, 3
 THRESHOLD = 2
+#: Homes from which on an anchor is split, and the bits it is split by.
+HOT_HOMES = 4096
+FREE_BITS = 64 - 2 * GOLAY_BITS
 
 
 def fingerprint(text: str, width: int = 3, seed: int = 42) -> int:
@@ -115,6 +124,16 @@ def _replicate(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield pa.RecordBatch.from_pydict({"anchor": pa.array(anchor.astype(np.int32)), "fp": pa.array(part[own]), "home": pa.array(home)})
 
 
+def _home_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    flat, offsets = _coset_tables()
+    for batch in batches:
+        bits = column(batch, "fp").to_numpy().view(np.uint64)
+        words = [(bits >> np.uint64(s) & np.uint64(0x7FFFFF)).astype(np.int64) for s in (0, GOLAY_BITS)]
+        low, high = (w ^ flat[0][offsets[0][_syndrome(w)]] for w in words)
+        anchor, many = np.unique(low >> 11 | (high >> 11) << 12, return_counts=True)
+        yield pa.RecordBatch.from_pydict({"anchor": pa.array(anchor.astype(np.int32)), "n": pa.array(many.astype(np.int64))})
+
+
 def _forest(homes: np.ndarray, guests: np.ndarray, block: int = 512) -> list[tuple[np.ndarray, np.ndarray]]:
     """Edges that span the links between the homes of an anchor and all that visit it."""
     members = np.unique(np.concatenate([homes, guests]))
@@ -149,7 +168,7 @@ def _forest(homes: np.ndarray, guests: np.ndarray, block: int = 512) -> list[tup
 def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows come sorted by anchor; a group that a batch cuts is carried into the next."""
     kept: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-    empty = (np.zeros(0, np.int32), np.zeros(0, np.int64), np.zeros(0, bool))
+    empty = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, bool))
 
     def links(anchor: np.ndarray, fp: np.ndarray, home: np.ndarray) -> Iterator[pa.RecordBatch]:
         starts = np.flatnonzero(np.r_[True, anchor[1:] != anchor[:-1]]) if len(anchor) else np.zeros(0, np.int64)
@@ -171,7 +190,7 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 yield pa.RecordBatch.from_pydict({"src": pa.array(a), "dst": pa.array(b)})
 
     for batch in batches:
-        kept.append(tuple(column(batch, c).to_numpy(zero_copy_only=False) for c in ("anchor", "fp", "home")))
+        kept.append(tuple(column(batch, c).to_numpy(zero_copy_only=False) for c in ("part", "fp", "home")))
         if kept[0][0][0] == kept[-1][0][-1]:
             continue
         whole = [np.concatenate(x) for x in zip(*kept)]
@@ -184,8 +203,19 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def fingerprint_links(distinct: DataFrame) -> DataFrame:
     """Edges ``src, dst`` that connect all distinct ``fp`` within the threshold."""
     spread = distinct.select("fp").mapInArrow(_replicate, "anchor int, fp long, home boolean")
-    parts = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return spread.repartition(parts, "anchor").sortWithinPartitions("anchor").mapInArrow(_compare, "src long, dst long").distinct()
+    counted = distinct.select("fp").mapInArrow(_home_counts, "anchor int, n long").groupBy("anchor").agg(F.sum("n").alias("n"))
+    hot = stage(counted.where(F.col("n") > HOT_HOMES).select("anchor", F.lit(True).alias("hot")), "hot")
+    place = F.col("anchor").cast("long") * (1 << (FREE_BITS + 1))
+    many = hot.count()
+    if many:
+        free = F.shiftrightunsigned("fp", 2 * GOLAY_BITS)
+        parts = F.array(free + 1, *[free.bitwiseXOR(F.lit(1 << i).cast("long")) + 1 for i in range(FREE_BITS)])
+        spread = spread.join(F.broadcast(hot) if many <= BROADCAST_IDS else hot, "anchor", "left")
+        spread = spread.withColumn("_p", F.explode(F.when(F.col("hot"), parts).otherwise(F.array(F.lit(0).cast("long")))))
+        place = F.col("anchor").cast("long") * (1 << (FREE_BITS + 1)) + F.col("_p")
+    keyed = spread.select(place.alias("part"), "fp", "home")
+    tasks = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return keyed.repartition(tasks, "part").sortWithinPartitions("part").mapInArrow(_compare, "src long, dst long").distinct()
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:

@@ -67,8 +67,9 @@ def test_fingerprints_and_components(spark, odd):
     assert simhash.near_duplicates(odd.where("doc_id < 0")).count() == 0
 
 
-@pytest.mark.parametrize("spread", [1, 3])
-def test_anchor_covering_finds_every_link(spark, spread):
+@pytest.mark.parametrize("spread, hot", [(1, 4096), (1, 3), (3, 4096), (3, 1)])
+def test_anchor_covering_finds_every_link(spark, monkeypatch, spread, hot):
+    monkeypatch.setattr(simhash, "HOT_HOMES", hot)
     rng = np.random.default_rng(spread)
     base = rng.integers(0, 2**64, 60, dtype=np.uint64)
     prints = [int(b) for b in base]
