@@ -116,7 +116,7 @@ def _id_memo(path: str) -> _Memo:
         data, ends = ids.astype("<u4").tobytes(), (4 * np.searchsorted(owners, np.arange(len(chunks) + 1))).tolist()
         return [data[a:b] for a, b in zip(ends, ends[1:])]
 
-    return _Memo(make, 2 * MEMO)
+    return _Memo(make, MEMO * 4 // 3)
 
 
 def slice_ids(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:

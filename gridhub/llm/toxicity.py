@@ -10,6 +10,7 @@ linear, a trained model boils down to one number per word, which is what tasks l
 from __future__ import annotations
 
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -35,13 +36,13 @@ DAMPING = 0.5
 
 def _grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """(offsets, table rows) of the n-grams of each word."""
-    rows, sizes = [], []
+    rows, sizes = array("i"), array("i")
     for w in words:
         data = f"<{w[:WORD_LIMIT]}>"
         mine = {data} | {data[i : i + n] for n in GRAMS for i in range(len(data) - n + 1)}
-        rows += [zlib.crc32(g.encode("utf-8", "surrogatepass")) % BUCKETS for g in sorted(mine)]
+        rows.extend(zlib.crc32(g.encode("utf-8", "surrogatepass")) % BUCKETS for g in sorted(mine))
         sizes.append(len(mine))
-    return np.r_[0, np.cumsum(sizes)].astype(np.int64), np.array(rows, np.int32)
+    return np.r_[0, np.cumsum(np.frombuffer(sizes, np.int32), dtype=np.int64)], np.frombuffer(rows, np.int32)
 
 
 def _words(texts: pa.Array) -> tuple[np.ndarray, pa.Array]:
@@ -73,12 +74,12 @@ class SubwordModel:
         return np.add.reduceat(self.table[rows], offsets[:-1]) / np.diff(offsets)
 
 
-def fit(texts: list[str], labels: np.ndarray, prior: float | None = None, epochs: int = 6, rate: float = 0.3, batch: int = 32, seed: int = 5, decay: float = 0.005) -> SubwordModel:
+def fit(texts: pa.Array, labels: np.ndarray, prior: float | None = None, epochs: int = 6, rate: float = 0.3, batch: int = 32, seed: int = 5, decay: float = 0.005) -> SubwordModel:
     """Joint training of vectors and softmax by AdaGrad on the cross-entropy."""
-    if not texts or len(set(labels.tolist())) < 2:
+    if not len(texts) or len(set(labels.tolist())) < 2:
         share = float(np.clip(np.mean(labels) if len(labels) else 0.0, 1e-6, 1 - 1e-6))
         return SubwordModel(np.zeros(BUCKETS, np.float32), float(np.log(share / (1 - share))))
-    bounds, flat = _words(pa.array(texts, pa.string()))
+    bounds, flat = _words(texts)
     coded = flat.dictionary_encode()
     which = coded.indices.to_numpy(zero_copy_only=False).astype(np.int64)
     g_off, g_row = _grams(coded.dictionary.to_pylist())
@@ -152,9 +153,9 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, folds: int = 5) -> DataF
 
 def train(docs: DataFrame, labels: DataFrame) -> SubwordModel:
     """Fit on the bounded sample, weighted to the share of toxic rows among all labelled."""
-    rows = sorted((r["text"], r["toxic"]) for r in labelled_sample(docs, labels).collect())
+    rows = labelled_sample(docs, labels).toArrow().sort_by([("text", "ascending"), ("toxic", "ascending")])
     share = learnable(labels).agg(F.avg("toxic")).first()[0]
-    return fit([t for t, _ in rows], np.array([y for _, y in rows], np.int64), share)
+    return fit(rows["text"].combine_chunks(), rows["toxic"].to_numpy().astype(np.int64), share)
 
 
 def score_texts(docs: DataFrame, model: SubwordModel) -> DataFrame:
