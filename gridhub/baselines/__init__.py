@@ -7,8 +7,8 @@ memory; that refusal is what their missing results in a comparison stand for.
 
 from gridhub.baselines.common import BaselineTooLarge
 from gridhub.baselines.density import dbscan, dbscan_multi, mean_shift
-from gridhub.baselines.hierarchy import birch, linkage, ward
+from gridhub.baselines.hierarchy import birch, linkage, single_linkage, single_linkage_at, ward
 from gridhub.baselines.partition import affinity_propagation, gaussian_mixture, kmeans, minibatch_kmeans, power_iteration, spectral
 from gridhub.baselines.subspace import clique, clique_units
 
-__all__ = ["BaselineTooLarge", "affinity_propagation", "birch", "clique", "clique_units", "dbscan", "dbscan_multi", "gaussian_mixture", "kmeans", "linkage", "mean_shift", "minibatch_kmeans", "power_iteration", "spectral", "ward"]
+__all__ = ["BaselineTooLarge", "affinity_propagation", "birch", "clique", "clique_units", "dbscan", "dbscan_multi", "gaussian_mixture", "kmeans", "linkage", "mean_shift", "minibatch_kmeans", "power_iteration", "single_linkage", "single_linkage_at", "spectral", "ward"]

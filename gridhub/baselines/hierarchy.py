@@ -10,7 +10,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridhub.baselines.common import collect_capped, labels_frame
+from gridhub.baselines.density import dbscan
 from gridhub.baselines.partition import _assign
+from gridhub.plans.staging import stage
 
 LINKS = ("average", "single", "complete", "ward")
 
@@ -82,6 +84,30 @@ def linkage(points: DataFrame, axes: tuple[str, ...], k: int, link: str = "avera
     return labels_frame(points, axes, x, merge_tree(x, w, k, link))
 
 
+def single_linkage_at(points: DataFrame, axes: tuple[str, ...], distance: float) -> DataFrame:
+    """The single-linkage tree cut at a distance: components of the graph of close pairs.
+
+    Distributed, without a matrix: every point is a core of a density search of one point.
+    """
+    return dbscan(points, axes, distance, 1)
+
+
+def single_linkage(points: DataFrame, axes: tuple[str, ...], k: int, low: float, high: float, rounds: int = 20) -> DataFrame:
+    """Single linkage to ``k`` groups of any number of points, by bisecting the cut.
+
+    The number of groups falls with the distance; ``low`` and ``high`` enclose the cut.
+    """
+    found = None
+    for _ in range(rounds):
+        middle = (low + high) / 2
+        found = stage(single_linkage_at(points, axes, middle), "single")
+        groups = found.agg(F.countDistinct("label")).first()[0]
+        if groups == k:
+            return found
+        low, high = (middle, high) if groups > k else (low, middle)
+    return found
+
+
 def ward(points: DataFrame, axes: tuple[str, ...], k: int, cap: int = 6_000) -> DataFrame:
     return linkage(points, axes, k, "ward", cap)
 

@@ -514,6 +514,7 @@ def _capped(run: Callable[[DataFrame, int], DataFrame]) -> Callable[[SparkSessio
 
 for _link in ("average", "single", "complete", "ward"):
     _add(f"baseline_linkage_{_link}", _capped(lambda p, k, v=_link: baselines.linkage(p, _AXES, k, v)))
+_add("baseline_single_linkage", _scored(lambda p, k: baselines.single_linkage(p, _AXES, k, 0.1, 0.3, 6)))
 _add("baseline_spectral", _capped(lambda p, k: baselines.spectral(p, _AXES, k)))
 _add("baseline_affinity", _capped(lambda p, k: baselines.affinity_propagation(p, _AXES)))
 def _clique_sql(xi: int, density: float) -> str:

@@ -23,6 +23,7 @@ RUNS = {
     "kmeans": lambda p: B.kmeans(p, AXES, 4), "minibatch": lambda p: B.minibatch_kmeans(p, AXES, 4), "gmm": lambda p: B.gaussian_mixture(p, AXES, 4),
     "mean_shift": lambda p: B.mean_shift(p, AXES, 3.0), "dbscan": lambda p: B.dbscan(p, AXES, 1.5, 4), "cells": lambda p: B.dbscan(p, AXES, 1.5, 4, "cells"),
     "ward": lambda p: B.ward(p, AXES, 4), "average": lambda p: B.linkage(p, AXES, 4), "single": lambda p: B.linkage(p, AXES, 4, "single"), "complete": lambda p: B.linkage(p, AXES, 4, "complete"),
+    "single_distributed": lambda p: B.single_linkage(p, AXES, 4, 0.5, 6.0),
     "birch": lambda p: B.birch(p, AXES, 0.5, 10, 4), "spectral": lambda p: B.spectral(p, AXES, 4, 20), "affinity": lambda p: B.affinity_propagation(p, AXES, preference=-200.0),
 }
 
