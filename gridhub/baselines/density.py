@@ -2,11 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from itertools import product
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridhub.baselines.common import back, close_pairs, number_roots, places, xs
 from gridhub.operators.components import star_components
+from gridhub.operators.unionfind import join_labels
 from gridhub.plans.staging import stage
 
 
@@ -47,10 +53,101 @@ def _dbscan_cells(at: DataFrame, axes: tuple[str, ...], eps: float, min_pts: int
     return number_roots(roots.select(F.col("node").alias("p"), "root").unionByName(borders).select("p.*", "root"), F.col("root"), axes)
 
 
-def dbscan(points: DataFrame, axes: tuple[str, ...], eps: float, min_pts: int, engine: str = "pairs") -> DataFrame:
-    """Places with ``min_pts`` points within ``eps``, themselves included, are cores."""
+def _pairs_within(x: np.ndarray, eps: float, limit: int = 4_000_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs (i, j), i before j in cell order, within ``eps``, in portions of bounded size."""
+    n, dim = x.shape
+    cell = np.floor(x / eps).astype(np.int64)
+    cell -= cell.min(0)
+    span = cell.max(0) + 3
+    steps = np.r_[np.cumprod(span[::-1])[::-1][1:], 1]
+    code = (cell + 1) @ steps
+    order = np.argsort(code, kind="stable")
+    codes = code[order]
+    for offset in product((-1, 0, 1), repeat=dim):
+        if offset < (0,) * dim:
+            continue
+        wanted = codes + np.array(offset) @ steps
+        low, high = np.searchsorted(codes, wanted), np.searchsorted(codes, wanted, side="right")
+        if not any(offset):
+            low = np.arange(n) + 1
+        many = np.maximum(high - low, 0)
+        upto = np.cumsum(many)
+        start = 0
+        while start < n:
+            stop = max(start + 1, int(np.searchsorted(upto, (upto[start - 1] if start else 0) + limit)))
+            part = many[start:stop]
+            i = np.repeat(np.arange(start, min(stop, n)), part)
+            j = np.repeat(low[start:stop] - np.cumsum(part) + part, part) + np.arange(part.sum())
+            a, b = order[i], order[j]
+            near = ((x[a] - x[b]) ** 2).sum(1) <= eps * eps
+            yield a[near], b[near]
+            start = stop
+
+
+def _dbscan_blocks(at: DataFrame, axes: tuple[str, ...], eps: float, min_pts: int, side: int = 256) -> DataFrame:
+    """Square blocks with a rim of two eps, each solved in one task, joined at shared cores.
+
+    The rim makes the cores within eps of a block exact, so every edge of a block's own
+    cores is seen there; a core in the rim of one block and inside another ties the two
+    local clusters.
+    """
+    names, dim, width = xs(axes), len(axes), side * eps
+    spread = at
+    for i, x in enumerate(names):
+        own = F.floor(F.col(x) / width).cast("bigint")
+        rim = 2.001 * eps
+        near = F.array_compact(F.array(own, F.when(F.col(x) - own * width <= rim, own - 1), F.when((own + 1) * width - F.col(x) <= rim, own + 1)))
+        spread = spread.withColumn(f"o{i}", own).withColumn(f"b{i}", F.explode(near))
+    own_block = F.lit(True)
+    for i in range(dim):
+        own_block = own_block & (F.col(f"o{i}") == F.col(f"b{i}"))
+    blocks = [f"b{i}" for i in range(dim)]
+
+    def solve(table: pa.Table) -> pa.Table:
+        order = np.lexsort([table[x].to_numpy() for x in reversed(names)])
+        x = np.stack([table[c].to_numpy() for c in names], 1)[order]
+        w, own = table["w"].to_numpy()[order], table["own"].to_numpy(zero_copy_only=False)[order]
+        low = np.array([table[b][0].as_py() for b in blocks]) * width
+        inside = ((x >= low - 1.0005 * eps) & (x <= low + width + 1.0005 * eps)).all(1)
+        count = w.astype(np.float64).copy()
+        for a, b in _pairs_within(x, eps):
+            count += np.bincount(a, w[b], len(x)) + np.bincount(b, w[a], len(x))
+        core = inside & (count >= min_pts)
+        label = np.arange(len(x))
+        for a, b in _pairs_within(x, eps):
+            both = core[a] & core[b]
+            label = join_labels(label, a[both], b[both])
+        edge_of, edge_to = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        for a, b in _pairs_within(x, eps):
+            for p, q in ((a, b), (b, a)):
+                hit = own[p] & ~core[p] & core[q]
+                pairs = np.unique(np.stack([p[hit], label[q[hit]]]), axis=1)
+                edge_of.append(pairs[0])
+                edge_to.append(pairs[1])
+        cores = np.flatnonzero(core)
+        who = np.concatenate([cores, *edge_of])
+        root = np.concatenate([label[cores], *edge_to])
+        kind = np.concatenate([np.where(own[cores], 0, 1), np.full(len(who) - len(cores), 2)])
+        return pa.table({**{n: x[who, i] for i, n in enumerate(names)}, **{f"r{i}": x[root, i] for i in range(dim)}, "kind": kind.astype(np.int32)})
+
+    schema = ", ".join([f"{n} double" for n in names] + [f"r{i} double" for i in range(dim)]) + ", kind int"
+    local = stage(spread.withColumn("own", own_block).select(*names, "w", "own", *blocks).groupBy(*blocks).applyInArrow(solve, schema), "block")
+    root = F.struct(*[F.col(f"r{i}").alias(f"x{i}") for i in range(dim)])
+    rim = local.where("kind = 1").select(*names, root.alias("dst"))
+    ties = local.where("kind = 0").select(*names, root.alias("src")).join(rim, names).where("src <> dst").select("src", "dst").distinct()
+    roots = star_components(ties).select(F.col("node").alias("root"), F.col("root").alias("top"))
+    named = local.where("kind <> 1").select(*names, root.alias("root")).join(roots, "root", "left").groupBy(*names).agg(F.min(F.coalesce("top", "root")).alias("root"))
+    return number_roots(named, F.col("root"), axes)
+
+
+def dbscan(points: DataFrame, axes: tuple[str, ...], eps: float, min_pts: int, engine: str = "blocks") -> DataFrame:
+    """Places with ``min_pts`` points within ``eps``, themselves included, are cores.
+
+    ``blocks`` solves squares locally, ``pairs`` joins all close pairs, ``cells`` goes by
+    summaries of dense cells.  A border place takes the least of its clusters.
+    """
     at = stage(places(points, axes), "place")
-    run = {"pairs": _dbscan_places, "cells": _dbscan_cells}[engine]
+    run = {"blocks": _dbscan_blocks, "pairs": _dbscan_places, "cells": _dbscan_cells}[engine]
     return back(points, run(at, axes, eps, min_pts), axes)
 
 

@@ -9,7 +9,11 @@ from gridhub.config import Neighborhood
 
 def label_components(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Least member index of each node's component."""
-    label = np.arange(n)
+    return join_labels(np.arange(n), a, b)
+
+
+def join_labels(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Adds edges to flat labels, in place; labels stay flat and least."""
     while len(a):
         x, y = label[a], label[b]
         apart = x != y
@@ -21,7 +25,7 @@ def label_components(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
             up = label[label]
             if (up == label).all():
                 break
-            label = up
+            label[:] = up
     return label
 
 

@@ -494,6 +494,7 @@ _BASELINES: dict[str, Callable[[DataFrame, int], DataFrame]] = {
     "gaussian_mixture": lambda p, k: baselines.gaussian_mixture(p, _AXES, k),
     "mean_shift": lambda p, k: baselines.mean_shift(p, _AXES, 1.0),
     "dbscan": lambda p, k: baselines.dbscan(p, _AXES, 0.2, 5),
+    "dbscan_pairs": lambda p, k: baselines.dbscan(p, _AXES, 0.2, 5, "pairs"),
     "dbscan_cells": lambda p, k: baselines.dbscan(p, _AXES, 0.2, 5, "cells"),
     "dbscan_multi": lambda p, k: baselines.dbscan_multi(p, _AXES, [0.1, 0.2], 5),
     "birch": lambda p, k: baselines.birch(p, _AXES, 0.3, 50, k),

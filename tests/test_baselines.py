@@ -5,6 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from gridhub import baselines as B
+from gridhub.baselines import density
 from gridhub.baselines.hierarchy import merge_tree
 from gridhub.baselines.subspace import cover_boxes
 from gridhub.operators.metrics import pair_scores, same_partition
@@ -51,8 +52,12 @@ def brute_dbscan(x, eps, min_pts):
     return core, near, label
 
 
-@pytest.mark.parametrize("engine", ["pairs", "cells"])
-def test_dbscan_is_exact(spark, engine):
+@pytest.mark.parametrize("engine", ["blocks", "small blocks", "pairs", "cells"])
+def test_dbscan_is_exact(spark, engine, monkeypatch):
+    if engine == "small blocks":
+        real = density._dbscan_blocks
+        monkeypatch.setattr(density, "_dbscan_blocks", lambda at, axes, eps, m: real(at, axes, eps, m, side=3))
+        engine = "blocks"
     rng = np.random.default_rng(3)
     x = np.round(rng.uniform(0, 10, (150, 2)), 3)
     core, near, label = brute_dbscan(x, 0.9, 5)
