@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from gridhub.llm.exact import dedup_documents
 from gridhub.llm.joins import with_ids
 from gridhub.llm.mixing import mix_copies
+from gridhub.llm.overlap import similar_texts
 from gridhub.llm.packing import pack
-from gridhub.llm.simhash import near_duplicates
 from gridhub.llm.toxicity import score_texts, train
 from gridhub.plans.staging import stage
 
@@ -36,7 +36,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of every near-duplicate component, the document with the least id."""
-    found = stage(near_duplicates(docs), "near")
+    found = stage(similar_texts(docs), "near")
     return with_ids(docs, found.where("doc_id <=> component_id"))
 
 

@@ -60,3 +60,32 @@ def test_pipeline_with_repeated_rows_and_nulls(spark, tiny):
     empty = docs.where("doc_id > 99")
     for _, step in corpus_pipeline.STAGES[1:]:
         assert step(spark, empty, tiny).count() == 0
+
+
+def test_near_dedup_stage_drops_what_overlaps(spark, tiny):
+    rng = np.random.default_rng(4)
+    texts = []
+    for size in (30, 60, 200, 700):
+        for _ in range(6):
+            base = [f"w{i}" for i in rng.integers(0, 5000, size)]
+            texts.append(" ".join(base))
+            for edits in (1, 2, 4, 8):
+                copy = list(base)
+                for at in rng.choice(size, max(1, edits * size // 200), replace=False):
+                    copy[at] = f"e{rng.integers(0, 9999)}"
+                texts.append(" ".join(copy) if edits % 4 else " ".join(copy).upper() + " more")
+    line = "one line that very many of the texts hold in the same words "
+    texts += [line + " ".join(f"u{i}x{j}" for j in range(12)) for i in range(40)] + ["", " ", "a b", "A  b"]
+    sets = []
+    for t in texts:
+        w = t.lower().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    label = list(range(len(texts)))
+    while True:
+        new = [min([label[j] for j in range(len(texts)) if 10 * len(a & sets[j]) >= 8 * len(a | sets[j])]) for a in sets]
+        if new == label:
+            break
+        label = new
+    docs = spark.createDataFrame([(i, t, "en", "a", 0) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
+    kept = {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, tiny).collect()}
+    assert kept == set(label) and len(kept) < len(texts) - 20
