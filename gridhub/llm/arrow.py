@@ -36,9 +36,9 @@ def filled(batch: pa.RecordBatch, name: str = "text") -> pa.Array:
     return pc.fill_null(column(batch, name), "")
 
 
-def word_lists(texts: pa.Array) -> tuple[np.ndarray, pa.Array]:
-    """Split on ASCII white space: list offsets and the flat array of non-empty words."""
-    lists = pc.ascii_split_whitespace(texts)
+def word_lists(texts: pa.Array, unicode: bool = False) -> tuple[np.ndarray, pa.Array]:
+    """Split on ASCII (or all) white space: list offsets and the flat array of non-empty words."""
+    lists = pc.utf8_split_whitespace(texts) if unicode else pc.ascii_split_whitespace(texts)
     flat = lists.flatten()
     counts = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
     full = pc.binary_length(flat).to_numpy(zero_copy_only=False) > 0

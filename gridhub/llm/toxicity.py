@@ -29,16 +29,33 @@ GRAMS = (3, 4, 5)
 #: Bounds of the labelled sample that the model is fitted on: documents of each class, and
 #: bytes of a document (longer ones are not drawn for fitting; all are scored whole).
 FIT_DOCS, FIT_BYTES = 3_000, 20_000
-WORD_LIMIT = 64
+#: Characters up to which a word's score is kept for its next occurrence, and of a longer
+#: word the characters that are taken at a time.
+MEMO_CHARS, CHUNK_CHARS = 64, 1 << 16
 #: A word that occurs n times in a document weighs n to this power in the average.
 DAMPING = 0.5
 
 
+def _long_grams(data: str) -> np.ndarray:
+    """Table rows of a long marked word's distinct n-grams, chunks overlapping by a gram less one."""
+    found = np.array([zlib.crc32(data.encode("utf-8", "surrogatepass"))], np.uint32)
+    for a in range(0, len(data), CHUNK_CHARS):
+        part = data[a : a + CHUNK_CHARS + max(GRAMS) - 1]
+        mine = {part[i : i + n] for n in GRAMS for i in range(min(CHUNK_CHARS, len(part) - n + 1))}
+        found = np.union1d(found, np.array([zlib.crc32(g.encode("utf-8", "surrogatepass")) for g in mine], np.uint32))
+    return (found % BUCKETS).astype(np.int32)
+
+
 def _grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """(offsets, table rows) of the n-grams of each word."""
+    """(offsets, table rows) of the n-grams of each whole word."""
     rows, sizes = array("i"), array("i")
     for w in words:
-        data = f"<{w[:WORD_LIMIT]}>"
+        data = f"<{w}>"
+        if len(w) > MEMO_CHARS:
+            long = _long_grams(data)
+            rows.frombytes(long.tobytes())
+            sizes.append(len(long))
+            continue
         mine = {data} | {data[i : i + n] for n in GRAMS for i in range(len(data) - n + 1)}
         rows.extend(zlib.crc32(g.encode("utf-8", "surrogatepass")) % BUCKETS for g in sorted(mine))
         sizes.append(len(mine))
@@ -47,7 +64,7 @@ def _grams(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
 
 def _words(texts: pa.Array) -> tuple[np.ndarray, pa.Array]:
     """Lower-cased words, freed of ASCII punctuation at both ends."""
-    bounds, words = word_lists(pc.utf8_lower(texts))
+    bounds, words = word_lists(pc.utf8_lower(texts), unicode=True)
     bare = pc.ascii_trim(words, "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~")
     return bounds, pc.if_else(pc.equal(pc.binary_length(bare), 0), words, bare)
 
@@ -171,12 +188,12 @@ def score_texts(docs: DataFrame, model: SubwordModel) -> DataFrame:
             bounds, flat = _words(filled(part))
             coded = flat.dictionary_encode()
             words = coded.dictionary.to_pylist()
-            lacking = [w for w in words if w not in memo]
+            lacking = [w for w in words if w not in memo and len(w) <= MEMO_CHARS]
             if len(memo) > 300_000:
                 memo.clear()
-                lacking = words
+                lacking = [w for w in words if len(w) <= MEMO_CHARS]
             memo.update(zip(lacking, sent.value.word_scores(lacking).tolist()))
-            each = np.fromiter((memo[w] for w in words), np.float64, len(words))
+            each = np.fromiter((memo[w] if len(w) <= MEMO_CHARS else sent.value.word_scores([w])[0] for w in words), np.float64, len(words))
             logit = sent.value.bias + document_means(bounds, coded.indices.to_numpy(zero_copy_only=False), each)
             yield pa.RecordBatch.from_pydict({"doc_id": column(part, "doc_id"), "score": pa.array(np.round(1 / (1 + np.exp(-np.clip(logit, -30, 30))), 9))})
 

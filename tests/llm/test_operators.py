@@ -130,6 +130,22 @@ def test_misspellings_share_grams_and_labels_stay_out(spark):
     assert got[300] > 0.5 > got[301] and got[302] == got[303] and 0 <= min(got.values()) and max(got.values()) <= 1
 
 
+@pytest.mark.parametrize("gap", ["", "\u00a0", "\u3000"])
+def test_toxicity_reads_texts_without_ascii_spaces_to_their_end(spark, monkeypatch, gap):
+    rng = np.random.default_rng(1)
+    clean, bad, made = ["\u5927\u5730\u5c71", "\u6cb3\u6d41\u6c34", "\u82b1\u8349\u6728", "\u97f3\u4e50\u5bb6"], "\u6076\u6bd2\u8bcd\u8bed", []
+    head = gap.join(clean * 8)
+    for i in range(200):
+        middle = gap.join(rng.choice(clean, 12))
+        made.append(head + gap + middle + gap + (gap.join([bad] * 4) if i % 2 else clean[0]))
+    docs = frame(spark, made)
+    got = {r.doc_id: r.score for r in toxicity.score_texts(docs, toxicity.train(docs, spark.createDataFrame([(i, i % 2) for i in range(200)], "doc_id long, toxic int"))).collect()}
+    assert all((got[i] >= 0.5) == (i % 2 == 1) for i in range(200))
+    whole = toxicity._grams([made[1] * 5])[1]
+    monkeypatch.setattr(toxicity, "CHUNK_CHARS", 7)
+    assert np.array_equal(np.sort(whole), np.sort(toxicity._grams([made[1] * 5])[1]))
+
+
 def test_toxicity_without_labels(spark):
     docs = frame(spark, ["a", "b"])
     model = toxicity.train(docs, spark.createDataFrame([], "doc_id long, toxic int"))
