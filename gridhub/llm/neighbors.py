@@ -103,9 +103,10 @@ def top_k(queries: DataFrame, data: DataFrame, k: int = 10) -> DataFrame:
     placed = stage(data.mapInArrow(assign, shape), "cell")
     asking = stage(queries.mapInArrow(assign, shape), "ask")
 
-    # per cell: rows, and distances to the pivot of its k + 1 nearest rows
+    # per cell: rows, and distances to the pivot of its k + 1 nearest ids
     rank = F.row_number().over(Window.partitionBy("cell").orderBy("far", "vec_id"))
-    head = placed.select("cell", "far", "vec_id").withColumn("r", rank).where(F.col("r") <= k + 1).groupBy("cell").agg(F.sort_array(F.collect_list("far")).alias("near"))
+    ids = placed.groupBy("cell", "vec_id").agg(F.min("far").alias("far"))
+    head = ids.withColumn("r", rank).where(F.col("r") <= k + 1).groupBy("cell").agg(F.collect_list(F.struct("far", "vec_id")).alias("near"))
     near = {r["cell"]: r["near"] for r in head.collect()}
     load = {r["cell"]: (r["n"], r["far"], r["norm"]) for r in asking.groupBy("cell").agg(F.count("*").alias("n"), F.max("far").alias("far"), F.max("norm").alias("norm")).collect()}
 
@@ -124,8 +125,12 @@ def top_k(queries: DataFrame, data: DataFrame, k: int = 10) -> DataFrame:
     bound = np.full(len(centres), -np.inf)  # score that the k-th partner of any query of a cell reaches
     for c, (_, radius, _) in load.items():
         p, size = centres[c], np.linalg.norm(centres[c])
-        lows = [float(p @ centres[o]) - radius * float(np.linalg.norm(centres[o])) - (size + radius) * d for o, ds in near.items() for d in ds]
-        lows.sort(reverse=True)
+        best: dict[int, float] = {}  # by id, as rows of the query's own id are no partners
+        for o, rows in near.items():
+            base = float(p @ centres[o]) - radius * float(np.linalg.norm(centres[o]))
+            for d, i in rows:
+                best[i] = max(best.get(i, -np.inf), base - (size + radius) * d)
+        lows = sorted(best.values(), reverse=True)
         if len(lows) > k:
             bound[c] = lows[k] - slack * (1 + abs(lows[k]))
     radii = np.array([load.get(c, (0, 0.0, 0.0))[1] for c in range(len(centres))])

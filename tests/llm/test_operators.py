@@ -358,3 +358,11 @@ def test_semi_join_by_id(spark, monkeypatch):
     assert joins.with_ids(docs, ids).count() == 2
     monkeypatch.setattr(joins, "BROADCAST_IDS", 0)
     assert joins.with_ids(docs, ids).count() == 2
+
+
+@pytest.mark.parametrize("copies", [2, 11, 15])
+def test_top_k_with_repeated_query_rows(spark, copies):
+    data = [(0, [1000, 0])] * copies + [(i, [1000 - 10 * i, i]) for i in range(1, 31)]
+    df = spark.createDataFrame(data, "vec_id long, v array<long>")
+    got = [(r["rank"], r.vec_id, r.score) for r in neighbors.top_k(df.where("vec_id = 0"), df).orderBy("rank").collect()]
+    assert got == [(i, i, 1000 * (1000 - 10 * i)) for i in range(1, 11)]
