@@ -7,15 +7,19 @@ and is kept in a bounded memo.
 
 For prefixes, ``count[i] = count[start of the open chunk] + tokens(open chunk up to i)``.
 The second term is memoised over all chunk prefixes, which distinct chunks share like the
-branches of a trie.  A long chunk is cut where the pre-tokeniser cuts it, and a long run
-inside goes through a second dynamic program over byte-pair tokens: the encoding of a
-prefix ends in the one token that its predecessor's encoding accepts.
+branches of a trie.  A long chunk is read character by character as the pre-tokeniser
+would, and every open run goes through a second dynamic program over byte-pair tokens: the
+encoding of a prefix ends in the one token that its predecessor's encoding accepts.  What
+normalisation changes is settled inside the few characters that it joins, so one odd
+character costs nothing elsewhere.
 """
 
 from __future__ import annotations
 
 import json
 import os
+import re
+import struct
 import unicodedata
 from collections.abc import Iterator
 from functools import lru_cache
@@ -23,7 +27,6 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -35,6 +38,8 @@ MEMO = 300_000
 JOINED = 20_000
 #: Chunks up to this many code points take all prefixes from the library.
 SHORT = 48
+#: Longest chunk that a memo keeps, so that its bytes are bounded too.
+KEPT = 1024
 
 
 def word_tokenizer() -> str:
@@ -102,11 +107,12 @@ def _normal_chunks(unique: pa.Array) -> tuple[list[str], list[str]]:
     """Chunks as body and closing punctuation, fit for the memo.
 
     A cut between a letter or digit and ``.,;:!?`` is one of the pre-tokeniser's own, and
-    the normaliser lower-cases, so both may be done before looking a chunk up.  Chunks
-    that could hold a special string stay as they are.
+    the normaliser lower-cases, so both may be done before looking a chunk up.  The letters
+    are those whose lower case is one letter: U+0130 ends in a mark, which the following
+    punctuation joins.  Chunks that could hold a special string stay as they are.
     """
     body = pc.ascii_rtrim(unique, ".,;:!?")
-    safe = pc.and_(pc.match_substring_regex(body, "[A-Za-z0-9À-ÖØ-öø-ſ]$"), pc.invert(pc.match_substring(unique, "<|")))
+    safe = pc.and_(pc.match_substring_regex(body, "[A-Za-z0-9À-ÖØ-öø-įı-ſ]$"), pc.invert(pc.match_substring(unique, "<|")))
     kept = pc.if_else(safe, body, unique)
     tails = [w[n:] for w, n in zip(_strings(unique), pc.utf8_length(kept).to_numpy(zero_copy_only=False).tolist())]
     return _strings(pc.if_else(safe, pc.ascii_lower(kept), kept)), tails
@@ -129,7 +135,11 @@ class _Memo:
                 lacking = [k for k in lacking if k not in young]
             lacking = list(dict.fromkeys(lacking))
             young.update(zip(lacking, self.make(lacking)))
-        return [young[k] for k in keys]
+        found = [young[k] for k in keys]
+        for k in lacking:
+            if len(k) > KEPT:
+                del young[k]
+        return found
 
 
 @lru_cache(4)
@@ -163,7 +173,7 @@ def slice_ids(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:
 
 
 class PairMerger:
-    """Byte-pair encoding by prefixes: the last token of every prefix, and its count."""
+    """Byte-pair merges of the word vocabulary, and which token may follow which."""
 
     def __init__(self, path: str):
         model = json.load(open(path))["model"]
@@ -177,9 +187,12 @@ class PairMerger:
             a, b = m.split(" ") if isinstance(m, str) else m
             self.rank.setdefault((read(a), read(b)), i)
         self.vocab = {read(t) for t in model["vocab"] if all(c in to_byte for c in t.removesuffix(self.end))}
-        self.longest = max(len(t) for t, _ in self.vocab)
         self.merge = lru_cache(200_000)(self._merge)
         self.accepts = lru_cache(200_000)(self._accepts)
+        self.by_tail: tuple[dict[bytes, list[int]], dict[bytes, list[int]]] = ({}, {})
+        for t, ended in sorted(self.vocab, key=lambda v: -len(v[0])):
+            if len(t) > 2 and len(t) not in (sizes := self.by_tail[ended].setdefault(t[-3:], [])):
+                sizes.append(len(t))
 
     def _merge(self, data: bytes, ended: bool) -> tuple:
         parts = [(data[i : i + 1], ended and i == len(data) - 1) for i in range(len(data))]
@@ -193,65 +206,171 @@ class PairMerger:
     def _accepts(self, left: bytes, right: bytes, ended: bool) -> bool:
         return self.merge(left + right, ended) == ((left, False), (right, ended))
 
-    def prefix_counts(self, data: bytes) -> list[int]:
-        """Tokens of ``data[:j]`` as a word of its own, for j = 1 .. len(data)."""
-        last, open_count, out = [b""], [0], []
-        for j in range(1, len(data) + 1):
-            for ended in (False, True):
-                for size in range(min(self.longest, j), 0, -1):
-                    t = data[j - size : j]
-                    if (t, ended) not in self.vocab or len(self.merge(t, ended)) > 1:
-                        continue
-                    if size == j or self.accepts(last[j - size], t, ended):
-                        break
-                else:
-                    raise ValueError("no token ends this prefix")
-                if ended:
-                    out.append(open_count[j - size] + 1)
-                else:
-                    last.append(t)
-                    open_count.append(open_count[j - size] + 1)
-        return out
-
 
 @lru_cache(2)
 def _merger(path: str) -> PairMerger:
     return PairMerger(path)
 
 
-#: Fixed value: how the word vocabulary cuts normalised text.
-WORD_PATTERN = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
+class _Run:
+    """Byte-pair encoding of one growing word: last token and token count of every prefix."""
+
+    def __init__(self, merger: PairMerger):
+        self.merger, self.data, self.last, self.many = merger, bytearray(), [b""], [0]
+
+    def _final(self, j: int, ended: bool) -> bytes:
+        m = self.merger
+        for size in (*m.by_tail[ended].get(bytes(self.data[max(0, j - 3) : j]), ()), 2, 1):
+            if size <= j:
+                t = bytes(self.data[j - size : j])
+                if (t, ended) in m.vocab and len(m.merge(t, ended)) == 1 and (size == j or m.accepts(self.last[j - size], t, ended)):
+                    return t
+        raise ValueError("no token ends this prefix")
+
+    def extend(self, more: bytes) -> None:
+        for b in more:
+            self.data.append(b)
+            t = self._final(len(self.data), False)
+            self.last.append(t)
+            self.many.append(self.many[len(self.data) - len(t)] + 1)
+
+    def tokens(self) -> int:
+        """Tokens of all bytes so far as a word that ends here."""
+        return self.many[len(self.data) - len(self._final(len(self.data), True))] + 1 if self.data else 0
+
+    def cut(self, size: int) -> None:
+        del self.data[size:], self.last[size + 1 :], self.many[size + 1 :]
+
+
+#: Fixed value: suffixes that the word vocabulary's pre-tokeniser cuts off as one piece.
+CLITICS = ("'s", "'t", "'re", "'ve", "'m", "'ll", "'d")
+
+
+class _Scanner:
+    """Reads normalised characters and knows the token count of all that was read.
+
+    The open pre-token is a run of letters or of other signs; a digit is a run of its own.
+    ``clitic`` holds an apostrophe that began a pre-token and the letter after it, with the
+    count before both, until it is clear whether they are one of the clitics.
+    """
+
+    def __init__(self, path: str):
+        self.path, self.merger = path, _merger(path)
+        self.before, self.kind, self.run, self.clitic = 0, "", None, None
+
+    def mark(self) -> tuple:
+        return self.before, self.kind, self.run, len(self.run.data) if self.run else 0, self.clitic
+
+    def back(self, mark: tuple) -> None:
+        self.before, self.kind, self.run, size, self.clitic = mark
+        if self.run:
+            self.run.cut(size)
+
+    def count(self) -> int:
+        return self.before + (self.run.tokens() if self.run else 0)
+
+    def read(self, c: str) -> None:
+        clitic, self.clitic = self.clitic, None
+        if clitic:
+            said, before = clitic[0] + c, clitic[1]
+            if said in CLITICS:
+                whole = _Run(self.merger)
+                whole.extend(said.encode())
+                self.before, self.kind, self.run = before + whole.tokens(), "", None
+                return
+            if any(x.startswith(said) for x in CLITICS):
+                self.clitic = said, before
+        kind = _kind(self.path, c)
+        if kind != self.kind or kind == "N":
+            self.before = self.count()
+            self.kind, self.run = kind, _Run(self.merger) if kind else None
+            if c == "'":
+                self.clitic = c, self.before
+        if kind:
+            self.run.extend(c.encode("utf-8", "surrogatepass"))
+
+
+@lru_cache(50_000)
+def _kind(path: str, c: str) -> str:
+    """How the pre-tokeniser takes a normalised character: L letter, N number, O other, or white space."""
+    cut = _library(path).pre_tokenizer.pre_tokenize_str
+    if not cut(c):
+        return ""
+    return "L" if len(cut("a" + c)) == 1 else "O" if len(cut("!" + c)) == 1 else "N"
+
+
+@lru_cache(50_000)
+def _alone(path: str, piece: str) -> str:
+    return _library(path).normalizer.normalize_str(piece)
+
+
+@lru_cache(1)
+def _joining() -> frozenset[str]:
+    """Starters that may compose with what comes before them."""
+    pairs = (unicodedata.decomposition(chr(c)).split() for c in range(0x110000))
+    found = {chr(int(p[1], 16)) for p in pairs if len(p) == 2 and not p[0].startswith("<")}
+    return frozenset(found) | {chr(c) for c in (*range(0x1161, 0x1176), *range(0x11A8, 0x11C3))}
+
+
+@lru_cache(50_000)
+def _stands_alone(c: str) -> bool:
+    """Whether normalisation never joins or reorders ``c`` with what comes before it."""
+    return c < "\u0300" or not (unicodedata.combining(c) or c in _joining() or unicodedata.category(c) == "Cn")
+
+
+def _plain_counts(text: str, path: str) -> list[int]:
+    """Token counts of ``text[:i]`` for i = 1 .. len(text); special strings are plain text."""
+    scanner, out, a = _Scanner(path), [], 0
+    while a < len(text):
+        b = a + 1
+        while b < len(text) and not _stands_alone(text[b]):
+            b += 1
+        whole = _alone(path, text[a:b])
+        start, read = scanner.mark(), ""
+        for n in range(a + 1, b):  # prefixes that end inside what normalisation joins
+            part = _alone(path, text[a:n])
+            if not part.startswith(read):
+                scanner.back(start)
+                read = ""
+            for c in part[len(read) :]:
+                scanner.read(c)
+            read = part
+            out.append(scanner.count())
+        if not whole.startswith(read):
+            scanner.back(start)
+            read = ""
+        for c in whole[len(read) :]:
+            scanner.read(c)
+        out.append(scanner.count())
+        a = b
+    return out
 
 
 def long_chunk_counts(chunk: str, path: str) -> np.ndarray:
-    """Token counts of ``chunk[:i]`` for i = 1 .. len(chunk), in time linear in the chunk.
+    """Token counts of ``chunk[:i]`` for i = 1 .. len(chunk).
 
-    A chunk that NFC or lower-casing would change in length, or that holds a special
-    string, takes every prefix from the library instead, in quadratic time.
+    Time is linear in the chunk, but for the marks on one base character: prefixes that end
+    among marks which normalisation reorders are normalised one by one.
     """
-    lowered = [c.lower() for c in chunk]
-    special = any(t.content in chunk for t in _library(path).get_added_tokens_decoder().values())
-    if special or not unicodedata.is_normalized("NFC", chunk) or not unicodedata.is_normalized("NFC", "".join(lowered)) or any(len(c) != 1 for c in lowered):
-        return np.array([len(x) for n in range(1, len(chunk) + 1) for x in _encode(path, [chunk[:n]])], np.int32)
-    text, merger = "".join(lowered), _merger(path)
-    out, before = np.zeros(len(text), np.int32), 0
-    for m in WORD_PATTERN.finditer(text):
-        word = m[0]
-        if word[0] == "'" and len(word) > 1 and word[1].isalpha():
-            out[m.start() : m.end()] = [before + len(x) for n in range(1, len(word) + 1) for x in _encode(path, [word[:n]])]
-        else:
-            counts = merger.prefix_counts(word.encode())
-            ends = np.cumsum([len(c.encode()) for c in word])
-            out[m.start() : m.end()] = before + np.array(counts, np.int32)[ends - 1]
-        before = int(out[m.end() - 1])
+    special = [t.content for t in _library(path).get_added_tokens_decoder().values()]
+    cuts = re.compile("|".join(map(re.escape, sorted(special, key=len, reverse=True))))
+    out, at, before = np.zeros(len(chunk), np.int32), 0, 0
+    for m in cuts.finditer(chunk):
+        ordinary = _plain_counts(chunk[at : m.end() - 1], path)  # up to one character short of the special string
+        out[at : m.end() - 1] = before + np.array(ordinary, np.int32)
+        before += (ordinary[m.start() - at - 1] if m.start() > at else 0) + 1
+        out[m.end() - 1], at = before, m.end()
+    out[at:] = before + np.array(_plain_counts(chunk[at:], path), np.int32)
     return out
 
 
 class PrefixMemo:
-    """Token counts of all prefixes of short chunks, one byte each, as a bounded trie.
+    """Token counts of all prefixes of short chunks, two bytes each, as a bounded trie.
 
     A chunk walks back to its longest known prefix; only what lies beyond is encoded, and
-    a prefix's counts are those of its parent and one more.  Two generations, as above.
+    a prefix's counts are those of its parent and one more.  Normalising makes at most 18
+    bytes, hence tokens, of a code point, so the counts of SHORT of them fit.  Two
+    generations, as above.
     """
 
     def __init__(self, path: str, limit: int = 3 * MEMO):
@@ -273,9 +392,9 @@ class PrefixMemo:
                 head = head[:-1]
         heads = sorted(lacking, key=len)
         if heads:
-            counts = _count_chunks(self.path, heads).astype(np.uint8).tobytes()
+            counts = _count_chunks(self.path, heads).astype("<u2").tobytes()
             for i, head in enumerate(heads):
-                young[head] = (young[head[:-1]] if len(head) > 1 else b"") + counts[i : i + 1]
+                young[head] = (young[head[:-1]] if len(head) > 1 else b"") + counts[2 * i : 2 * i + 2]
         young[""] = b""
         return [young[c] for c in chunks]
 
@@ -294,27 +413,28 @@ def _chunk_tables(unique: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:
     """(code points per distinct chunk, counts of all their prefixes, one after the other)."""
     bodies, tails = _normal_chunks(unique)
     memo = _prefix_memo(path)
-    marks = sorted(set(tails) - {""})
-    closing = dict(zip(marks, memo.get([m[:SHORT] for m in marks])))
-    brief = memo.get([b if len(b) <= SHORT else "" for b in bodies] if any(len(b) > SHORT for b in bodies) else bodies)
+    marks = sorted(m for m in set(tails) if 0 < len(m) <= SHORT)
+    closing = {m: np.frombuffer(x, "<u2").tolist() for m, x in zip(marks, memo.get(marks))}
+    long = [len(b) > SHORT or len(t) > SHORT for b, t in zip(bodies, tails)]
+    brief = memo.get(["" if x else b for b, x in zip(bodies, long)] if any(long) else bodies)
     out = []
-    for body, tail, known in zip(bodies, tails, brief):
-        if len(body) > SHORT or len(tail) > SHORT:
+    for body, tail, known, wide in zip(bodies, tails, brief, long):
+        if wide:
             table = _long_memo(path).get([body])[0]
             if tail:
                 table = np.concatenate([table, _long_memo(path).get([tail])[0] + table[-1]])
             out.append(table.astype("<i4").tobytes())
         elif tail:
-            last = known[-1]
-            out.append(known + bytes([last + x for x in closing[tail]]))
+            last = known[-2] + 256 * known[-1]
+            more = closing[tail]
+            out.append(known + struct.pack(f"<{len(more)}H", *[last + x for x in more]))
         else:
             out.append(known)
-    wide = [isinstance(x, bytes) and (len(b) > SHORT or len(t) > SHORT) for x, b, t in zip(out, bodies, tails)]
-    sizes = np.fromiter(map(len, out), np.int64, len(out))
-    if not any(wide):
-        return sizes, np.frombuffer(b"".join(out), np.uint8).astype(np.int32)
-    parts = [np.frombuffer(x, "<i4") if w else np.frombuffer(x, np.uint8) for x, w in zip(out, wide)]
-    return np.array([len(x) for x in parts], np.int64), np.concatenate(parts).astype(np.int32)
+    if not any(long):
+        flat = np.frombuffer(b"".join(out), "<u2").astype(np.int32)
+        return np.fromiter(map(len, out), np.int64, len(out)) // 2, flat
+    parts = [np.frombuffer(x, "<i4" if w else "<u2").astype(np.int32) for x, w in zip(out, long)]
+    return np.array([len(x) for x in parts], np.int64), np.concatenate(parts)
 
 
 def slice_prefix_counts(texts: pa.Array, path: str) -> tuple[np.ndarray, np.ndarray]:

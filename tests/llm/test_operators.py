@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import time
 import zlib
 
 import numpy as np
@@ -255,6 +256,36 @@ def test_long_runs_by_the_second_program():
         assert got == [len(library_ids(text[:n])) for n in range(1, len(text) + 1)]
 
 
+#: Pieces that normalisation, the pre-tokeniser or the special strings treat oddly.
+PIECES = ["İ", "ı", "ſ", "K", "\ufb2c", "\U0001d160", "\u0958", "ᄀ", "ᅡ", "ᆨ", "가", "e\u0301", "\u0301", "\u0323", "\u0307", "a\u0323\u0307", "ǆ", "ß", "字", "毒", "д", "ω", "٣", "9", "½", "'", "'s", "'S", "'re", "'lx", "!", ".,;", ":?", "…", "—", "👍", "👩\u200d🚀", "\u00a0", "\u3000", "\u1680", "\x1c", "\x85", "<|endoftext|>", "<|startoftext|>", "<|endoftext", "|>", "<|ENDOFTEXT|>", "a", "B", "the", "ing", "Rİ.", "\u0378"]
+
+
+def test_ids_and_counts_of_odd_texts():
+    path, rng = tokens.word_tokenizer(), np.random.default_rng(8)
+    texts = ["İ.", "Aİ!", "Rİ. Sİ,", "\ufb2c" * 48, "\U0001d160" * 40, "x" * 47 + "\u0301!!", "." * 60, "a" + "!" * 60]
+    for size in [3] * 150 + [12] * 100 + [70] * 40:
+        texts.append("".join(PIECES[i] + (" " if rng.random() < 0.1 else "") for i in rng.integers(0, len(PIECES), size)))
+    ends, ids = tokens.slice_ids(pa.array(texts), path)
+    edges, counts = tokens.slice_prefix_counts(pa.array(texts), path)
+    for i, t in enumerate(texts):
+        assert ids[ends[i] : ends[i + 1]].tolist() == library_ids(t), t
+        want = [len(library_ids(t[:n])) for n in range(1, len(t) + 1)]
+        assert counts[edges[i] : edges[i + 1]].tolist() == want, t
+        if t and " " not in t:
+            assert tokens.long_chunk_counts(t, path).tolist() == want, t
+
+
+@pytest.mark.parametrize("odd_piece", ["e\u0301", "İ", "<|endoftext|>", "'s"])
+def test_one_odd_piece_in_a_long_chunk_costs_no_more(odd_piece):
+    path = tokens.word_tokenizer()
+    text = "unbroken" * 4000 + odd_piece + "字毒x1" * 4000
+    began = time.perf_counter()
+    edges, counts = tokens.slice_prefix_counts(pa.array([text]), path)
+    assert time.perf_counter() - began < 30
+    for n in (1, 31_999, 32_000, 32_001, 32_002, 32_010, len(text)):
+        assert counts[n - 1] == len(library_ids(text[:n]))
+
+
 @pytest.mark.parametrize("weights", [None, {"s0": 3.0, "s1": 1.0}])
 def test_packing_places_every_id_once(spark, odd, weights):
     got = packing.pack(odd, weights, sequence=64, window=2, keep_ids=True).orderBy("sequence_id", "offset").collect()
