@@ -19,3 +19,20 @@ def with_ids(docs: DataFrame, ids: DataFrame) -> DataFrame:
     if ids.count() <= BROADCAST_IDS:
         wanted = F.broadcast(wanted)
     return docs.join(wanted, F.col("doc_id").cast("long").eqNullSafe(F.col("_wanted")), "left_semi")
+
+
+def with_flag(docs: DataFrame, ids: DataFrame, flag: str) -> DataFrame:
+    """``docs`` and whether its ``doc_id`` is among ``ids``, a staged table; null ids are not.
+
+    Ids are broadcast if they are few, so texts don't move.
+    """
+    wanted = ids.select(F.col("doc_id").cast("long").alias("_wanted")).where("_wanted is not null").distinct().withColumn(flag, F.lit(True))
+    if ids.count() <= BROADCAST_IDS:
+        wanted = F.broadcast(wanted)
+    joined = docs.join(wanted, F.col("doc_id").cast("long") == F.col("_wanted"), "left")
+    return joined.withColumn(flag, F.coalesce(flag, F.lit(False))).drop("_wanted")
+
+
+def good_ids(labels: DataFrame) -> DataFrame:
+    """Ids of documents labelled as of good quality."""
+    return labels.where("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()

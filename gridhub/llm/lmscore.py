@@ -1,60 +1,273 @@
-"""Cross-entropy difference of two matched n-gram models.
+"""Cross-entropy difference of two matched n-gram models of words.
 
-A target model and a background model have the same order, the same smoothing and one
-vocabulary, the symbols of ``symbols``; the background's counts are scaled to the target's
-mass, so that neither is smoother than the other.  A document's score is the mean over its
-tokens of the loss under the target less the loss under the background: the lower, the
-more it reads like the target.
+Target and background share one open vocabulary, the words of all documents, the order
+(two words) and the smoothing: a pair's share of its first word's pairs is mixed with a
+unigram share, as if that had been seen ALPHA times.  The HEAD most frequent words have
+unigram shares of their own, all others of a model the same share.  A document is left out
+of the pair counts that it is scored by, so neither model has seen what it judges.  The
+score is the mean over its words of the loss under the target less the loss under the
+background: the lower, the more it reads like the target.
+
+All pair counts grow with the corpus and are never gathered.  ``(document, pair, times)``
+rows meet by the pair's first word, where one sort serves the sums of pairs and of first
+words.  Rows of a frequent first word meet by the whole pair, as its total is among the
+broadcast ones, and pairs that a sample finds frequent are counted inside the scans: no
+key holds more than a small share of the rows.  Sums are whole millionths of a bit, so
+reruns agree.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+import pyarrow.compute as pc
+import xxhash
+from pyspark import TaskContext
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gridhub.llm.joins import with_ids
-from gridhub.llm.symbols import CELLS, SYMBOLS, dense, gram_counts, score_grams
+from gridhub.llm.arrow import column, filled, text_slices, word_lists
+from gridhub.llm.grams import KeyTable
+from gridhub.llm.joins import good_ids, with_flag
 from gridhub.plans.staging import stage
 
+#: Times that a unigram share counts in its pair's share.
+ALPHA = 4.0
+#: Words with unigram shares and first-word totals of their own, known to every task.
+HEAD = 1 << 16
+#: Pairs counted inside the scans, and texts of the sample that names them: speed only.
+HOT_PAIRS, SAMPLE_TEXTS = 1 << 18, 4_000
+#: Losses are whole millionths of a bit.
+UNIT = 1_000_000
+#: Bytes of text taken at a time, and keys that a task holds before it sends them on.
+WORD_SLICE, HELD = 2 << 20, 1 << 20
+#: Key of the word that stands before every text.
+START = np.uint64(1)
+#: Signs, and characters of scripts without spaces, are words of their own.
+SPLIT = r"([^\s\p{L}\p{M}\p{N}]|[\p{Han}\p{Hiragana}\p{Katakana}\p{Thai}\p{Lao}\p{Khmer}\p{Myanmar}])"
+_STEP = np.uint64(0x9E3779B97F4A7C15)
+
+
+def slice_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(offsets per text, key of every word) of whole texts, lower-cased."""
+    bounds, words = word_lists(pc.replace_substring_regex(pc.utf8_lower(texts), SPLIT, r" \1 "), unicode=True)
+    coded = words.dictionary_encode()
+    keys = np.fromiter((xxhash.xxh64_intdigest(w) for w in coded.dictionary.to_pylist()), np.uint64, len(coded.dictionary))
+    return bounds, keys[coded.indices.to_numpy()]
+
+
+def _pairs(bounds: np.ndarray, words: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first word, pair) keys at every word, and the text each word is in."""
+    first = np.r_[START, words[:-1]] if len(words) else words
+    sizes = np.diff(bounds)
+    first[bounds[:-1][sizes > 0]] = START
+    return first, first * _STEP ^ words, np.repeat(np.arange(len(sizes)), sizes)
+
+
+class _Tally:
+    """Adds up columns by key in a task, within a bound."""
+
+    def __init__(self, columns: int):
+        self.columns, self.held, self.size = columns, [], 0
 
-def losses(counts: np.ndarray) -> np.ndarray:
-    """Bits per symbol for every n-gram: Witten-Bell smoothing from the lowest order up."""
-    lower = np.full(SYMBOLS, 1.0 / SYMBOLS)
-    size = SYMBOLS
-    while size <= len(counts):
-        table = counts.reshape(-1, size).sum(0).reshape(-1, SYMBOLS)
-        total, kinds = table.sum(1, keepdims=True), (table > 0).sum(1, keepdims=True)
-        below = np.tile(lower.reshape(-1, SYMBOLS), (table.shape[0] // (lower.size // SYMBOLS), 1))
-        lower = ((table + kinds * below) / np.maximum(total + kinds, 1e-300)).reshape(-1)
-        lower = np.where((total + kinds == 0).repeat(SYMBOLS), below.reshape(-1), lower)
-        size *= SYMBOLS
-    return -np.log2(lower)
+    def add(self, keys: np.ndarray, *sums: np.ndarray) -> None:
+        coded = pa.array(keys).dictionary_encode()
+        back = coded.indices.to_numpy()
+        unique = coded.dictionary.to_numpy()
+        self.held.append((unique, *[np.bincount(back, s, len(unique)).astype(np.int64) for s in sums]))
+        self.size += len(unique)
 
+    def take(self, last: bool = False) -> tuple | None:
+        """The sums, when there are too many keys or at the end."""
+        if not self.held or not (last or self.size > HELD):
+            return None
+        keys, back = np.unique(np.concatenate([h[0] for h in self.held]), return_inverse=True)
+        whole = (keys, *[np.bincount(back, np.concatenate([h[i + 1] for h in self.held]), len(keys)).astype(np.int64) for i in range(self.columns)])
+        self.held, self.size = ([], 0) if last or len(keys) > HELD // 2 else ([whole], len(keys))
+        return whole if not self.held else None
 
-def cross_entropy_difference(docs: DataFrame, target: DataFrame, background: DataFrame | None = None) -> DataFrame:
-    """Score every document of ``docs`` by both models.
 
-    ``target`` and ``background`` need ``text``; the background is ``docs`` unless given,
-    and counts run over all of it.  Null counts as empty; a text without symbols gets null
-    losses; an empty target leaves a uniform model.  Returns ``doc_id, n_symbols,
-    target_loss, background_loss, difference``.
+def frequent_pairs(docs: DataFrame) -> np.ndarray:
+    """Keys of pairs that a bounded sample of texts shows to be frequent."""
+    every = max(1, docs.count() // SAMPLE_TEXTS)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tally = _Tally(1)
+        for part in text_slices(batches, limit=WORD_SLICE):
+            _, pair, _ = _pairs(*slice_words(filled(part)))
+            tally.add(pair, np.ones(len(pair)))
+            if (found := tally.take()) is not None:
+                yield batch(*found)
+        if (found := tally.take(True)) is not None:
+            yield batch(*found)
+
+    def batch(keys: np.ndarray, n: np.ndarray) -> pa.RecordBatch:
+        many = n > 1
+        return pa.RecordBatch.from_pydict({"pair": pa.array(keys[many].view(np.int64)), "n": pa.array(n[many])})
+
+    drawn = docs.where(F.pmod(F.xxhash64("doc_id", F.lit(31)), F.lit(every)) == 0).select("text")
+    counts = drawn.mapInArrow(run, "pair long, n long").groupBy("pair").agg(F.sum("n").alias("n")).where("n > 2")
+    return np.sort(counts.orderBy(F.desc("n"), "pair").limit(HOT_PAIRS).select("pair").toArrow()["pair"].to_numpy().view(np.uint64))
+
+
+def counted(docs: DataFrame, hot: np.ndarray) -> DataFrame:
+    """Exact counts over all texts: ``kind, key, n, n_target, firsts, firsts_target``.
+
+    Kind 0 are words, with how often they come and how often they are a pair's first;
+    kind 1 are the pairs of ``hot``.  Needs ``text, in_target``.
     """
-    ours = dense(gram_counts(target), "gram", "n", CELLS)
-    theirs = dense(gram_counts(docs if background is None else background), "gram", "n", CELLS)
-    if ours.sum() and theirs.sum():
-        theirs = theirs * (ours.sum() / theirs.sum())
-    scored = score_grams(docs, {"target_loss": losses(ours), "background_loss": losses(theirs)})
-    return scored.withColumn("difference", F.round(F.col("target_loss") - F.col("background_loss"), 6))
+    sent = docs.sparkSession.sparkContext.broadcast(hot)  # HOT_PAIRS keys at most
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words_in, pairs_in = _Tally(4), _Tally(2)
+        table = KeyTable(sent.value)
+        for part in text_slices(batches, limit=WORD_SLICE):
+            bounds, words = slice_words(filled(part))
+            first, pair, text = _pairs(bounds, words)
+            flag = column(part, "in_target").to_numpy(zero_copy_only=False).astype(np.int64)[text]
+            one, none = np.ones(len(words), np.int64), np.zeros(len(words), np.int64)
+            words_in.add(np.r_[words, first], np.r_[one, none], np.r_[flag, none], np.r_[none, one], np.r_[none, flag])
+            known = table.find(pair) >= 0
+            pairs_in.add(pair[known], one[known], flag[known])
+            for kind, tally in ((0, words_in), (1, pairs_in)):
+                if (found := tally.take()) is not None:
+                    yield batch(kind, *found)
+        for kind, tally in ((0, words_in), (1, pairs_in)):
+            if (found := tally.take(True)) is not None:
+                yield batch(kind, *found)
 
+    def batch(kind: int, keys: np.ndarray, *sums: np.ndarray) -> pa.RecordBatch:
+        sums = (*sums, *[np.zeros(len(keys), np.int64)] * (4 - len(sums)))
+        out = {"kind": pa.array(np.full(len(keys), kind, np.int32)), "key": pa.array(keys.view(np.int64))}
+        return pa.RecordBatch.from_pydict(out | {c: pa.array(s) for c, s in zip(names, sums)})
 
-def trusted_texts(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Texts of documents labelled as of good quality."""
-    good = stage(labels.where("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), "good")
-    return with_ids(docs.select("doc_id", "text"), good)
+    names = ("n", "n_target", "firsts", "firsts_target")
+    found = docs.select("text", "in_target").mapInArrow(run, "kind int, key long, " + ", ".join(f"{c} long" for c in names))
+    return found.groupBy("kind", "key").agg(*[F.sum(c).alias(c) for c in names])
+
+
+class Shared:
+    """What every task knows of both models, background first: the head words and hot pairs."""
+
+    def __init__(self, counts: DataFrame, head: int):
+        words = counts.where("kind = 0")
+        total, target, kinds = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("n_target"), F.lit(0)), F.count_if(F.col("n") > 0)).first()
+        top = words.orderBy(F.desc(F.col("n") + F.col("firsts")), "key").limit(head).toArrow()
+        hot = counts.where("kind = 1").toArrow()  # HOT_PAIRS rows at most
+        numbers = lambda t, c: t[c].to_numpy().astype(np.float64)
+        self.words, self.pairs = top["key"].to_numpy().view(np.uint64), hot["key"].to_numpy().view(np.uint64)
+        self.firsts = [numbers(top, "firsts"), numbers(top, "firsts_target")]
+        self.counts = [numbers(hot, "n"), numbers(hot, "n_target")]
+        self.unigram = []
+        real = numbers(top, "n") > 0  # START is never predicted
+        for name, mass in (("n", total), ("n_target", target)):
+            own = (numbers(top, name) + 1) * real
+            rest = max(1, kinds - int(real.sum()))
+            other = (mass - numbers(top, name).sum() + rest) / rest
+            self.unigram.append(np.r_[own, other] / (mass + max(1, kinds)))
+
+
+def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
+    """One row a document with its hot pairs settled, and one a document and other pair.
+
+    All columns are numbers, so that both kinds of rows go through one exchange.  Of a
+    document (``h1`` = -2): ``row, p`` = row, ``g`` = doc_id, ``n`` = words, ``nctx`` and
+    ``h2`` = losses under background and target, ``t`` = pairs that no other document has.
+    Of a pair: its document's ``row``, key ``g`` and times ``n``, the first word's times
+    ``nctx`` in the document, head numbers ``h1, h2`` of both words, whether in the target
+    ``t``, and ``p`` where it meets its likes.
+    """
+    sent = docs.sparkSession.sparkContext.broadcast(shared)  # HEAD words and HOT_PAIRS pairs at most
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        s = sent.value
+        head, hot = KeyTable(s.words), KeyTable(s.pairs)
+        row = TaskContext.get().partitionId() << 33
+        for part in text_slices(batches, limit=WORD_SLICE):
+            bounds, words = slice_words(filled(part))
+            first, pair, text = _pairs(bounds, words)
+            many = part.num_rows
+            rows, row = row + np.arange(many), row + many
+            flag = column(part, "in_target").to_numpy(zero_copy_only=False).astype(np.int64)
+            order = np.lexsort((pair, first, text))
+            f, g, x = first[order], pair[order], text[order]
+            new_first = np.r_[True, (f[1:] != f[:-1]) | (x[1:] != x[:-1])] if len(f) else np.zeros(0, bool)
+            new = np.flatnonzero(new_first | np.r_[True, g[1:] != g[:-1]] if len(f) else new_first)
+            n = np.diff(np.r_[new, len(f)])
+            nctx = np.diff(np.r_[np.flatnonzero(new_first), len(f)])[np.cumsum(new_first)[new] - 1] if len(f) else n
+            f, g, x, w = f[new], g[new], x[new], words[order[new]]
+            h1, h2, at = head.find(f), head.find(w), hot.find(g)
+            near = np.flatnonzero((h1 >= 0) & (at >= 0))
+            sums = []
+            for model in (0, 1):
+                own = n[near] if model == 0 else n[near] * flag[x[near]]
+                ctx = nctx[near] if model == 0 else nctx[near] * flag[x[near]]
+                c = s.counts[model][at[near]] - own
+                p = (c + ALPHA * s.unigram[model][h2[near]]) / (s.firsts[model][h1[near]] - ctx + ALPHA)
+                sums.append(np.bincount(x[near], n[near] * np.round(-np.log2(p) * UNIT), many).astype(np.int64))
+                if model == 0:
+                    lone = np.bincount(x[near], n[near] * (c == 0), many).astype(np.int64)
+            yield batch(rows, rows, column(part, "doc_id"), np.diff(bounds), sums[0], np.full(many, -2, np.int32), sums[1], lone)
+            far = np.setdiff1d(np.arange(len(n)), near, assume_unique=True)
+            meet = np.where(h1[far] >= 0, g[far], f[far]).view(np.int64)
+            far, meet = far[(by := np.argsort(meet, kind="stable"))], meet[by]  # alike rows side by side compress
+            yield batch(rows[x[far]], meet, pa.array(g[far].view(np.int64)), n[far], nctx[far], h1[far], h2[far], flag[x[far]])
+
+    def batch(row, p, g, n, nctx, h1, h2, t) -> pa.RecordBatch:
+        whole = {"row": row, "p": p, "n": n, "nctx": nctx, "h2": h2, "t": t}
+        return pa.RecordBatch.from_pydict({c: pa.array(np.asarray(v, np.int64)) for c, v in whole.items()} | {"g": g.cast(pa.int64()), "h1": pa.array(np.asarray(h1, np.int32))})
+
+    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "in_target")
+    return source.mapInArrow(run, "row long, p long, n long, nctx long, h2 long, t long, g long, h1 int")
+
+
+def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
+    """Score every row of ``docs`` by both models.
+
+    Needs ``doc_id, text`` and a boolean ``in_target``; the background is every row, the
+    target the flagged ones.  Null text counts as empty and a null flag as false; a text
+    without words gets null losses; with no target row its model is the smoothing alone.
+    Repeated rows are rows of their own, each left out only of its own scoring; a null id
+    stays null; other columns are ignored.  Row numbers follow the scan, which must deal
+    the same rows to the same task when it is run again, as files do.  Returns ``doc_id,
+    n_words, lone_pairs`` (pairs no other row has), ``target_loss, background_loss,
+    difference``.
+    """
+    spark = docs.sparkSession
+    docs = docs.withColumn("in_target", F.coalesce("in_target", F.lit(False)))
+    shared = Shared(stage(counted(docs, frequent_pairs(docs)), "words"), head)
+    met = pair_losses(docs, shared).repartition("p").sortWithinPartitions("p", "g")
+    pair, word = Window.partitionBy("p", "g"), Window.partitionBy("p")
+    tail = F.col("h1") >= -1
+    met = met.withColumns({"c0": F.sum("n").over(pair), "c1": F.sum(F.col("n") * F.col("t")).over(pair)})
+    met = met.withColumns({"w0": F.sum("n").over(word), "w1": F.sum(F.col("n") * F.col("t")).over(word)})
+    places = np.arange(len(shared.words))
+    firsts = spark.createDataFrame(pa.table({"f_id": pa.array(places.astype(np.int32)), "f0": shared.firsts[0], "f1": shared.firsts[1]}))
+    unigram = spark.createDataFrame(pa.table({"u_id": np.r_[places, -1], "u0": shared.unigram[0], "u1": shared.unigram[1]}))
+    met = met.join(F.broadcast(firsts), F.col("h1") == F.col("f_id"), "left").join(F.broadcast(unigram), F.col("h2") == F.col("u_id"), "left")  # HEAD rows at most
+
+    def loss(model: int) -> F.Column:
+        own = F.lit(1) if model == 0 else F.col("t")
+        c = F.col(f"c{model}") - F.col("n") * own
+        total = F.coalesce(f"f{model}", F.col(f"w{model}").cast("double")) - F.col("nctx") * own
+        bits = -F.log2((c + ALPHA * F.col(f"u{model}")) / (total + ALPHA))
+        return F.col("n") * F.round(bits * UNIT).cast("long")
+
+    sums = met.groupBy("row").agg(
+        F.max(F.when(~tail, F.col("g"))).alias("doc_id"),
+        F.max(F.when(~tail, F.col("n"))).alias("n_words"),
+        F.sum(F.when(tail, F.when(F.col("c0") == F.col("n"), F.col("n")).otherwise(0)).otherwise(F.col("t"))).alias("lone_pairs"),
+        F.sum(F.when(tail, loss(1)).otherwise(F.col("h2"))).alias("target"),
+        F.sum(F.when(tail, loss(0)).otherwise(F.col("nctx"))).alias("background"),
+    )
+    mean = lambda c: F.when(F.col("n_words") > 0, F.round(F.col(c) / F.col("n_words") / UNIT, 6))
+    scored = sums.select("doc_id", "n_words", "lone_pairs", mean("target").alias("target_loss"), mean("background").alias("background_loss"))
+    return scored.withColumn("difference", F.round(F.col("target_loss") - F.col("background_loss"), 6))
 
 
 def op5_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All ``documents`` against the texts that ``labels`` calls good."""
     docs, labels = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "labels"))
-    return cross_entropy_difference(docs, trusted_texts(docs, labels))
+    return cross_entropy_difference(with_flag(docs.select("doc_id", "text"), stage(good_ids(labels), "good"), "in_target"))

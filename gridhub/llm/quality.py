@@ -1,10 +1,12 @@
 """Quality by an interpolated modified Kneser-Ney model of trusted text.
 
-Counts of all orders, their continuation counts and their context sums are DataFrames that
-are joined by n-gram, by context and by suffix, so that each task holds a shard of them.
-What comes out has at most one row per possible n-gram of the alphabet; the perplexity of
-a whole text is looked up in it, and a document stays if its perplexity is not above the
-quantile that trusted documents of its language have.
+Tokens are code points, whatever the script.  Counts of all orders, their continuation
+counts and their context sums are tables sharded by n-gram, context and suffix; joins of
+them give the probability of every n-gram that occurs in any document, backing off by a
+join with the next lower order where trusted text lacks it.  Another join, of the
+documents' n-grams with that table, gives perplexities.  A document stays if its
+perplexity is not above the quantile of its language among trusted documents that the
+model was not trained on.
 """
 
 from __future__ import annotations
@@ -13,14 +15,17 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from gridhub.llm.lmscore import trusted_texts
-from gridhub.llm.symbols import BITS, ORDER, SYMBOLS, dense, gram_counts, score_grams
+from gridhub.llm.grams import gram_counts, gram_sums
+from gridhub.llm.joins import BROADCAST_IDS, good_ids, with_flag
 from gridhub.plans.staging import stage
 
-#: Share of trusted documents of a language that the threshold lets through.
+ORDER = 5
+#: Share of held-out trusted documents of a language that the threshold lets through.
 QUANTILE = 0.98
-#: Log-perplexities are ranked in steps of 1/1000 bit.
-STEP = 1000
+#: One of so many trusted documents, by a hash of the id, is held out for the thresholds.
+FOLDS = 5
+#: Losses are whole millionths of a bit; log-perplexities are ranked in thousandths.
+UNIT, STEP = 1_000_000, 1000
 
 
 def _discounts(counts: DataFrame) -> list[float]:
@@ -34,32 +39,32 @@ def _discounts(counts: DataFrame) -> list[float]:
     return [float(np.clip(d, 0.05, k - 0.05)) for k, d in zip((1, 2, 3), found)]
 
 
-def kneser_ney(counts: DataFrame) -> np.ndarray:
-    """Bits per symbol for every n-gram of the highest order, from ``gram, n``."""
-    orders = [stage(counts, "kn")]
-    for k in range(ORDER - 1, 0, -1):
-        suffix = F.col("gram").bitwiseAND((1 << (BITS * k)) - 1)
-        orders.insert(0, stage(orders[0].groupBy(suffix.alias("gram")).agg(F.count("*").alias("n")), "kn"))
-    lower, below = None, np.full(SYMBOLS, 1.0 / SYMBOLS)
-    for k, level in enumerate(orders, 1):
+def kneser_ney(counts: DataFrame, order: int = ORDER) -> DataFrame:
+    """``gram, p`` for every row of ``gram, n``, where ``n`` is 0 for what the model never met.
+
+    The n-grams of lower orders are the suffixes, counted by how many different code points
+    come before them in trusted text; below the lowest order stands a uniform share of all
+    code points that occur.
+    """
+    levels = [counts.select("gram", "n")]
+    for k in range(order - 1, 0, -1):
+        suffix = F.expr(f"substring(gram, 2, {k})")
+        levels.insert(0, stage(levels[0].groupBy(suffix.alias("gram")).agg(F.count_if(F.col("n") > 0).alias("n")), "kn"))
+    lower, kinds = None, max(1, levels[0].count())
+    for k, level in enumerate(levels, 1):
         d = _discounts(level)
-        context = F.shiftright("gram", BITS).alias("context")
-        sums = level.groupBy(context).agg(F.sum("n").alias("total"), *[F.count_if((F.col("n") == i) if i < 3 else (F.col("n") >= 3)).alias(f"k{i}") for i in (1, 2, 3)])
+        context = F.expr(f"substring(gram, 1, {k - 1})").alias("context")
+        sums = level.where("n > 0").groupBy(context).agg(F.sum("n").alias("total"), *[F.count_if((F.col("n") == i) if i < 3 else (F.col("n") >= 3)).alias(f"k{i}") for i in (1, 2, 3)])
         sums = sums.select("context", "total", ((d[0] * F.col("k1") + d[1] * F.col("k2") + d[2] * F.col("k3")) / F.col("total")).alias("back"))
         cut = F.when(F.col("n") == 1, d[0]).when(F.col("n") == 2, d[1]).otherwise(d[2])
-        seen = level.select("gram", context, "n", cut.alias("cut")).join(sums, "context")
+        seen = level.select("gram", context, "n", cut.alias("cut")).join(sums, "context", "left")
         if lower is None:
-            seen = seen.withColumn("under", F.lit(1.0 / SYMBOLS))
+            seen = seen.withColumn("under", F.lit(1.0 / kinds))
         else:
-            seen = seen.withColumn("suffix", F.col("gram").bitwiseAND((1 << (BITS * (k - 1))) - 1)).join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("under")), "suffix")
-        lower = stage(seen.select("gram", (F.greatest(F.col("n") - F.col("cut"), F.lit(0.0)) / F.col("total") + F.col("back") * F.col("under")).alias("p")), "knp")
-        size = SYMBOLS**k
-        back = dense(sums, "context", "back", size // SYMBOLS, 1.0)
-        if k > 1:
-            below = np.tile(below, SYMBOLS)
-        known = dense(lower, "gram", "p", size, np.nan)
-        below = np.where(np.isnan(known), np.repeat(back, SYMBOLS) * below, known)
-    return -np.log2(below)
+            seen = seen.withColumn("suffix", F.expr(f"substring(gram, 2, {k - 1})")).join(lower.select(F.col("gram").alias("suffix"), F.col("p").alias("under")), "suffix")
+        p = F.greatest(F.col("n") - F.col("cut"), F.lit(0.0)) / F.col("total") + F.col("back") * F.col("under")
+        lower = stage(seen.select("gram", F.coalesce(p, F.col("under")).alias("p")), "knp")
+    return lower
 
 
 def language_thresholds(scored: DataFrame, quantile: float = QUANTILE) -> DataFrame:
@@ -70,21 +75,34 @@ def language_thresholds(scored: DataFrame, quantile: float = QUANTILE) -> DataFr
     return ranked.where(F.col("upto") >= quantile * F.col("all")).groupBy("lang_key").agg((F.min("step") / STEP).alias("threshold"))
 
 
-def judge_quality(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE) -> DataFrame:
+def held_out(doc_id: F.Column, folds: int = FOLDS) -> F.Column:
+    return F.pmod(F.xxhash64(doc_id.cast("long"), F.lit(29)), F.lit(folds)) == 0
+
+
+def judge_quality(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTILE, order: int = ORDER) -> DataFrame:
     """Perplexity of every document and whether it stays.
 
-    ``docs`` needs ``doc_id, lang, text``, ``trusted`` ``doc_id, text`` of rows of ``docs``.
-    A null language is a language of its own; one without trusted documents uses the
-    threshold over all of them; with no trusted text at all everything stays.  A text
-    without symbols has no perplexity and does not stay.  Returns ``doc_id, lang,
-    n_symbols, perplexity, threshold, keep``.
+    ``docs`` needs ``doc_id, lang, text``, ``trusted`` ``doc_id`` of rows of ``docs``.  A
+    null language is a language of its own; one without held-out trusted documents uses the
+    threshold over all of them; with none at all everything with a text stays.  Null text
+    counts as empty; an empty text has no perplexity and does not stay.  Repeated rows give
+    repeated rows, and each counts in the model; a row at its threshold stays.  Returns
+    ``doc_id, lang, n_symbols, perplexity, threshold, keep``.
     """
-    table = kneser_ney(gram_counts(trusted))
-    scored = stage(score_grams(docs.select("doc_id", "lang", "text"), {"bits": table}, ("lang",)), "ppl")
-    held = scored.join(trusted.select(F.col("doc_id").cast("long").alias("t")).distinct(), F.col("doc_id") == F.col("t"), "left_semi")
-    own = language_thresholds(held, quantile)
-    overall = language_thresholds(held.withColumn("lang", F.lit("")), quantile).select(F.col("threshold").alias("overall"))
-    joined = scored.withColumn("lang_key", F.coalesce("lang", F.lit(""))).join(F.broadcast(own), "lang_key", "left").join(F.broadcast(overall), F.lit(True), "left")
+    ids = stage(trusted.select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), "good")
+    flagged = with_flag(docs.select("doc_id", "lang", "text"), ids, "is_trusted")
+    flagged = flagged.withColumn("model", F.col("is_trusted") & ~held_out(F.col("doc_id")))
+    universe = stage(gram_counts(flagged.select("text", "model"), order, ("model",)), "universe")
+    p = kneser_ney(universe.select("gram", F.col("model").alias("n")), order)
+    table = universe.select("key", "gram", "n").join(p, "gram").select("key", "n", F.round(-F.log2("p") * UNIT).cast("long").alias("loss"))
+    scored = gram_sums(flagged, stage(table, "losses"), order, ("loss",), ("lang", "is_trusted"))
+    scored = stage(scored.withColumn("bits", F.when(F.col("n_symbols") > 0, F.col("loss") / F.col("n_symbols") / UNIT)), "ppl")
+    judges = scored.where("is_trusted").where(held_out(F.col("doc_id")))
+    own = stage(language_thresholds(judges, quantile), "own")
+    if own.count() <= BROADCAST_IDS:
+        own = F.broadcast(own)
+    overall = language_thresholds(judges.withColumn("lang", F.lit("")), quantile).select(F.col("threshold").alias("overall"))
+    joined = scored.withColumn("lang_key", F.coalesce("lang", F.lit(""))).join(own, "lang_key", "left").join(F.broadcast(overall), F.lit(True), "left")
     limit = F.coalesce("threshold", "overall", F.lit(float("inf")))
     return joined.select("doc_id", "lang", "n_symbols", F.round(F.pow(F.lit(2.0), F.col("bits")), 6).alias("perplexity"), F.round(F.pow(F.lit(2.0), limit), 6).alias("threshold"), F.coalesce(F.round("bits", 3) <= limit, F.lit(False)).alias("keep"))
 
@@ -92,4 +110,4 @@ def judge_quality(docs: DataFrame, trusted: DataFrame, quantile: float = QUANTIL
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All ``documents`` judged by a model of the texts that ``labels`` calls good."""
     docs, labels = (spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in ("documents", "labels"))
-    return judge_quality(docs, trusted_texts(docs, labels))
+    return judge_quality(docs, good_ids(labels))

@@ -4,14 +4,17 @@ import hashlib
 import re
 import time
 import zlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
 import pytest
+import regex
 import xxhash
 from pyspark.sql import functions as F
 
-from gridhub.llm import chat, exact, joins, lmscore, mixing, neighbors, packing, quality, simhash, symbols, tokens, toxicity
+from gridhub.llm import chat, exact, grams, joins, lmscore, mixing, neighbors, packing, quality, simhash, tokens, toxicity
+from gridhub.plans.staging import stage
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 ODD = [None, "", " \n\t ", "one", "Two words", "the cat sat on the mat " * 400, "x" * 5000, "日本語 テキスト 　", "it's I'D don't 'stuff'", "a<|endoftext|>b", "́é café İstanbul", "nul\x00byte \x1c \x85"]
@@ -197,35 +200,136 @@ def test_mix_of_empty_texts_and_equal_rows(spark):
 # ---------------------------------------------------------------- language models
 
 
-def test_symbol_grams():
-    off, codes = symbols.slice_grams(pa.array(["ab", "", "é1"]))
-    s, p = symbols.START, 32
-    assert off.tolist() == [0, 2, 2, 4]
-    assert codes.tolist() == [((s * p + s) * p + s) * p + 0, ((s * p + s) * p + 0) * p + 1, ((s * p + s) * p + s) * p + symbols.OTHER, ((s * p + s) * p + symbols.OTHER) * p + symbols.DIGIT]
-
-
-def test_losses_are_distributions(spark):
-    texts = frame(spark, ["the cat sat", "on the mat", None, ""])
-    counts = symbols.dense(symbols.gram_counts(texts), "gram", "n", symbols.CELLS)
-    assert counts.sum() == 21
-    for bits in (lmscore.losses(counts), quality.kneser_ney(symbols.gram_counts(texts))):
-        sums = (2.0 ** -bits).reshape(-1, symbols.SYMBOLS).sum(1)
-        assert np.allclose(sums, 1, atol=1e-6)
-
-
-def test_difference_prefers_the_target(spark):
-    docs = frame(spark, ["the cat sat on the mat", "zq9 $$ xkcd %% ##", None, "", "the rat sat on the hat"])
-    got = {r.doc_id: r for r in lmscore.cross_entropy_difference(docs, docs.where("doc_id = 0")).collect()}
-    assert got[4].difference < got[1].difference and got[2].difference is None and got[3].n_symbols == 0
-    assert lmscore.cross_entropy_difference(docs, docs.where("doc_id < 0")).count() == 5
+def plain_words(text):
+    return regex.sub(lmscore.SPLIT, r" \1 ", (text or "").lower()).split()
+
+
+def plain_differences(texts, flags, head):
+    """Dirichlet-smoothed word pairs in plain dicts, every text left out of its own counts."""
+    lists = [plain_words(t) for t in texts]
+    pairs = [Counter(zip(["", *w[:-1]], w)) for w in lists]
+    firsts = [Counter(["", *w[:-1]] if w else []) for w in lists]
+    words, target = Counter(x for w in lists for x in w), Counter(x for w, f in zip(lists, flags) if f for x in w)
+    alone = {x for x in words if x in head}
+    out = []
+    for i, w in enumerate(lists):
+        means = []
+        for chosen, unigram in ((flags, target), ([True] * len(texts), words)):
+            rest = max(1, len(words) - len(alone))
+            other = (sum(unigram.values()) - sum(unigram[x] for x in alone) + rest) / rest
+            loss = 0
+            for (a, b), n in pairs[i].items():
+                c = sum(p[a, b] for j, p in enumerate(pairs) if chosen[j] and j != i)
+                t = sum(p[a] for j, p in enumerate(firsts) if chosen[j] and j != i)
+                q = (unigram[b] + 1 if b in alone else other) / (sum(unigram.values()) + len(words))
+                loss -= n * np.log2((c + lmscore.ALPHA * q) / (t + lmscore.ALPHA))
+            means.append(loss / len(w) if w else None)
+        lone = sum(n for k, n in pairs[i].items() if sum(p[k] for p in pairs) == n)
+        out.append((len(w), lone, *means))
+    return out
+
+
+LM_TEXTS = ["the cat sat on the mat, the end.", "zq9 $$ xkcd %% ##", None, "", "the rat sat on the hat", "the rat sat on the hat", "\u0442\u0435\u043a\u0441\u0442 \u043e \u043c\u0438\u0440\u0435", "\u043c\u0438\u0440 \u0431\u0435\u0437 \u0442\u0435\u043a\u0441\u0442\u0430 \u043e \u043c\u0438\u0440\u0435", "日本語テキスト", "日本の海", " \u00a0\n", "on the mat " * 30, "A a a A."]
+
+
+@pytest.mark.parametrize("head, hot", [(1 << 16, 1 << 18), (6, 1 << 18), (6, 0), (1, 3)])
+def test_word_pair_losses_match_plain_dicts(spark, monkeypatch, head, hot):
+    monkeypatch.setattr(lmscore, "HOT_PAIRS", hot)
+    flags = [i in (0, 4, 8, 11) for i in range(len(LM_TEXTS))]
+    docs = frame(spark, LM_TEXTS, extra=True).withColumn("in_target", F.col("doc_id").isin(0, 4, 8, 11)).repartition(3)
+    shared = lmscore.Shared(stage(lmscore.counted(docs, np.zeros(0, np.uint64))), head)
+    named = {"": 1} | {w: xxhash.xxh64_intdigest(w) for t in LM_TEXTS for w in plain_words(t)}
+    want = plain_differences(LM_TEXTS, flags, {w for w, k in named.items() if w and k in set(shared.words.tolist())})
+    got = {r.doc_id: r for r in lmscore.cross_entropy_difference(docs, head).collect()}
+    assert len(got) == len(LM_TEXTS)
+    for i, (n, lone, t, b) in enumerate(want):
+        assert (got[i].n_words, got[i].lone_pairs) == (n, lone)
+        for mine, plain in ((got[i].target_loss, t), (got[i].background_loss, b)):
+            assert mine is None if plain is None else abs(mine - plain) < 2e-6
+    assert got[6].background_loss != got[7].background_loss and got[8].difference != got[9].difference
+
+
+def test_differences_of_no_target_and_of_nothing(spark):
+    docs = frame(spark, LM_TEXTS[:5]).withColumn("in_target", F.lit(None).cast("boolean"))
+    assert lmscore.cross_entropy_difference(docs).count() == 5
+    assert lmscore.cross_entropy_difference(docs.where("doc_id > 99")).count() == 0
+    same = frame(spark, ["a b c", "a b c", "a b c"], ids=[1, 1, None]).withColumn("in_target", F.lit(True))
+    got = lmscore.cross_entropy_difference(same).collect()
+    assert sorted((r.doc_id or 0) for r in got) == [0, 1, 1] and len({(r.difference, r.lone_pairs) for r in got}) == 1
+
+
+def plain_kneser_ney(seen, universe, order):
+    """Probabilities of n-grams by modified Kneser-Ney, in plain dicts."""
+    levels = {order: Counter(seen)}
+    for k in range(order - 1, 0, -1):
+        levels[k] = Counter(g[1:] for g in levels[k + 1])
+    kinds = len({g[-1] for g in universe})
+
+    def cuts(k):
+        n = [sum(v == i for v in levels[k].values()) for i in range(5)]
+        if not (n[1] and n[2] and n[3]):
+            return [0.5, 0.75, 0.9]
+        y = n[1] / (n[1] + 2 * n[2])
+        return [min(max(i - (i + 1) * y * n[i + 1] / n[i], 0.05), i - 0.05) for i in (1, 2, 3)]
+
+    d = {k: cuts(k) for k in levels}
+
+    def p(g):
+        if not g:
+            return 1 / kinds
+        k = len(g)
+        same = {h: n for h, n in levels[k].items() if h[:-1] == g[:-1]}
+        if not same:
+            return p(g[1:])
+        total = sum(same.values())
+        back = sum(d[k][min(n, 3) - 1] for n in same.values()) / total
+        n = levels[k].get(g, 0)
+        return max(n - (d[k][min(n, 3) - 1] if n else 0), 0) / total + back * p(g[1:])
+
+    return p
+
+
+@pytest.mark.parametrize("order, hot", [(3, 1 << 18), (5, 40), (2, 0)])
+def test_kneser_ney_and_perplexity_match_plain_dicts(spark, monkeypatch, order, hot):
+    texts = LM_TEXTS + [f"the {a} {b} on the {c}" for a in ("cat", "dog") for b in ("sat", "ran") for c in ("mat", "hat")]
+    docs = frame(spark, texts, extra=True).repartition(3)
+    trusted = docs.where("doc_id % 2 = 0").select("doc_id")
+    out = {r.doc_id for r in trusted.where(quality.held_out(F.col("doc_id"))).collect()}
+    pad = lambda t: grams.PAD * (order - 1) + (t or "")
+    cut = lambda t: [pad(t)[i : i + order] for i in range(len(t or ""))]
+    p = plain_kneser_ney(Counter(g for i, t in enumerate(texts) if i % 2 == 0 and i not in out for g in cut(t)), {g for t in texts for g in cut(t)}, order)
+    monkeypatch.setattr(grams.gram_sums, "__defaults__", ((), hot))
+    got = {r.doc_id: r for r in quality.judge_quality(docs, trusted, 0.9, order).collect()}
+    assert len(got) == len(texts)
+    for i, t in enumerate(texts):
+        losses = [-np.log2(p(g)) for g in cut(t)]
+        assert got[i].n_symbols == len(losses)
+        assert got[i].perplexity is None if not losses else abs(np.log2(got[i].perplexity) - np.mean(losses)) < 2e-6
+    contexts = {g[:-1] for t in texts for g in cut(t)}
+    for c in list(contexts)[:20]:
+        assert abs(sum(p(c + x) for x in {x for t in texts for x in t or ""}) - 1) < 1e-9
 
 
 def test_quality_keeps_trusted_text(spark):
     good = [f"the {a} {b} on the {c}" for a in ("cat", "dog", "rat") for b in ("sat", "ran", "hid") for c in ("mat", "hat", "bed")]
     docs = frame(spark, good + ["%%% $$$ ### @@@ !!!", None, "zzqxj kkvwq"])
-    got = {r.doc_id: r for r in quality.judge_quality(docs, docs.where("doc_id < 27").select("doc_id", "text"), 0.95).collect()}
-    assert sum(got[i].keep for i in range(27)) >= 25 and not got[27].keep and not got[28].keep and not got[29].keep
-    assert quality.judge_quality(docs, docs.where("doc_id < 0").select("doc_id", "text")).where("keep").count() == 29
+    got = {r.doc_id: r for r in quality.judge_quality(docs, docs.where("doc_id < 27"), 0.95).collect()}
+    assert sum(got[i].keep for i in range(27)) >= 20 and not got[27].keep and not got[28].keep and not got[29].keep
+    assert quality.judge_quality(docs, docs.where("doc_id < 0")).where("keep").count() == 29
+    assert quality.judge_quality(docs.where("doc_id < 0"), docs).count() == 0
+    cyrillic = frame(spark, ["\u0442\u0435\u043a\u0441\u0442 \u043e \u043c\u0438\u0440\u0435", "\u0449\u044a\u044b \u044d \u044e\u0444\u0446\u0445"] + ["\u0442\u0435\u043a\u0441\u0442 \u043e \u043c\u043e\u0440\u0435"] * 8)
+    one, other = (r.perplexity for r in quality.judge_quality(cyrillic, cyrillic.where("doc_id > 1")).orderBy("doc_id").limit(2).collect())
+    assert one < other
+    twice = frame(spark, ["a b", "a b"], ids=[1, 1])
+    assert quality.judge_quality(twice, twice).count() == 2
+
+
+def test_key_table_finds_every_key():
+    rng = np.random.default_rng(3)
+    keys = np.unique(np.r_[np.arange(50, dtype=np.uint64), rng.integers(0, 1 << 63, 5000).astype(np.uint64)])
+    table = grams.KeyTable(keys[::2])
+    assert (table.find(keys[::2]) == np.arange(len(keys[::2]))).all() and (table.find(keys[1::2]) == -1).all()
+    assert (grams.KeyTable(keys[:0]).find(keys) == -1).all()
 
 
 # ---------------------------------------------------------------- tokens, packing
