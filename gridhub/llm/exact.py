@@ -115,17 +115,19 @@ def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_pydict({
             "doc_id": column(part, "doc_id"), "row": pa.array(np.arange(row, row + n)), "sha": pa.array([hashlib.sha256(t).digest() for t in normal], pa.binary()),
             "bytes": pa.array([len(t) for t in normal], pa.int64()), "normal": pa.array(normal, pa.binary()),
-        })
+        } | {c: column(part, c) for c in part.schema.names if c not in ("doc_id", "text")})
         row += n
 
 
-def text_digests(docs: DataFrame) -> DataFrame:
+def text_digests(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
     """``doc_id, row, sha, bytes, normal``: the whole text with A-Z lower-cased; null is empty.
 
     ``row`` numbers the input rows, so that repeated rows stay apart.  It is stable only
-    once the result is staged.
+    once the result is staged.  ``carry`` names further columns to keep.
     """
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(_digests, "doc_id long, row long, sha binary, bytes long, normal binary")
+    kinds = dict(docs.dtypes)
+    schema = ", ".join(["doc_id long, row long, sha binary, bytes long, normal binary", *(f"`{c}` {kinds[c]}" for c in carry)])
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *carry).mapInArrow(_digests, schema)
 
 
 def distinct_texts(digests: DataFrame) -> DataFrame:
@@ -178,8 +180,8 @@ def exact_duplicates(snapshot: DataFrame, batch: DataFrame, shard_keys: int = SH
     """Groups of equal texts over a snapshot and a batch, both from ``text_digests``.
 
     A batch text whose digest, but not whose bytes, is known would stay a group of its own.
-    Returns ``doc_id, row, sha, bytes, keep_id, keep_row, group_size`` with one row per
-    input row; the greatest (doc_id, row) of a group stays.  A null id sorts first.
+    Returns ``doc_id, row, sha, bytes``, what the digests carry, and ``keep_id, keep_row,
+    group_size`` with one row per input row; the greatest (doc_id, row) of a group stays.  A null id sorts first.
     Either side may be empty.
     """
     old = stage(distinct_texts(snapshot).withColumn("key", _key()), "snap")
@@ -195,12 +197,12 @@ def exact_duplicates(snapshot: DataFrame, batch: DataFrame, shard_keys: int = SH
     both = merged.withColumn("side", F.explode(F.array(F.lit(0), F.lit(1))))
     groups = both.unionByName(rest).select("sha", "bytes", "side", F.col("top.doc_id").alias("keep_id"), F.col("top.row").alias("keep_row"), F.col("n").alias("group_size"))
     rows = snapshot.drop("normal").withColumn("side", F.lit(0)).unionByName(batch.drop("normal").withColumn("side", F.lit(1)))
-    return rows.join(groups, ["sha", "bytes", "side"]).select("doc_id", "row", "sha", "bytes", "keep_id", "keep_row", "group_size")
+    return rows.join(groups, ["sha", "bytes", "side"]).select(*[c for c in rows.columns if c != "side"], "keep_id", "keep_row", "group_size")
 
 
-def dedup_documents(docs: DataFrame, snapshot_parts: int = 2) -> DataFrame:
+def dedup_documents(docs: DataFrame, snapshot_parts: int = 2, carry: tuple[str, ...] = ()) -> DataFrame:
     """``exact_duplicates`` for one table: a part of the ids as snapshot, the rest as batch."""
-    digests = stage(text_digests(docs), "digest")
+    digests = stage(text_digests(docs, carry), "digest")
     old = F.coalesce(F.pmod(F.xxhash64("doc_id"), F.lit(snapshot_parts)), F.lit(0)) == 0
     return exact_duplicates(digests.where(old), digests.where(~old))
 

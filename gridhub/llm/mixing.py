@@ -50,19 +50,20 @@ def seeded_order(doc: Column, seed: int) -> Column:
     return F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(doc.cast("string"), F.lit(""))))
 
 
-def mix_copies(docs: DataFrame, weights: tuple[float, ...] = (5.0, 2.0, 1.0), share: float = 1.5, max_epochs: float = 2.0, seed: int = 17) -> DataFrame:
+def mix_copies(docs: DataFrame, weights: tuple[float, ...] = (5.0, 2.0, 1.0), share: float = 1.5, max_epochs: float = 2.0, seed: int = 17, carry: tuple[str, ...] = ()) -> DataFrame:
     """How often each document enters the mix.
 
     Needs ``doc_id, source, text``; other columns are ignored.  Null text has size 0, null
     source is a source of its own, equal ids tie and are ordered by size.  Returns
-    ``doc_id, size, source, source_size, target, copies`` with one row per input row.
+    ``doc_id, size, source, source_size, target, copies`` and the columns that ``carry``
+    names, with one row per input row.
 
     The last, partial pass takes the documents of a source in the seeded order while at
     least half of a document lies below the target.  Running sums go over buckets of that
     order first and over documents only inside the one bucket that the target cuts, so no
     task ever sorts a source.
     """
-    sized = stage(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), seeded_order(F.col("doc_id"), seed).alias("place")), "mix")
+    sized = stage(docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), seeded_order(F.col("doc_id"), seed).alias("place"), *carry), "mix")
     totals = cycled_weights(sized.groupBy("source").agg(F.sum("size").alias("source_size")), weights)
     targets = water_fill(totals, share, max_epochs).withColumn("whole", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("int")).withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size")).select(F.col("source").alias("s"), "source_size", "target", "whole", "rest")
 
@@ -80,7 +81,7 @@ def mix_copies(docs: DataFrame, weights: tuple[float, ...] = (5.0, 2.0, 1.0), sh
     inside = Window.partitionBy("source", "bucket").orderBy("place", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
     edge = rows.where("bucket = cut").withColumn("before", F.col("cut_below") + F.coalesce(F.sum("size").over(inside), F.lit(0))).withColumn("extra", ((F.col("rest") > 0) & (F.col("before") + F.col("size") / 2 <= F.col("rest"))).cast("int")).drop("before")
     clear = rows.where("cut is null or bucket <> cut").withColumn("extra", F.when(F.col("cut").isNull(), (F.col("rest") > 0).cast("int")).otherwise((F.col("bucket") < F.col("cut")).cast("int")))
-    return clear.unionByName(edge).select("doc_id", "size", "source", "source_size", "target", (F.col("whole") + F.col("extra")).alias("copies"))
+    return clear.unionByName(edge).select("doc_id", "size", "source", "source_size", "target", (F.col("whole") + F.col("extra")).alias("copies"), *carry)
 
 
 def op4_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

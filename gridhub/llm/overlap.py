@@ -29,8 +29,8 @@ WIDTH, PERCENT = 5, 80
 #: Texts of the sample that tells common shingles, in how many of them a shingle is common,
 #: and how many of the commonest are put last.  They bear on speed only.
 SAMPLE_TEXTS, COMMON_IN, COMMON_KEPT = 10_000, 5, 200_000
-#: Bins of a set's histogram, and rounds of leaders.
-BINS, ROUNDS = 64, 3
+#: Shingles a histogram's bin holds on average, at least half of it, and rounds of leaders.
+PER_BIN, ROUNDS = 8, 3
 
 
 def shingle_set(text: str, width: int = WIDTH, seed: int = 42) -> np.ndarray:
@@ -46,11 +46,39 @@ def shingle_set(text: str, width: int = WIDTH, seed: int = 42) -> np.ndarray:
     return np.unique(np.array([digest(line[a : b - 1], seed) for a, b in zip(starts, stops)], np.uint64))
 
 
+def majority(hashes: np.ndarray) -> int:
+    """64-bit SimHash of hashes: the bits that over half of them have."""
+    total, step = np.zeros(64, np.int64), 1 << 18
+    for i in range(0, len(hashes), step):
+        total += np.unpackbits(hashes[i : i + step].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int(np.packbits(2 * total > len(hashes), bitorder="little").view(np.uint64)[0])
+
+
 def _set_key(s: np.ndarray) -> int:
     """Signed 64-bit digest that names a set; equal sets are one node."""
     return int(np.uint64(xxhash.xxh3_64_intdigest(s.tobytes())).astype(np.int64))
 
 
+def histogram(s: np.ndarray) -> bytes:
+    """How many hashes fall into each of a power of two of bins; nothing if one overflows."""
+    bins = 1 << max(4, (len(s) // PER_BIN).bit_length())
+    found = np.bincount((s & np.uint64(bins - 1)).astype(np.int64), minlength=bins)
+    return found.astype(np.uint8).tobytes() if found.max() < 256 else b""
+
+
+def distances(one: list[bytes], other: list[bytes]) -> np.ndarray:
+    """A lower bound of each pair's symmetric difference; wider histograms are folded."""
+    out = np.zeros(len(one), np.int64)
+    size = np.array([[len(x), len(y)] for x, y in zip(one, other)], np.int64).reshape(-1, 2)
+    for m, k in np.unique(size, axis=0).tolist():
+        if m and k:
+            at = np.flatnonzero((size[:, 0] == m) & (size[:, 1] == k))
+            for part in np.array_split(at, max(1, len(at) * max(m, k) >> 22)):
+                x, y = (np.frombuffer(b"".join(side[i] for i in part), np.uint8).reshape(len(part), -1, min(m, k)).sum(1, dtype=np.int64) for side in (one, other))
+                out[part] = np.abs(x - y).sum(1)
+    return out
+
+
 def common_shingles(docs: DataFrame, width: int) -> np.ndarray:
     """Sorted shingles that occur in several texts of a bounded sample."""
     every = max(1, docs.count() // SAMPLE_TEXTS)
@@ -67,28 +95,34 @@ def common_shingles(docs: DataFrame, width: int) -> np.ndarray:
     return np.sort(top["shingle"].to_numpy().view(np.uint64))
 
 
-def described(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """``doc_id, key, n, bins, first`` of every row: digest, size, histogram, first shingles."""
+def described(docs: DataFrame, width: int, percent: int, carry: tuple[str, ...] = ()) -> DataFrame:
+    """``doc_id, key, n, bins, fp, first`` of every row and what ``carry`` names.
+
+    Digest, size, histogram, SimHash fingerprint and first shingles of its set.
+    """
+    kinds = dict(docs.dtypes)
     sent = docs.sparkSession.sparkContext.broadcast(common_shingles(docs, width))  # COMMON_KEPT numbers at most
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         common = sent.value
         for part in text_slices(batches):
-            keys, sizes, bins, first = [], [], [], []
+            keys, sizes, bins, prints, first = [], [], [], [], []
             for t in filled(part).to_pylist():
                 s = shingle_set(t, width)
                 keys.append(_set_key(s))
                 sizes.append(len(s))
-                bins.append(np.minimum(np.bincount((s % np.uint64(BINS)).astype(np.int64), minlength=BINS), 255).astype(np.uint8).tobytes())
+                bins.append(histogram(s))
+                prints.append(majority(s))
                 late = common[np.minimum(np.searchsorted(common, s), len(common) - 1)] == s if len(common) else np.zeros(len(s), bool)
                 many = len(s) + (percent * len(s)) // -100 + 1 if len(s) else 0
                 first.append(np.concatenate([s[~late], s[late]])[:many].view(np.int64))
             yield pa.RecordBatch.from_pydict({
-                "doc_id": column(part, "doc_id"), "key": pa.array(keys, pa.int64()), "n": pa.array(sizes, pa.int64()), "bins": pa.array(bins, pa.binary()),
+                "doc_id": column(part, "doc_id"), "key": pa.array(keys, pa.int64()), "n": pa.array(sizes, pa.int64()), "bins": pa.array(bins, pa.binary()), "fp": pa.array(np.array(prints, np.uint64).view(np.int64)),
                 "first": pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum([len(f) for f in first])], pa.int32()), pa.array(np.concatenate(first))),
-            })
+            } | {c: column(part, c) for c in carry})
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, key long, n long, bins binary, first array<long>")
+    schema = ", ".join(["doc_id long, key long, n long, bins binary, fp long, first array<long>", *(f"`{c}` {kinds[c]}" for c in carry)])
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *carry).mapInArrow(run, schema)
 
 
 def _sets(texts: DataFrame, width: int) -> DataFrame:
@@ -134,9 +168,9 @@ def true_links(docs: DataFrame, known: DataFrame, pairs: DataFrame, width: int,
     """Those of the pairs ``src, dst`` whose whole sets reach the bound."""
 
     def close(b: pa.RecordBatch) -> np.ndarray:
-        x, y = (np.frombuffer(b"".join(column(b, c).to_pylist()), np.uint8).reshape(-1, BINS).astype(np.int64) for c in ("bins_a", "bins_b"))
         total = column(b, "n_a").to_numpy() + column(b, "n_b").to_numpy()
-        return np.abs(x - y).sum(1) * (100 + percent) <= total * (100 - percent)
+        apart = distances(column(b, "bins_a").to_pylist(), column(b, "bins_b").to_pylist())
+        return apart * (100 + percent) <= total * (100 - percent)
 
     def overlap(b: pa.RecordBatch) -> np.ndarray:
         out = np.zeros(b.num_rows, bool)
@@ -158,21 +192,28 @@ def true_links(docs: DataFrame, known: DataFrame, pairs: DataFrame, width: int,
     return found
 
 
-def similar_texts(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -> DataFrame:
+def similar_texts(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, first: Callable[[DataFrame], DataFrame] | None = None, carry: tuple[str, ...] = ()) -> DataFrame:
     """Documents in one component when a chain of pairs of that overlap joins them.
 
     Needs ``doc_id, text``.  Texts without words are equal; shingles and sets are compared
-    by 64-bit hashes; repeated rows stay repeated; a null id takes no part in the choice of
-    the least id.  Returns ``doc_id, component_id``.
+    by 64-bit hashes; repeated rows stay repeated, and a null id comes after all others.
+    ``first`` may name likely pairs ``src, dst`` of the keys of ``described``, which are
+    checked before the buckets are and leave them less to do.  Returns ``doc_id,
+    component_id`` (the least id), what ``carry`` names, and ``kept``: the first row of each
+    component by id, set and carried columns; rows alike in these are all first.
     """
-    known = stage(described(docs, width, percent), "known")
+    known = stage(described(docs, width, percent, carry), "known")
     w = Window.partitionBy("token")
+    links = None
+    if first is not None:
+        pairs = stage(first(known), "pair")
+        links = true_links(docs, known, pairs, width, percent)
+        release(pairs)
     tasks = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     dealt = known.select(F.explode("first").alias("token"), "key", "n").repartition(tasks, "token").sortWithinPartitions("token", "key")
     buckets = stage(dealt.mapInArrow(_shared, "token long, key long, n long"), "shared")
     near_size = (F.least("n", "m") * 100 >= F.greatest("n", "m") * percent) & (F.col("root") != F.col("other_root"))
     pair = [F.least("key", "other").alias("src"), F.greatest("key", "other").alias("dst")]
-    links = None
     for turn in range(ROUNDS + 1):
         open_rows = buckets.withColumn("root", F.col("key"))
         if links is not None:
@@ -191,9 +232,11 @@ def similar_texts(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT) -
         pairs = stage(open_rows.join(others, "token").where(near_size).select(*pair).distinct(), "pair")
         found = true_links(docs, known, pairs, width, percent)
         links = found if links is None else stage(links.unionByName(found), "links")
-        release(pairs, *([open_rows] if turn else []))
+        release(pairs, *([open_rows] if turn or first is not None else []))
+    release(buckets)
     roots = star_components(links).withColumnRenamed("node", "key") if links is not None else None
-    rows = known.select("doc_id", "key")
+    rows = known.select("doc_id", "key", *carry)
     rows = rows.withColumn("root", F.col("key")) if roots is None else rows.join(roots, "key", "left").withColumn("root", F.coalesce("root", "key"))
-    least = rows.groupBy("root").agg(F.min("doc_id").alias("component_id"))
-    return rows.join(least, "root").select("doc_id", "component_id")
+    rows = rows.withColumn("order", F.struct(F.col("doc_id").isNull().alias("late"), "doc_id", "key", *carry))
+    least = rows.groupBy("root").agg(F.min("order").alias("least"))
+    return rows.join(least, "root").select("doc_id", F.col("least.doc_id").alias("component_id"), *carry, F.col("order").eqNullSafe(F.col("least")).alias("kept"))

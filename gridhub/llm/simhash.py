@@ -28,6 +28,7 @@ from pyspark.sql import functions as F
 
 from gridhub.llm.arrow import column, filled, text_slices
 from gridhub.llm.joins import BROADCAST_IDS
+from gridhub.llm.overlap import PERCENT, WIDTH, similar_texts
 from gridhub.operators.components import star_components
 from gridhub.plans.staging import stage
 
@@ -234,6 +235,26 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     return prints.join(by_print, "fp").select("doc_id", "fp", "component_id")
 
 
+def anchor_pairs(known: DataFrame) -> DataFrame:
+    """Pairs of keys whose fingerprints are equal or linked at an anchor; spans, not all pairs."""
+    prints = stage(known.groupBy("fp").agg(F.min("key").alias("lead")), "fpd")
+    same = known.select("key", "fp").distinct().join(prints, "fp").where("key <> lead").select(F.col("lead").alias("src"), F.col("key").alias("dst"))
+    ends = prints.select(F.col("fp").alias("src"), F.col("lead").alias("a")), prints.select(F.col("fp").alias("dst"), F.col("lead").alias("b"))
+    near = fingerprint_links(prints).join(ends[0], "src").join(ends[1], "dst")
+    return same.unionByName(near.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"))).distinct()
+
+
+def similar_documents(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, carry: tuple[str, ...] = ()) -> DataFrame:
+    """Components of documents whose shingle sets overlap by ``percent`` (Jaccard index), exactly.
+
+    The anchors bring together what differs in THRESHOLD bits at most, and whole sets
+    confirm it.  Sets that overlap by 80 % differ in some ten of 64 bits, more than any
+    covering radius that still parts a corpus, so the other pairs come by buckets of
+    shared shingles (``overlap``).  See ``similar_texts`` for rows and edge cases.
+    """
+    return similar_texts(docs, width, percent, anchor_pairs, carry)
+
+
 def op2_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Near-duplicate components of all ``documents``."""
     found = near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet"))

@@ -19,6 +19,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from gridhub.llm.arrow import column, filled, text_slices, word_lists
 
@@ -175,10 +176,12 @@ def train(docs: DataFrame, labels: DataFrame) -> SubwordModel:
     return fit(rows["text"].combine_chunks(), rows["toxic"].to_numpy().astype(np.int64), share)
 
 
-def score_texts(docs: DataFrame, model: SubwordModel) -> DataFrame:
-    """Adds ``score`` to ``doc_id, text``: the softmax of the whole text's average.
+def score_texts(docs: DataFrame, model: SubwordModel, whole: bool = False) -> DataFrame:
+    """``doc_id, score``, or with ``whole`` the row as struct ``doc`` and its ``score``.
 
-    Null and empty texts have no words and get the score of the bias alone.
+    The score is the softmax of the whole text's average.  Null and empty texts have no
+    words and get the score of the bias alone.  Every row is scored by itself, so repeated
+    rows repeat, equal texts get equal scores and a null id stays null.
     """
     sent = docs.sparkSession.sparkContext.broadcast(model)  # BUCKETS floats, whatever the corpus
 
@@ -195,9 +198,14 @@ def score_texts(docs: DataFrame, model: SubwordModel) -> DataFrame:
             memo.update(zip(lacking, sent.value.word_scores(lacking).tolist()))
             each = np.fromiter((memo[w] if len(w) <= MEMO_CHARS else sent.value.word_scores([w])[0] for w in words), np.float64, len(words))
             logit = sent.value.bias + document_means(bounds, coded.indices.to_numpy(zero_copy_only=False), each)
-            yield pa.RecordBatch.from_pydict({"doc_id": column(part, "doc_id"), "score": pa.array(np.round(1 / (1 + np.exp(-np.clip(logit, -30, 30))), 9))})
-
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, score double")
+            score = pa.array(np.round(1 / (1 + np.exp(-np.clip(logit, -30, 30))), 9))
+            yield pa.RecordBatch.from_pydict({kept: column(part, kept), "score": score})
+
+    if whole:
+        kept, source = "doc", docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("doc"), "text")
+        return source.mapInArrow(run, StructType([source.schema["doc"], StructField("score", DoubleType())]))
+    kept, source = "doc_id", docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    return source.mapInArrow(run, "doc_id long, score double")
 
 
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
