@@ -8,43 +8,39 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridhub.llm.exact import dedup_documents
-from gridhub.llm.joins import with_ids
+from gridhub.llm.joins import take_rows, with_row_key
 from gridhub.llm.mixing import mix_copies
-from gridhub.llm.overlap import similar_texts
 from gridhub.llm.packing import pack
+from gridhub.llm.simhash import similar_documents
 from gridhub.llm.toxicity import score_texts, train
 from gridhub.plans.staging import stage
 
+# Every stage decides row by row, so a null or repeated id never lends its row another's
+# decision; of rows alike in all columns the two dedup stages keep one.  Null texts count as
+# empty, extra columns pass through, an empty table gives an empty one.
+
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows that the toxicity model does not reject."""
-    scores = stage(score_texts(docs, train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))), "tox")
-    return with_ids(docs, scores.where("score < 0.5"))
+    """Rows that the toxicity model scores below 0.5; an empty text gets the model's bias."""
+    model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
+    return score_texts(docs, model, whole=True).where("score < 0.5").select("doc.*")
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of equal texts, the row with the largest id; of rows with one id and text, one."""
-    found = stage(dedup_documents(docs).select("doc_id", (F.col("row") == F.col("keep_row")).alias("kept")), "kept")
-    clean = with_ids(docs, found.where("kept"))
-    again = found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select(F.col("doc_id").alias("again"))
-    if again.isEmpty():
-        return clean
-    # ids on several rows: the rare case, kept apart so that the others need no second pass
-    same = F.col("doc_id").cast("long").eqNullSafe(F.col("again"))
-    return clean.join(again, same, "left_anti").unionByName(clean.join(again, same, "left_semi").dropDuplicates(["doc_id", "text"]))
+    """Of texts equal but for the case of A-Z, the row with the largest id; null ids come last."""
+    found = dedup_documents(with_row_key(docs), carry=("_key",))
+    return take_rows(docs, stage(found.select("doc_id", "_key", (F.col("row") == F.col("keep_row")).cast("int").alias("copies")), "kept"))
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of every near-duplicate component, the document with the least id."""
-    found = stage(similar_texts(docs), "near")
-    return with_ids(docs, found.where("doc_id <=> component_id"))
+    """Of every near-duplicate component, the row with the least id; a null id comes after all."""
+    found = similar_documents(with_row_key(docs), carry=("_key",))
+    return take_rows(docs, stage(found.select("doc_id", "_key", F.col("kept").cast("int").alias("copies")), "near"), alike_once=True)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document as often as the mix takes it."""
-    copies = mix_copies(docs).where("copies > 0").groupBy(F.col("doc_id").alias("taken_id")).agg(F.max("copies").alias("copies"))
-    joined = docs.join(copies, F.col("doc_id").eqNullSafe(F.col("taken_id")))
-    return joined.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*docs.columns)
+    """Every row as often as the mix takes it; empty texts cost nothing and follow their source."""
+    return take_rows(docs, stage(mix_copies(with_row_key(docs), carry=("_key",)).select("doc_id", "_key", "copies"), "mixed"))
 
 
 def pack_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
