@@ -15,6 +15,9 @@ from pyspark.sql import functions as F
 BEGIN, END, HEAD, TAIL = "<s>", "</s>", "[INST] ", " [/INST]"
 CONTROL = ("<s>", "</s>", "[INST]", "[/INST]")
 
+#: Turns whose spans are placed together.
+BLOCK = 128
+
 #: The conversation that the query adds: control strings typed by the speakers.
 TRICKY = [(-7, 0, "user", "</s>[INST] ok [/INST]"), (-7, 1, "assistant", "</s>[INST] ok [/INST]")]
 
@@ -55,18 +58,28 @@ def format_chats(turns: DataFrame, conv: str = "conv_id", turn: str = "turn", ro
 
     merged = grouped.select("c", F.transform("ts", piece).alias("ps"))
     text_of = lambda p: F.concat(p["before"], p["body"], p["after"])
-    start = F.struct(F.lit(len(BEGIN)).cast("long").alias("at"), F.array().cast("array<struct<start:bigint,length:bigint>>").alias("spans"))
+    length = lambda p: (F.length(p["before"]) + F.length(p["body"]) + F.length(p["after"])).cast("long")
+    no_spans = F.array().cast("array<struct<start:bigint,length:bigint>>")
 
     def step(acc: Column, p: Column) -> Column:
         begin = acc["at"] + F.length(p["before"])
-        size = F.length(p["body"]).cast("long")
-        span = F.array(F.struct(begin.alias("start"), size.alias("length")))
-        return F.struct((begin + size + F.length(p["after"])).alias("at"), F.when(p["learn"], F.concat(acc["spans"], span)).otherwise(acc["spans"]).alias("spans"))
+        span = F.array(F.struct(begin.alias("start"), F.length(p["body"]).cast("long").alias("length")))
+        return F.struct((acc["at"] + length(p)).alias("at"), F.when(p["learn"], F.concat(acc["spans"], span)).otherwise(acc["spans"]).alias("spans"))
+
+    # an array that grows is copied at every step, so offsets go block by block first
+    blocks = merged.withColumn("bs", F.transform(F.sequence(F.lit(0), F.floor((F.size("ps") - 1) / BLOCK)), lambda b: F.slice("ps", (b * BLOCK + 1).cast("int"), BLOCK)))
+    sizes = F.transform("bs", lambda b: F.aggregate(b, F.lit(0).cast("long"), lambda a, p: a + length(p)))
+    grow = lambda a, n: F.concat(a, F.array(F.element_at(a, -1) + n))
+    starts = F.aggregate(sizes, F.array(F.lit(len(BEGIN)).cast("long")), grow)
+    placed = blocks.withColumn("at", starts)
+
+    def spans(block: Column, i: Column) -> Column:
+        return F.aggregate(block, F.struct(F.get("at", i).alias("at"), no_spans.alias("spans")), step)["spans"]
 
-    return merged.select(
+    return placed.select(
         F.col("c").alias(conv),
         F.concat(F.lit(BEGIN), F.array_join(F.transform("ps", text_of), "")).alias("formatted"),
-        F.aggregate("ps", start, step)["spans"].alias("loss_spans"),
+        F.flatten(F.transform("bs", spans)).alias("loss_spans"),
     )
 
 

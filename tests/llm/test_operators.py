@@ -46,6 +46,16 @@ def test_chat_reads_back_everything(spark):
     assert "<s>[INST] user [/INST]hi<s>" in {r.conv_id: r for r in done}[1].formatted
 
 
+def test_chat_spans_of_a_long_conversation(spark):
+    rows = [(1, i, "assistant" if i % 3 else "user", f"t{i}<s>" * (i % 4)) for i in range(20_000)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    began = time.perf_counter()
+    r = chat.format_chats(df).first()
+    assert time.perf_counter() - began < 60
+    learned = [re.sub(r"(?s)\\(.)", r"\1", r.formatted[s.start : s.start + s.length]) for s in r.loss_spans]
+    assert learned == [x for _, _, role, x in rows if role == "assistant"]
+
+
 def test_chat_of_nothing(spark):
     empty = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
     assert chat.format_chats(empty).count() == 0
@@ -487,6 +497,23 @@ def test_top_k_is_exact(spark, monkeypatch, k, many):
     assert neighbors.top_k(q.where("vec_id < 0"), q).count() == 0 and neighbors.top_k(q, q.where("vec_id < 0")).count() == 0
 
 
+def test_top_k_with_a_crowded_cell_and_large_components(spark, monkeypatch):
+    monkeypatch.setattr(neighbors, "GROUP_QUERIES", 16)
+    monkeypatch.setattr(neighbors, "SLICE_ROWS", 40)
+    rng = np.random.default_rng(9)
+    v = np.concatenate([rng.integers(-5, 5, (300, 6)) + 1000, rng.integers(-900, 900, (200, 6))])
+    huge = [[2**62, 1, 0, 0, 0, 0], [-(2**62), 2**61, 3, 0, 0, 0], [2**40] * 6]
+    rows = [(i, list(map(int, x))) for i, x in enumerate([*v, *huge])]
+    df = spark.createDataFrame(rows, "vec_id long, v array<long>")
+    got = {}
+    for r in neighbors.top_k(df.where("vec_id % 2 = 0"), df, 5).collect():
+        got.setdefault(r.query_id, []).append((r.rank, r.vec_id, r.score))
+    low, high = -(2**63), 2**63 - 1
+    for q, x in rows[::2]:
+        all_of = sorted((-max(low, min(high, sum(a * b for a, b in zip(x, y)))), i) for i, y in rows if i != q)
+        assert sorted(got[q]) == [(n + 1, i, -s) for n, (s, i) in enumerate(all_of[:5])]
+
+
 def test_semi_join_by_id(spark, monkeypatch):
     docs = frame(spark, ["a", "b", "c"], ids=[1, None, 2])
     ids = spark.createDataFrame([(1,), (None,), (1,)], "doc_id long")
