@@ -43,7 +43,8 @@ def _dbscan_cells(at: DataFrame, axes: tuple[str, ...], eps: float, min_pts: int
     light_core = pairs.where("not dense").groupBy("p").agg(F.sum("y_w").alias("near")).where(F.col("near") >= min_pts).select("p")
     cores = stage(light_core.unionByName(marked.where("dense").select(x.alias("p"))), "core")
     # all cores of one dense cell are within eps of each other: a chain through the least
-    inner = marked.where("dense").groupBy("cell").agg(F.min(x).alias("src"), F.collect_list(x).alias("m")).select("src", F.explode("m").alias("dst"))
+    least = marked.where("dense").groupBy("cell").agg(F.min(x).alias("src"))
+    inner = marked.where("dense").select("cell", x.alias("dst")).join(least, "cell").select("src", "dst")
     outer = pairs.where("cell <> y_cell").join(cores, "p", "left_semi").join(cores.withColumnRenamed("p", "q"), "q", "left_semi")
     one_each = outer.groupBy("cell", "y_cell", F.when(~F.col("dense"), F.col("p")).alias("lp"), F.when(~F.col("y_dense"), F.col("q")).alias("lq")).agg(F.min("p").alias("src"), F.min_by("q", "p").alias("dst")).select("src", "dst")
     same_cell = pairs.where("cell = y_cell and not dense").join(cores, "p", "left_semi").join(cores.withColumnRenamed("p", "q"), "q", "left_semi").select(F.col("p").alias("src"), F.col("q").alias("dst"))
@@ -190,9 +191,21 @@ def mean_shift(points: DataFrame, axes: tuple[str, ...], bandwidth: float, iters
     near = close_pairs(settled, axes, bandwidth).select(F.struct(*names).alias("src"), F.struct(*[F.col(f"y{i}").alias(f"x{i}") for i in range(dim)]).alias("dst"))
     roots = stage(star_components(near), "mode")
     modes = roots.select("root", *[F.col(f"node.{x}").alias(f"y{i}") for i, x in enumerate(names)])
-    # nearest settled seed among the cells around, growing the reach until all are placed
-    celled = modes.withColumns({f"c{i}": F.floor(F.col(f"y{i}") / (2 * bandwidth)).cast("bigint") for i in range(dim)})
-    home = at.withColumn("_o", F.explode(table)).withColumns({f"c{i}": F.floor(F.col(x) / (2 * bandwidth)).cast("bigint") + F.col(f"_o.d{i}") for i, x in enumerate(names)})
+    # a mode outside the 3^d cells around is farther than a cell's side: what lies within the
+    # side is settled, and the others look again with cells twice as wide
     d2 = sum((F.pow(F.col(f"x{i}") - F.col(f"y{i}"), 2) for i in range(1, dim)), F.pow(F.col("x0") - F.col("y0"), 2))
-    best = home.join(celled, [f"c{i}" for i in range(dim)]).groupBy(*names).agg(F.min_by("root", F.struct(d2, F.col("root"))).alias("root"))
-    return back(points, number_roots(best, F.col("root"), axes), axes)
+    real = F.lit(True)
+    for x in names:
+        real = real & F.col(x).isNotNull() & ~F.isnan(x)
+    side, left, placed = 2 * bandwidth, at.where(real).select(*names), None
+    while not left.isEmpty():
+        celled = modes.withColumns({f"c{i}": F.floor(F.col(f"y{i}") / side).cast("bigint") for i in range(dim)})
+        home = left.withColumn("_o", F.explode(table)).withColumns({f"c{i}": F.floor(F.col(x) / side).cast("bigint") + F.col(f"_o.d{i}") for i, x in enumerate(names)})
+        near = home.join(celled, [f"c{i}" for i in range(dim)]).where(d2 <= side**2)
+        best = stage(near.groupBy(*names).agg(F.min_by("root", F.struct(d2, F.col("root"))).alias("root")), "near")
+        placed = best if placed is None else placed.unionByName(best)
+        left = stage(left.join(best, names, "left_anti"), "left")
+        side *= 2
+    if placed is None:
+        return points.withColumn("label", F.lit(None).cast("bigint"))
+    return back(points, number_roots(placed, F.col("root"), axes), axes)

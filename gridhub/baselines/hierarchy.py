@@ -2,27 +2,44 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import math
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from gridhub.baselines.common import collect_capped, labels_frame
-from gridhub.baselines.density import dbscan
+from gridhub.baselines.common import BaselineTooLarge, back, collect_capped, labels_frame, number_roots, places, xs
+from gridhub.baselines.density import _dbscan_blocks, dbscan
 from gridhub.baselines.partition import _assign
 from gridhub.plans.staging import stage
 
 LINKS = ("average", "single", "complete", "ward")
 
 
-def merge_tree(x: np.ndarray, w: np.ndarray, k: int, link: str) -> np.ndarray:
-    """Labels after merging weighted points down to ``k`` groups.
+def _unions(n: int, merges: list[tuple[float, int, int]]) -> np.ndarray:
+    """Group numbers of ``n`` leaves after the given merges of leaf pairs."""
+    parent = np.arange(n)
+
+    def find(i: int) -> int:
+        while parent[i] != i:
+            parent[i] = parent[parent[i]]
+            i = parent[i]
+        return i
+
+    for _, a, b in merges:
+        a, b = find(a), find(b)
+        parent[max(a, b)] = min(a, b)
+    return np.array([find(i) for i in range(n)], np.int64)
+
+
+def merge_steps(x: np.ndarray, w: np.ndarray, link: str) -> list[tuple[float, int, int]]:
+    """All merges of weighted points as (height, leaf, leaf), the cheapest first.
 
     Chains of nearest neighbours: follow the nearest group until two are each other's, and
     merge them; for these four links the order of such merges does not change the tree.
-    The merges are then replayed from the cheapest, k groups from the end.
     """
     n = len(x)
     sq = (x**2).sum(1)
@@ -31,7 +48,7 @@ def merge_tree(x: np.ndarray, w: np.ndarray, k: int, link: str) -> np.ndarray:
     if link == "ward":
         d *= size[:, None] * size / (size[:, None] + size)
     else:
-        d = np.sqrt(d)
+        np.sqrt(d, out=d)
     np.fill_diagonal(d, np.inf)
     alive, merges, chain = np.ones(n, bool), [], []
     for _ in range(n - 1):
@@ -47,7 +64,7 @@ def merge_tree(x: np.ndarray, w: np.ndarray, k: int, link: str) -> np.ndarray:
             chain.append(b)
         a = chain.pop()
         chain.pop()
-        merges.append((d[a, b], a, b))
+        merges.append((float(d[a, b]), a, b))
         lo, hi = min(a, b), max(a, b)
         if link == "single":
             row = np.minimum(d[a], d[b])
@@ -63,21 +80,59 @@ def merge_tree(x: np.ndarray, w: np.ndarray, k: int, link: str) -> np.ndarray:
         d[hi], d[:, hi] = np.inf, np.inf
         size[lo] += size[hi]
         alive[hi] = False
-    parent = np.arange(n)
+    return sorted(merges, key=lambda m: m[0])
 
-    def find(i: int) -> int:
-        while parent[i] != i:
-            parent[i] = parent[parent[i]]
-            i = parent[i]
-        return i
 
-    for _, a, b in sorted(merges, key=lambda m: m[0])[: max(0, n - k)]:
-        a, b = find(a), find(b)
-        parent[max(a, b)] = min(a, b)
-    return np.unique([find(i) for i in range(n)], return_inverse=True)[1]
+def ward_steps(x: np.ndarray, w: np.ndarray) -> list[tuple[float, int, int]]:
+    """Ward's merges without a matrix: the cost of a merge follows from sizes and centres.
+
+    Memory is linear; each step of a chain looks at the centres of all live groups, which
+    are packed together again whenever half of them are gone.
+    """
+    centre, size = x.astype(float).copy(), w.astype(float).copy()
+    leaf, live = np.arange(len(x)), np.ones(len(x), bool)
+    merges, chain, left = [], [], len(x)
+    while left > 1:
+        if left * 2 < len(live):
+            place = np.cumsum(live) - 1
+            chain = [int(place[c]) for c in chain]
+            centre, size, leaf = centre[live], size[live], leaf[live]
+            live = np.ones(left, bool)
+        if not chain:
+            chain.append(int(live.argmax()))
+        while True:
+            a = chain[-1]
+            far = centre[:, 0] - centre[a, 0]
+            cost = far * far
+            for j in range(1, centre.shape[1]):
+                far = centre[:, j] - centre[a, j]
+                cost += far * far
+            cost *= size * size[a] / (size + size[a])
+            cost[a] = np.inf
+            cost[~live] = np.inf
+            b = int(cost.argmin())
+            if len(chain) > 1 and cost[chain[-2]] <= cost[b]:
+                b = chain[-2]
+                break
+            chain.append(b)
+        a = chain.pop()
+        chain.pop()
+        merges.append((float(cost[b]), int(leaf[a]), int(leaf[b])))
+        lo, hi = min(a, b), max(a, b)
+        centre[lo] = (size[a] * centre[a] + size[b] * centre[b]) / (size[a] + size[b])
+        size[lo] += size[hi]
+        live[hi] = False
+        left -= 1
+    return sorted(merges, key=lambda m: m[0])
+
+
+def merge_tree(x: np.ndarray, w: np.ndarray, k: int, link: str) -> np.ndarray:
+    """Labels after merging weighted points down to ``k`` groups."""
+    return np.unique(_unions(len(x), merge_steps(x, w, link)[: max(0, len(x) - k)]), return_inverse=True)[1]
 
 
 def linkage(points: DataFrame, axes: tuple[str, ...], k: int, link: str = "average", cap: int = 6_000) -> DataFrame:
+    """One tree in one process over a matrix of all distances, of bounded size."""
     if link not in LINKS:
         raise ValueError(f"link is one of {LINKS}")
     x, w = collect_capped(points, axes, f"linkage {link}", cap)
@@ -92,24 +147,71 @@ def single_linkage_at(points: DataFrame, axes: tuple[str, ...], distance: float)
     return dbscan(points, axes, distance, 1)
 
 
-def single_linkage(points: DataFrame, axes: tuple[str, ...], k: int, low: float, high: float, rounds: int = 20) -> DataFrame:
-    """Single linkage to ``k`` groups of any number of points, by bisecting the cut.
+def linkage_by_parts(points: DataFrame, axes: tuple[str, ...], k: int, link: str = "average", reach: float = 1.0, cap: int = 6_000) -> DataFrame:
+    """Average, single or complete linkage to exactly ``k`` groups, as many trees as there are parts.
 
-    The number of groups falls with the distance; ``low`` and ``high`` enclose the cut.
+    Groups in different components of the graph of pairs within ``reach`` are farther apart
+    than that under each of these links, so all merges up to that height happen inside the
+    components, which are solved as tasks of their own.  The reach doubles until they leave
+    at most ``k`` groups; the cheapest merges of all components then make the cut.  With
+    fewer than ``k`` places each is a group.  A component of more than ``cap`` places has no
+    exact tree within a task's memory: BaselineTooLarge.
     """
-    found = None
-    for _ in range(rounds):
-        middle = (low + high) / 2
-        found = stage(single_linkage_at(points, axes, middle), "single")
-        groups = found.agg(F.countDistinct("label")).first()[0]
-        if groups == k:
-            return found
-        low, high = (middle, high) if groups > k else (low, middle)
-    return found
-
-
-def ward(points: DataFrame, axes: tuple[str, ...], k: int, cap: int = 6_000) -> DataFrame:
-    return linkage(points, axes, k, "ward", cap)
+    if link not in LINKS[:3]:
+        raise ValueError(f"link is one of {LINKS[:3]}")
+    names = xs(axes)
+    at = stage(places(points, axes), "place")
+    total = at.count()
+
+    def tree(table: pa.Table, limit: float) -> tuple[np.ndarray, list[tuple[float, int, int]]]:
+        x = np.stack([table[c].to_numpy() for c in names], 1)
+        order = np.lexsort(x.T[::-1])
+        return order, [m for m in merge_steps(x[order], table["w"].to_numpy()[order], link) if m[0] <= limit]
+
+    def heights(limit: float) -> Callable[[pa.Table], pa.Table]:
+        def run(table: pa.Table) -> pa.Table:
+            steps = tree(table, limit)[1]
+            return pa.table({"part": pa.array([table["part"][0].as_py()] * len(steps), pa.int64()), "height": pa.array([m[0] for m in steps], pa.float64())})
+
+        return run
+
+    while True:
+        parts = stage(_dbscan_blocks(at, tuple(names), reach, 1).withColumnRenamed("label", "part").join(at, names), "parts")
+        count, most = parts.groupBy("part").agg(F.count("*").alias("n")).agg(F.count("*"), F.max("n")).first()
+        if (most or 0) > cap:
+            raise BaselineTooLarge(f"linkage {link}, a part", int(most), cap)
+        limit = reach if count > 1 else math.inf  # one component has the whole tree
+        merges = stage(parts.groupBy("part").applyInArrow(heights(limit), "part long, height double"), "merge")
+        groups = total - merges.count()
+        if groups <= k or count <= 1:
+            break
+        reach *= 2
+    # the dearest merges are left out, as many as groups are lacking: k rows at most
+    spare = merges.withColumn("nth", F.row_number().over(Window.partitionBy("part").orderBy("height"))).orderBy(F.desc("height"), F.desc("part"), F.desc("nth")).limit(max(0, min(k, total) - groups))
+    left_out = spare.groupBy("part").agg(F.count("*").alias("spare"))
+
+    def cut(table: pa.Table) -> pa.Table:
+        order, steps = tree(table, limit)
+        root = _unions(len(order), steps[: len(steps) - int(table["spare"][0].as_py())])
+        x = [table[c].to_numpy()[order] for c in names]
+        return pa.table({n: v for n, v in zip(names, x)} | {f"r{i}": v[root] for i, v in enumerate(x)})
+
+    schema = ", ".join([f"{n} double" for n in names] + [f"r{i} double" for i in range(len(names))])
+    marked = parts.join(left_out, "part", "left").withColumn("spare", F.coalesce("spare", F.lit(0)))
+    labelled = marked.groupBy("part").applyInArrow(cut, schema)
+    return back(points, number_roots(labelled, F.struct(*[f"r{i}" for i in range(len(names))]), axes), axes)
+
+
+def single_linkage(points: DataFrame, axes: tuple[str, ...], k: int, reach: float = 1.0, cap: int = 6_000) -> DataFrame:
+    """Single linkage to exactly ``k`` groups, part by part."""
+    return linkage_by_parts(points, axes, k, "single", reach, cap)
+
+
+def ward(points: DataFrame, axes: tuple[str, ...], k: int, cap: int = 100_000) -> DataFrame:
+    """Ward's groups of a bounded number of points, in linear memory."""
+    x, w = collect_capped(points, axes, "ward", cap)
+    labels = np.unique(_unions(len(x), ward_steps(x, w)[: max(0, len(x) - k)]), return_inverse=True)[1]
+    return labels_frame(points, axes, x, labels)
 
 
 class _FeatureTree:
@@ -180,8 +282,9 @@ class _FeatureTree:
 def birch(points: DataFrame, axes: tuple[str, ...], threshold: float, branching: int = 50, k: int | None = None, cap: int = 6_000) -> DataFrame:
     """Feature trees per partition, merged in one tree, then Ward over the features.
 
-    What leaves a partition is its features, not its points; with more features than the
-    cap the threshold is too small for the input.
+    What leaves a partition is its features, not its points, and they are counted before
+    the driver reads them; with more features than the cap, or than that from each
+    partition, the threshold is too small for the input.
     """
     dim = len(axes)
     schema = "n double, " + ", ".join(f"s{i} double" for i in range(dim)) + ", q double"
@@ -195,14 +298,16 @@ def birch(points: DataFrame, axes: tuple[str, ...], threshold: float, branching:
         yield pd.DataFrame(rows, columns=["n", *[f"s{i}" for i in range(dim)], "q"])
 
     rows = points.select(*[F.col(a).cast("double").alias(a) for a in axes])
-    features = rows.mapInPandas(build, schema).toPandas().sort_values(["s0", "n"]).to_numpy()
+    found = stage(rows.mapInPandas(build, schema), "feature")
+    many, bound = found.count(), cap * 16
+    if many > bound:
+        raise BaselineTooLarge("birch features", many, bound)
+    features = found.toPandas().sort_values(["s0", "n"]).to_numpy()
     tree = _FeatureTree(threshold, branching, dim)
     for f in features:
         tree.add(f[0], f[1 : 1 + dim], f[-1])
     merged = tree.leaves()
     if len(merged) > cap:
-        from gridhub.baselines.common import BaselineTooLarge
-
         raise BaselineTooLarge("birch features", len(merged), cap)
     centres = np.array([s / n for n, s, _ in merged])
     labels = np.arange(len(centres)) if k is None else merge_tree(centres, np.array([n for n, _, _ in merged]), k, "ward")

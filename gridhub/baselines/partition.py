@@ -107,18 +107,22 @@ def _assign(points: DataFrame, axes: tuple[str, ...], centres: np.ndarray) -> Da
 
 
 def minibatch_kmeans(points: DataFrame, axes: tuple[str, ...], k: int, batch: int = 1024, iters: int = 100, starts: int = 3, seed: int = 1) -> DataFrame:
-    """Centres move by 1/count towards each batch; batches come from one bounded sample."""
-    need = max(batch * 20, k * 20)
+    """Centres move by 1/count towards each batch; every batch is drawn from all the data.
+
+    One scan draws the rows of all batches, ``iters * batch`` of them, whatever the input;
+    each start deals them into batches anew.
+    """
+    need = max(iters * batch, 20 * k)
     rows = points.count()
-    drawn = points if rows <= need else points.sample(min(1.0, 1.2 * need / rows), seed)
-    x = drawn.select(*[F.col(a).cast("double") for a in axes]).limit(2 * need).toPandas().to_numpy()
+    drawn = points if rows <= need else points.sample(min(1.0, need / rows), seed)
+    x = drawn.select(*[F.col(a).cast("double") for a in axes]).toPandas().to_numpy()
     best, best_cost = None, np.inf
     for start in range(starts):
         rng = np.random.default_rng([seed, start])
         centres = _spread_start(x, k, rng)
-        seen = np.zeros(len(centres))
-        for _ in range(iters):
-            some = x[rng.integers(len(x), size=min(batch, len(x)))]
+        seen, order = np.zeros(len(centres)), rng.permutation(len(x))
+        for turn in range(iters):
+            some = x[order[np.arange(turn * batch, (turn + 1) * batch) % len(x)]] if len(x) else x
             cell = ((centres**2).sum(1) - 2 * some @ centres.T).argmin(1)
             many = np.bincount(cell, minlength=len(centres))
             sums = np.stack([np.bincount(cell, some[:, j], len(centres)) for j in range(x.shape[1])], 1)

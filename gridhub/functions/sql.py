@@ -77,7 +77,7 @@ def map_side_counts(tiled: DataFrame, keys: tuple[str, ...]) -> DataFrame:
 
     def count(batches):
         for b in batches:
-            yield pa.Table.from_batches([b]).group_by(list(keys)).aggregate([([], "count_all")]).rename_columns([*keys, "n"]).to_batches()[0]
+            yield from pa.Table.from_batches([b]).group_by(list(keys)).aggregate([([], "count_all")]).rename_columns([*keys, "n"]).to_batches()
 
     return tiled.select(*keys).mapInArrow(count, ", ".join(f"{k} bigint" for k in keys) + ", n bigint")
 

@@ -19,6 +19,9 @@ from gridhub.plans.staging import release, stage
 
 #: Tiles up to which one task (here: the driver) solves the whole graph.
 DRIVER_TILES = 200_000
+#: Estimated bytes of a plan up to which its tiles are asked for at once, unstaged; a guess
+#: that proves wrong costs one more run of the plan.
+SMALL_INPUT = 2 << 30
 ENGINES = ("auto", "driver", "propagate", "star", "blocks", "recursive")
 
 
@@ -45,13 +48,39 @@ def _label_table(table: pa.Table, keys: tuple[str, ...], near: Neighborhood) ->
     return out
 
 
-def _driver(sig: DataFrame, near: Neighborhood) -> DataFrame:
-    """One trip: the tiles come to the driver and go back labelled; for small sets."""
-    many = sig.count()
-    if many > DRIVER_TILES:
-        raise ValueError(f"{many} tiles; the driver engine takes {DRIVER_TILES}")
-    labelled = _label_table(sig.toArrow(), tile_keys(sig), near)
-    return sig.sparkSession.createDataFrame(labelled, _result_schema(sig)) if labelled.num_rows else sig.sparkSession.createDataFrame([], _result_schema(sig))
+def few_tiles(sig: DataFrame) -> pa.Table | None:
+    """The tiles in one trip to the driver, or None when they are more than DRIVER_TILES."""
+    found = sig.limit(DRIVER_TILES + 1).toArrow()
+    return found if found.num_rows <= DRIVER_TILES else None
+
+
+def seems_small(df: DataFrame) -> bool:
+    """Whether the optimizer's estimate of what ``df`` reads says that it may be asked at once."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    return sum(int(str(leaves.apply(i).stats().sizeInBytes())) for i in range(leaves.length())) <= SMALL_INPUT
+
+
+def large_enough(labelled: pa.Table, keys: tuple[str, ...], mu: int) -> pa.Table:
+    """Rows of clusters of at least ``mu`` tiles; a cluster's rows share its root."""
+    if mu <= 1 or not labelled.num_rows:
+        return labelled
+    roots = np.stack([labelled[f"r_{k}"].to_numpy() for k in keys], 1)
+    _, back, many = np.unique(roots, axis=0, return_inverse=True, return_counts=True)
+    return labelled.filter(pa.array(many[back.ravel()] >= mu))
+
+
+def _frame(sig: DataFrame, labelled: pa.Table) -> DataFrame:
+    spark, schema = sig.sparkSession, _result_schema(sig)
+    return spark.createDataFrame(labelled, schema) if labelled.num_rows else spark.createDataFrame([], schema)
+
+
+def _driver(sig: DataFrame, near: Neighborhood, mu: int = 1) -> DataFrame | None:
+    """One trip: the tiles come to the driver and go back labelled; None if they are too many."""
+    tiles = few_tiles(sig)
+    if tiles is None:
+        return None
+    keys = tile_keys(sig)
+    return _frame(sig, large_enough(_label_table(tiles, keys, near), keys, mu))
 
 
 def _star(sig: DataFrame, near: Neighborhood) -> DataFrame:
@@ -113,11 +142,14 @@ def agglomerate(sig: DataFrame, near: Neighborhood | None = None, engine: str =
     if engine not in ENGINES:
         raise ValueError(f"engine is one of {ENGINES}")
     if engine == "auto":
-        sig = stage(sig, "sig")
-        engine = "driver" if sig.count() <= DRIVER_TILES else "blocks"
-    if engine == "driver":
-        return _driver(sig, near)
-    if engine == "blocks":
+        sig = sig if seems_small(sig) else stage(sig, "sig")
+    if engine in ("auto", "driver"):
+        found = _driver(sig, near)
+        if found is not None:
+            return found
+        if engine == "driver":
+            raise ValueError(f"the driver engine takes {DRIVER_TILES} tiles")
+    if engine in ("auto", "blocks"):
         from gridhub.operators.sliced import block_clusters
 
         return block_clusters(sig, near)
@@ -135,7 +167,14 @@ def keep_clusters(labelled: DataFrame, mu: int) -> DataFrame:
 def tile_clusters(points: DataFrame, grid: Grid, params: TileParams | None = None, engine: str = "auto") -> DataFrame:
     """The base method: points to clusters of tiles; points are counted and forgotten."""
     params = params or TileParams()
-    return keep_clusters(agglomerate(significant(count_tiles(points, grid), params.tau), params.near, engine), params.mu)
+    sig = significant(count_tiles(points, grid), params.tau)
+    if engine == "auto":
+        sig = sig if seems_small(sig) else stage(sig, "sig")
+        found = _driver(sig, params.near, params.mu)
+        if found is not None:
+            return found
+        engine = "blocks"
+    return keep_clusters(agglomerate(sig, params.near, engine), params.mu)
 
 
 def cluster_ids(clusters: DataFrame) -> DataFrame:

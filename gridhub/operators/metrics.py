@@ -5,11 +5,18 @@ from __future__ import annotations
 import math
 import statistics
 import time
-from collections.abc import Callable, Iterable
+from collections.abc import Callable, Iterable, Iterator
 
-from pyspark.sql import Column, DataFrame, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from gridhub.plans.staging import stage
+
+#: Cluster summaries that may go to every task, some 60 bytes each.
+MAX_CLUSTERS = 2_000_000
+
 
 def found_ratio(clusters: DataFrame, truth: int, roots: list[str] | None = None) -> DataFrame:
     """Clusters found over clusters generated, in percent; splits can pass 100."""
@@ -28,43 +35,108 @@ def matched_ratio(labelled: DataFrame, truth: str = "hub", roots: list[str] | No
     return good.crossJoin(hubs).withColumn("percent", F.round(F.col("matched") * 100.0 / F.nullif(F.col("hubs"), F.lit(0)), 6))
 
 
+#: Places of a block; two blocks meet in one matrix of distances.
+BLOCK = 1024
+
+
+def _cluster_stats(rows: DataFrame, axes: tuple[str, ...]) -> DataFrame:
+    """Per cluster ``l``: rows ``m``, centre ``c0..``, mean square distance ``v`` and reach ``r`` from it."""
+    dim = len(axes)
+    centres = rows.groupBy("l").agg(F.sum("w").alias("m"), *[(F.sum(F.col(f"x{i}") * F.col("w")) / F.sum("w")).alias(f"c{i}") for i in range(dim)])
+    d2 = sum((F.pow(F.col(f"x{i}") - F.col(f"c{i}"), 2) for i in range(1, dim)), F.pow(F.col("x0") - F.col("c0"), 2))
+    keys = ["l", "m", *[f"c{i}" for i in range(dim)]]
+    return rows.join(centres, "l").groupBy(*keys).agg((F.sum(d2 * F.col("w")) / F.first("m")).alias("v"), F.sqrt(F.max(d2)).alias("r"))
+
+
+def near_clusters(stats: DataFrame, dim: int, squared: bool) -> DataFrame:
+    """``l, k``: the clusters k that can be nearest in mean distance to some point of l.
+
+    A point of l is at most ``r`` from its centre.  The mean distance to a cluster is at
+    least the distance to its centre and at most the root of the mean square, which adds
+    ``v``; whatever stays above the least upper bound is out.  The summaries, a row a
+    cluster, go to every task once their number is checked.
+    """
+    many = stats.count()
+    if many > MAX_CLUSTERS:
+        raise ValueError(f"{many} clusters; summaries of {MAX_CLUSTERS} at most are compared")
+    names = [f"c{i}" for i in range(dim)]
+    table = stats.select("l", *names, "v").toArrow()
+    sent = stats.sparkSession.sparkContext.broadcast((table["l"].combine_chunks(), np.stack([table[c].to_numpy() for c in names], 1), table["v"].to_numpy()))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        labels, centre, spread = sent.value
+        for batch in batches:
+            mine, at, reach = batch.column("l"), np.stack([batch.column(c).to_numpy() for c in names], 1), batch.column("r").to_numpy()
+            for i in range(batch.num_rows):
+                far = np.sqrt(((centre - at[i]) ** 2).sum(1))
+                low, high = np.maximum(far - reach[i], 0) ** 2, (far + reach[i]) ** 2 + spread
+                if squared:
+                    low = low + spread
+                other = np.ones(len(far), bool)
+                other[labels.index(mine[i]).as_py()] = False
+                if other.any():
+                    k = np.flatnonzero(other & (low <= high[other].min() * (1 + 1e-9)))
+                    yield pa.RecordBatch.from_pydict({"l": pa.array([mine[i].as_py()] * len(k), mine.type), "k": labels.take(pa.array(k))})
+
+    kind = dict(stats.dtypes)["l"]
+    return stats.select("l", *names, "r").mapInArrow(run, f"l {kind}, k {kind}")
+
+
+def _label_rows(labelled: DataFrame, axes: tuple[str, ...], label: str) -> DataFrame:
+    """Distinct places of labelled rows with their weight: ``l, x0.., w``."""
+    rows = labelled.where(F.col(label).isNotNull()).select(F.col(label).alias("l"), *[F.col(a).cast("double").alias(f"x{i}") for i, a in enumerate(axes)])
+    return stage(rows.groupBy(*rows.columns).agg(F.count("*").alias("w")), "places")
+
+
 def silhouette_fast(labelled: DataFrame, axes: tuple[str, ...], label: str) -> DataFrame:
-    """Mean silhouette on squared Euclidean distance over all rows in O(rows * clusters).
+    """Mean silhouette on squared Euclidean distance over all rows.
 
-    Mean squared distances to a cluster follow from its count, sum and squared norm.  The
-    cluster table has one row per label; rows of a single-point cluster count as 0.
+    Mean squared distances to a cluster follow from its count, centre and mean square, and
+    a row is compared only with its own cluster and those that ``near_clusters`` leaves.
+    Rows of a single-point cluster count as 0.
     """
-    rows = labelled.where(F.col(label).isNotNull())
-    norm = sum((F.col(a).cast("double") * F.col(a) for a in axes[1:]), F.col(axes[0]).cast("double") * F.col(axes[0]))
-    stats = rows.groupBy(F.col(label).alias("l")).agg(F.count("*").alias("m"), *[F.sum(F.col(a).cast("double")).alias(f"s{i}") for i, a in enumerate(axes)], F.sum(norm).alias("q"))
-    unique = rows.groupBy(label, *axes).agg(F.count("*").alias("w"))
-    dot = sum((F.col(a) * F.col(f"s{i}") for i, a in enumerate(axes[1:], 1)), F.col(axes[0]) * F.col("s0"))
-    away = norm + F.col("q") / F.col("m") - 2 * dot / F.col("m")
-    both = unique.crossJoin(stats).withColumn("d", F.greatest(away, F.lit(0.0)))
-    own = F.max(F.when(F.col(label) == F.col("l"), F.when(F.col("m") > 1, F.col("d") * F.col("m") / (F.col("m") - 1))))
-    per = both.groupBy(label, *axes, "w").agg(own.alias("a"), F.min(F.when(F.col(label) != F.col("l"), F.col("d"))).alias("b"))
-    return _mean_silhouette(per)
-
-
-def silhouette(labelled: DataFrame, axes: tuple[str, ...], label: str, cap: int | None = None, seed: int = 3) -> DataFrame:
-    """Mean silhouette on Euclidean distance.
-
-    Each point is compared with at most ``cap`` points of each cluster, drawn by a hash of
-    the place (all of them when None: quadratic, for checks).
+    dim, rows = len(axes), _label_rows(labelled, axes, label)
+    stats = stage(_cluster_stats(rows, axes), "stats")
+    pairs = near_clusters(stats, dim, True).unionByName(stats.select("l", F.col("l").alias("k")))
+    other = stats.select(F.col("l").alias("k"), "m", "v", *[f"c{i}" for i in range(dim)])
+    d2 = sum((F.pow(F.col(f"x{i}") - F.col(f"c{i}"), 2) for i in range(1, dim)), F.pow(F.col("x0") - F.col("c0"), 2))
+    met = rows.join(stage(pairs.join(other, "k"), "near"), "l").withColumn("d", d2 + F.col("v"))
+    place = ["l", *[f"x{i}" for i in range(dim)], "w"]
+    own = F.max(F.when((F.col("k") == F.col("l")) & (F.col("m") > 1), F.col("d") * F.col("m") / (F.col("m") - 1)))
+    return _mean_silhouette(met.groupBy(*place).agg(own.alias("a"), F.min(F.when(F.col("k") != F.col("l"), F.col("d"))).alias("b")))
+
+
+def silhouette(labelled: DataFrame, axes: tuple[str, ...], label: str) -> DataFrame:
+    """Mean silhouette on Euclidean distance over all rows, exact.
+
+    Every place is compared with all places of its own cluster and of those that
+    ``near_clusters`` leaves, block by block, so that no cluster has to fit a task.
     """
-    rows = labelled.where(F.col(label).isNotNull()).select(F.col(label).alias("l"), *[F.col(a).cast("double").alias(f"x{i}") for i, a in enumerate(axes)])
-    sample = rows
-    if cap is not None:
-        order = Window.partitionBy("l").orderBy(F.xxhash64(*[f"x{i}" for i in range(len(axes))], F.lit(seed)), *[f"x{i}" for i in range(len(axes))])
-        sample = rows.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= cap).drop("_r")
-    other = sample.groupBy(F.col("l").alias("k"), *[F.col(f"x{i}").alias(f"y{i}") for i in range(len(axes))]).agg(F.count("*").alias("v"))
-    mine = rows.groupBy("l", *[f"x{i}" for i in range(len(axes))]).agg(F.count("*").alias("w"))
-    d = F.sqrt(sum((F.pow(F.col(f"x{i}") - F.col(f"y{i}"), 2) for i in range(1, len(axes))), F.pow(F.col("x0") - F.col("y0"), 2)))
-    sums = mine.crossJoin(other).groupBy("l", "w", *[f"x{i}" for i in range(len(axes))], "k").agg(F.sum(d * F.col("v")).alias("total"), F.sum("v").alias("m"))
-    # without a sample the point itself is among those of its own cluster
-    same = F.col("total") / (F.col("m") - 1) if cap is None else F.col("total") / F.col("m")
-    per = sums.groupBy("l", "w", *[f"x{i}" for i in range(len(axes))]).agg(F.max(F.when((F.col("k") == F.col("l")) & (F.col("m") > 1), same)).alias("a"), F.min(F.when(F.col("k") != F.col("l"), F.col("total") / F.col("m"))).alias("b"))
-    return _mean_silhouette(per)
+    dim, rows = len(axes), _label_rows(labelled, axes, label)
+    stats = stage(_cluster_stats(rows, axes), "stats")
+    pairs = near_clusters(stats, dim, False).unionByName(stats.select("l", F.col("l").alias("k")))
+    names = [f"x{i}" for i in range(dim)]
+    sizes = rows.groupBy("l").agg(F.ceil(F.count("*") / BLOCK).alias("parts"))
+    dealt = rows.join(sizes, "l").withColumn("part", F.pmod(F.xxhash64(*names), F.col("parts")))
+    blocks = stage(dealt.groupBy("l", "part").agg(F.collect_list(F.struct(*names, "w")).alias("at")), "blocks")
+    met = blocks.join(stage(pairs, "near"), "l").join(blocks.select(F.col("l").alias("k"), F.col("part").alias("other_part"), F.col("at").alias("other")), "k")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                one, other = batch.column("at")[i].values, batch.column("other")[i].values
+                x, y = (np.stack([side.field(n).to_numpy() for n in names], 1) for side in (one, other))
+                weight = other.field("w").to_numpy().astype(float)
+                total = np.sqrt(((x[:, None] - y[None]) ** 2).sum(2)) @ weight
+                flat = {n: x[:, j] for j, n in enumerate(names)} | {"w": one.field("w").to_numpy(), "total": total, "held": np.full(len(x), int(weight.sum()))}
+                ends = {c: pa.array([batch.column(c)[i].as_py()] * len(x), batch.column(c).type) for c in ("l", "k")}
+                yield pa.RecordBatch.from_pydict(ends | {c: pa.array(v) for c, v in flat.items()})
+
+    kind = dict(stats.dtypes)["l"]
+    schema = f"l {kind}, k {kind}, " + ", ".join(f"{n} double" for n in names) + ", w long, total double, held long"
+    sums = met.select("l", "k", "at", "other").mapInArrow(run, schema).groupBy("l", "w", *names, "k").agg(F.sum("total").alias("total"), F.sum("held").alias("m"))
+    own = F.max(F.when((F.col("k") == F.col("l")) & (F.col("m") > 1), F.col("total") / (F.col("m") - 1)))
+    return _mean_silhouette(sums.groupBy("l", "w", *names).agg(own.alias("a"), F.min(F.when(F.col("k") != F.col("l"), F.col("total") / F.col("m"))).alias("b")))
 
 
 def _mean_silhouette(per: DataFrame) -> DataFrame:

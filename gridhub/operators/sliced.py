@@ -9,23 +9,25 @@ from __future__ import annotations
 
 from collections import defaultdict
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from gridhub.config import Grid, Neighborhood, TileParams
-from gridhub.operators.agglomerate import _label_table, _result_schema, keep_clusters
+from gridhub.operators.agglomerate import _frame, _label_table, _result_schema, few_tiles, keep_clusters, large_enough, seems_small
 from gridhub.operators.components import star_components
 from gridhub.operators.contract import count_tiles, significant
 from gridhub.operators.neighbors import neighbours, tile_keys
+from gridhub.operators.unionfind import join_labels, tile_components
 from gridhub.plans.staging import stage
 
 SLICINGS = ("domain", "minmax", "balanced")
 JOINS = ("graph", "sweep", "tree")
 #: Border edges between groups that the two ordered joins take to the driver.
 ORDERED_EDGES = 1_000_000
-#: Tiles along one side of a block.
-BLOCK_SIDE = 512
+#: Tiles along one side of a block, and of a slice on average.
+BLOCK_SIDE, SLICE_TILES = 512, 1_000_000
 
 
 def slice_bounds(sig: DataFrame, slices: int, slicing: str, near: Neighborhood, domain: tuple[int, int] | None = None, by: str = "tiles") -> list[int]:
@@ -52,6 +54,10 @@ def slice_bounds(sig: DataFrame, slices: int, slicing: str, near: Neighborhood,
         cuts = sorted(r["at"] for r in columns.withColumn("part", part).groupBy("part").agg(F.min(first).alias("at")).collect())[1:]
     else:
         cuts = [low + (high + 1 - low) * i // slices for i in range(1, slices)]
+    return _wide_enough(cuts, low, high, near)
+
+
+def _wide_enough(cuts: list[int], low: int, high: int, near: Neighborhood) -> list[int]:
     out: list[int] = []
     for c in cuts:
         if c - (out[-1] if out else low) >= near.reach and high + 1 - c >= near.reach:
@@ -138,16 +144,61 @@ def _relabel(local: DataFrame, roots: DataFrame | None) -> DataFrame:
     return joined.select(*[F.coalesce(f"m_{k}", f"r_{k}").alias(f"r_{k}") for k in keys], *[c for c in local.columns if not c.startswith("r_")])
 
 
-def slice_clusters(sig: DataFrame, near: Neighborhood, slices: int = 8, slicing: str = "balanced", join: str = "graph", mu: int = 1, domain: tuple[int, int] | None = None, by: str = "tiles") -> DataFrame:
+def _small_slices(tiles: pa.Table, keys: tuple[str, ...], near: Neighborhood, cuts: list[int]) -> pa.Table:
+    """The sliced form in one process: components of every slice, then of every border zone.
+
+    Two labels of one border component are joined; what lies off the borders is untouched.
+    """
+    x = np.stack([tiles[k].to_numpy() for k in keys], 1)
+    order = np.lexsort(x.T[::-1])
+    x, label = x[order], np.arange(len(order))
+    ends = [0, *np.searchsorted(x[:, 0], cuts).tolist(), len(x)]
+    for a, b in zip(ends, ends[1:]):
+        if b > a:
+            label[a:b] = a + tile_components(x[a:b], near)
+    for c in cuts:
+        a, b = np.searchsorted(x[:, 0], [c - near.reach, c + near.reach])
+        if b > a:
+            label = join_labels(label, np.arange(a, b), a + tile_components(x[a:b], near))
+    roots, out = x[label], tiles.take(pa.array(order))
+    for i, k in reversed(list(enumerate(keys))):
+        out = out.add_column(0, f"r_{k}", pa.array(roots[:, i], pa.int64()))
+    return out
+
+
+def _small_cuts(tiles: pa.Table, keys: tuple[str, ...], slices: int, slicing: str, near: Neighborhood, domain: tuple[int, int] | None, by: str) -> list[int]:
+    """``slice_bounds`` of tiles at hand."""
+    at, back = np.unique(tiles[keys[0]].to_numpy(), return_inverse=True)
+    if not len(at) or slicing != "balanced":
+        low, high = domain if slicing == "domain" else (int(at[0]), int(at[-1])) if len(at) else (0, 0)
+        return _wide_enough([low + (high + 1 - low) * i // slices for i in range(1, slices)], low, high, near)
+    load = np.bincount(back, None if by == "tiles" else tiles["n"].to_numpy().astype(float))
+    part = np.minimum(((np.cumsum(load) - load) * slices / load.sum()).astype(np.int64), slices - 1)
+    return _wide_enough(at[np.sort(np.unique(part, return_index=True)[1])[1:]].tolist(), int(at[0]), int(at[-1]), near)
+
+
+def slice_clusters(sig: DataFrame, near: Neighborhood, slices: int | None = 8, slicing: str = "balanced", join: str = "graph", mu: int = 1, domain: tuple[int, int] | None = None, by: str = "tiles") -> DataFrame:
     """Clusters of ``mu`` tiles or more through vertical slices; rows as ``agglomerate``.
 
     Groups without a border tile are tested against ``mu`` before the join, the others
-    after it.
+    after it.  Up to DRIVER_TILES tiles all slices are solved in one process.  A slice is
+    one task, so beyond that there are at least as many slices as hold SLICE_TILES each on
+    average; ``slices`` None asks for no more.
     """
     if join not in JOINS:
         raise ValueError(f"join is one of {JOINS}")
-    sig = stage(sig, "sig")
+    if slicing not in SLICINGS:
+        raise ValueError(f"slicing is one of {SLICINGS}")
+    if slicing == "domain" and domain is None:
+        raise ValueError("domain slicing needs the first and last tile column")
     keys = tile_keys(sig)
+    sig = sig if join == "graph" and seems_small(sig) else stage(sig, "sig")
+    tiles = few_tiles(sig) if join == "graph" else None
+    if tiles is not None:
+        cuts = _small_cuts(tiles, keys, slices or 1, slicing, near, domain, by)
+        return _frame(sig, large_enough(_small_slices(tiles, keys, near, cuts), keys, mu))
+    sig = stage(sig, "sig") if not hasattr(sig, "_staged_at") else sig
+    slices = max(slices or 1, -(-sig.count() // SLICE_TILES))
     cuts = slice_bounds(sig, slices, slicing, near, domain, by)
     first = F.col(keys[0])
     number = _slice_of(first, cuts)
@@ -163,7 +214,7 @@ def slice_clusters(sig: DataFrame, near: Neighborhood, slices: int = 8, slicing:
     done = local.join(settled, roots, "left_semi").drop("slice", "edge")
     crossing = local.join(open_groups, roots, "left_semi")
     edges = stage(_border_edges(crossing, F.col("edge"), ["slice"], near), "border")
-    merged = star_components(edges) if join == "graph" else _ordered_roots(edges, join, len(cuts) + 1)
+    merged = _ordered_roots(edges, "sweep" if join == "graph" else join, len(cuts) + 1) if join != "graph" or edges.count() <= ORDERED_EDGES // 4 else star_components(edges)
     return done.unionByName(keep_clusters(_relabel(crossing.drop("slice", "edge"), merged), mu))
 
 

@@ -302,7 +302,9 @@ _add(
     lambda s, d: H.hubs(_clusters(s, d), e7_grid("35"), 1e-7).select("r_tx", "r_ty", "tiles", "points", F.round("x", 2).alias("x"), F.round("y", 2).alias("y"), "tx_min", "tx_max", "ty_min", "ty_max", F.col("densest.tx").alias("dense_tx"), F.col("densest.ty").alias("dense_ty")),
     _base_sql() + f" SELECT r_tx, r_ty, count(*)::BIGINT AS tiles, sum(n)::BIGINT AS points, round(sum(n * ((tx + 0.5e0) / (1e0 / {CELL['35']!r}e0))) / sum(n), 2) AS x, round(sum(n * ((ty + 0.5e0) / (1e0 / {CELL['35']!r}e0))) / sum(n), 2) AS y, min(tx) AS tx_min, max(tx) AS tx_max, min(ty) AS ty_min, max(ty) AS ty_max, arg_max(tx, struct_pack(n := n, a := tx, b := ty)) AS dense_tx, arg_max(ty, struct_pack(n := n, a := tx, b := ty)) AS dense_ty FROM clusters GROUP BY 1, 2",
 )
-_add("near_hubs", lambda s, d: H.near_hubs(stage(H.hubs(_clusters(s, d), e7_grid("35"), 1e-7), "hubs"), 1000.0, 1e-7).select("hub.r_tx", "hub.r_ty", F.col("other.r_tx").alias("o_tx"), F.col("other.r_ty").alias("o_ty"), F.round("metres", 3).alias("metres")))
+_CENTRES = f"h AS (SELECT r_tx AS tx, r_ty AS ty, count(*) AS n, sum(n * ((tx + 0.5e0) * {CELL['35']!r}e0)) / sum(n) * 1e-7 AS lon, sum(n * ((ty + 0.5e0) * {CELL['35']!r}e0)) / sum(n) * 1e-7 AS lat FROM clusters GROUP BY 1, 2)"
+_METRES = "2 * 6371008.8 * asin(least(1.0, sqrt(pow(sin(radians(b.lat - a.lat) / 2), 2) + cos(radians(a.lat)) * cos(radians(b.lat)) * pow(sin(radians(b.lon - a.lon) / 2), 2))))"
+_add("near_hubs", lambda s, d: H.near_hubs(stage(H.hubs(_clusters(s, d), e7_grid("35"), 1e-7), "hubs"), 1000.0, 1e-7).select("hub.r_tx", "hub.r_ty", F.col("other.r_tx").alias("o_tx"), F.col("other.r_ty").alias("o_ty"), F.round("metres", 3).alias("metres")), _base_sql() + f", {_CENTRES} SELECT a.tx AS r_tx, a.ty AS r_ty, b.tx AS o_tx, b.ty AS o_ty, round({_METRES}, 3) AS metres FROM h a JOIN h b ON (a.tx, a.ty) < (b.tx, b.ty) AND {_METRES} < 1000")
 
 
 def _merged(s: SparkSession, d: str) -> DataFrame:
@@ -311,7 +313,7 @@ def _merged(s: SparkSession, d: str) -> DataFrame:
     return H.merge_near_hubs(clusters, stage(pairs, "pairs"))
 
 
-_add("merge_near_hubs", _merged)
+_add("merge_near_hubs", _merged, _base_sql() + f", {_CENTRES}, {_walk(near=_METRES + ' < 1000', sig='h', mu=1, tag='m')} SELECT m.r_tx, m.r_ty, c.tx, c.ty, c.n FROM clusters c JOIN clustersm m ON c.r_tx = m.tx AND c.r_ty = m.ty")
 _TRIP_ROWS = f"WITH RECURSIVE {_HUBS}, {_TRIPS}, {_tiles('35')}, sig AS (SELECT * FROM counts WHERE n >= {TAU}), {_walk()}, met AS (SELECT p.*, c.r_tx, c.r_ty FROM trips p JOIN clusters c ON {_ON})"
 _add(
     "hub_vehicles",
@@ -461,7 +463,17 @@ _add(
     lambda s, d: M.silhouette_fast(_numbered(s, d), ("x", "y"), "label").select(F.round("silhouette", 4).alias("silhouette"), "points"),
     _LAB + ", st AS (SELECT label AS k, count(*) AS m, sum(x) AS sx, sum(y) AS sy, sum(x * x + y * y) AS q FROM l GROUP BY 1), d AS (SELECT l.label, x, y, k, m, greatest(x * x + y * y + q / m - 2 * (x * sx + y * sy) / m, 0) AS d FROM (SELECT DISTINCT label, x, y FROM l) l, st), ab AS (SELECT label, x, y, max(d * m / (m - 1)) FILTER (WHERE k = label AND m > 1) AS a, min(d) FILTER (WHERE k <> label) AS b FROM d GROUP BY 1, 2, 3) SELECT round(sum(CASE WHEN a IS NULL OR b IS NULL OR greatest(a, b) = 0 THEN 0 ELSE (b - a) / greatest(a, b) END) / count(*), 4) AS silhouette, count(*)::BIGINT AS points FROM l JOIN ab USING (label, x, y)",
 )
-_add("silhouette_capped", lambda s, d: M.silhouette(_numbered(s, d), ("x", "y"), "label", 4))
+_add(
+    "silhouette_exact",
+    lambda s, d: M.silhouette(_numbered(s, d), ("x", "y"), "label").select(F.round("silhouette", 4).alias("silhouette"), "points"),
+    # b(i) is sought among the clusters whose centre is no farther than the least root mean square
+    _LAB + """, st AS (SELECT label AS k, count(*) AS m, avg(x) AS cx, avg(y) AS cy, var_pop(x) + var_pop(y) AS v FROM l GROUP BY 1),
+    place AS (SELECT label, x, y, count(*) AS w FROM l GROUP BY 1, 2, 3),
+    near AS (SELECT label, x, y, w, k, m, sqrt((x - cx) ** 2 + (y - cy) ** 2) AS low, min(CASE WHEN k <> label THEN sqrt((x - cx) ** 2 + (y - cy) ** 2 + v) END) OVER (PARTITION BY label, x, y) AS high FROM place, st),
+    met AS (SELECT n.label, n.x, n.y, n.w, n.k, n.m, sum(o.w * sqrt((n.x - o.x) ** 2 + (n.y - o.y) ** 2)) AS total FROM near n JOIN place o ON o.label = n.k WHERE n.k = n.label OR n.low <= n.high * (1 + 1e-9) GROUP BY ALL),
+    ab AS (SELECT label, x, y, w, max(total / (m - 1)) FILTER (WHERE k = label AND m > 1) AS a, min(total / m) FILTER (WHERE k <> label) AS b FROM met GROUP BY 1, 2, 3, 4)
+    SELECT round(sum(w * CASE WHEN a IS NULL OR b IS NULL OR greatest(a, b) = 0 THEN 0 ELSE (b - a) / greatest(a, b) END) / sum(w), 4) AS silhouette, sum(w)::BIGINT AS points FROM ab""",
+)
 _add(
     "pair_scores",
     lambda s, d: M.pair_scores(_numbered(s, d), "hub", "label"),
@@ -469,7 +481,7 @@ _add(
 )
 _add("reduction", lambda s, d: H.reduction(hub_points(s, d), _clusters(s, d)).select("points", "tiles", F.round("ratio", 6).alias("ratio")), _base_sql() + " SELECT (SELECT count(*) FROM pts)::BIGINT AS points, count(*)::BIGINT AS tiles, round((SELECT count(*) FROM pts) / count(*), 6) AS ratio FROM clusters")
 _add("memory_report", lambda s, d: M.memory_report(count_tiles(hub_points(s, d), e7_grid("4"))), f"WITH {_HUBS}, {_tiles('4')} SELECT count(*)::BIGINT AS tiles, (count(*) * 24)::BIGINT AS bytes, sum(n)::BIGINT AS points FROM counts")
-_add("overlap_precisions", lambda s, d: M.overlap(stage(V.roll_up(_clusters(s, d, "4").select("tx", "ty", "n"), 1).join(_clusters(s, d, "4").select("r_tx", "r_ty", "tx", "ty"), ["tx", "ty"]), "a"), stage(_clusters(s, d, "4", near=Neighborhood("manhattan", 1)), "b")).select(F.col("a.r_tx").alias("a_tx"), F.col("a.r_ty").alias("a_ty"), F.col("b.r_tx").alias("b_tx"), F.col("b.r_ty").alias("b_ty"), "shared", F.round("jaccard", 6).alias("jaccard")))
+_add("overlap_precisions", lambda s, d: M.overlap(stage(V.roll_up(_clusters(s, d, "4").select("tx", "ty", "n"), 1).join(_clusters(s, d, "4").select("r_tx", "r_ty", "tx", "ty"), ["tx", "ty"]), "a"), stage(_clusters(s, d, "4", near=Neighborhood("manhattan", 1)), "b")).select(F.col("a.r_tx").alias("a_tx"), F.col("a.r_ty").alias("a_ty"), F.col("b.r_tx").alias("b_tx"), F.col("b.r_ty").alias("b_ty"), "shared", F.round("jaccard", 6).alias("jaccard")), f"WITH RECURSIVE {_HUBS}, {_tiles('4')}, sig AS (SELECT * FROM counts WHERE n >= {TAU}), {_walk()}, {_walk(near='abs(a.tx - b.tx) + abs(a.ty - b.ty) <= 1', tag='2')}, na AS (SELECT r_tx, r_ty, count(*) AS n FROM clusters GROUP BY 1, 2), nb AS (SELECT r_tx, r_ty, count(*) AS n FROM clusters2 GROUP BY 1, 2), met AS (SELECT a.r_tx AS a_tx, a.r_ty AS a_ty, b.r_tx AS b_tx, b.r_ty AS b_ty, count(*)::BIGINT AS shared FROM clusters a JOIN clusters2 b USING (tx, ty) GROUP BY 1, 2, 3, 4) SELECT a_tx, a_ty, b_tx, b_ty, shared, round(shared / (na.n + nb.n - shared), 6) AS jaccard FROM met JOIN na ON na.r_tx = a_tx AND na.r_ty = a_ty JOIN nb ON nb.r_tx = b_tx AND nb.r_ty = b_ty")
 
 # ---------------------------------------------------------------- baselines (statistics or sets; no SQL)
 
@@ -484,7 +496,7 @@ def _scored(run: Callable[[DataFrame, int], DataFrame]) -> Callable[[SparkSessio
     def query(s: SparkSession, d: str) -> DataFrame:
         hubs = table(s, d, "supplier").count()
         labelled = stage(run(_plane(s, d), hubs).select("hub", "label"), "baseline")
-        return M.matched_ratio(labelled, "hub", ["label"])
+        return M.matched_ratio(labelled, "hub", ["label"]).withColumn("status", F.lit("computed"))
     return query
 
 
@@ -504,20 +516,24 @@ for _name, _run in _BASELINES.items():
 
 
 def _capped(run: Callable[[DataFrame, int], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
-    """A quadratic method either scores or reports the refusal as its result."""
+    """A quadratic method either scores or says by its status which size it refuses."""
     def query(s: SparkSession, d: str) -> DataFrame:
         try:
             return _scored(run)(s, d)
         except baselines.BaselineTooLarge as e:
-            return s.createDataFrame([(None, int(e.rows), None)], "matched bigint, hubs bigint, percent double")
+            hubs = table(s, d, "supplier").count()
+            return s.createDataFrame([(None, hubs, None, f"refused: {e}")], "matched bigint, hubs bigint, percent double, status string")
     return query
 
 
-for _link in ("average", "single", "complete", "ward"):
-    _add(f"baseline_linkage_{_link}", _capped(lambda p, k, v=_link: baselines.linkage(p, _AXES, k, v)))
-_add("baseline_single_linkage", _scored(lambda p, k: baselines.single_linkage(p, _AXES, k, 0.1, 0.3, 6)))
+for _link in ("average", "single", "complete"):
+    _add(f"baseline_linkage_{_link}", _capped(lambda p, k, v=_link: baselines.linkage_by_parts(p, _AXES, k, v, 0.4)))
+_add("baseline_linkage_ward", _capped(lambda p, k: baselines.ward(p, _AXES, k)))
+_add("baseline_single_linkage", _capped(lambda p, k: baselines.single_linkage(p, _AXES, k, 0.1)))
 _add("baseline_spectral", _capped(lambda p, k: baselines.spectral(p, _AXES, k)))
 _add("baseline_affinity", _capped(lambda p, k: baselines.affinity_propagation(p, _AXES)))
+
+
 def _clique_sql(xi: int, density: float) -> str:
     return f"""WITH RECURSIVE {_HUBS}, p AS (SELECT lon_e7 / 1e4 AS x, lat_e7 / 1e4 AS y FROM pts), ends AS (SELECT min(x) AS lx, (max(x) - min(x)) / {xi} AS wx, min(y) AS ly, (max(y) - min(y)) / {xi} AS wy, count(*) AS rows FROM p),
 u AS (SELECT least(floor((x - lx) / wx), {xi - 1})::BIGINT AS tx, least(floor((y - ly) / wy), {xi - 1})::BIGINT AS ty, rows FROM p, ends), d1 AS (SELECT tx FROM u GROUP BY tx HAVING count(*) >= {density} * any_value(rows)), d2 AS (SELECT ty FROM u GROUP BY ty HAVING count(*) >= {density} * any_value(rows)),
@@ -549,4 +565,9 @@ _add(
     f"WITH e AS (SELECT user_id AS vehicle, {_EXY}, ts FROM events), m AS (SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY vehicle, tx, ty ORDER BY ts) + INTERVAL 12 HOUR THEN 0 ELSE 1 END AS opens FROM e) SELECT vehicle, tx, ty, sum(opens)::BIGINT AS stays, count(*)::BIGINT AS rows FROM m GROUP BY 1, 2, 3",
 )
 _add("stream_dedup", lambda s, d: S.run_once(S.stream_dedup(_event_stream(s, d)), mode="append").groupBy(F.col("x").alias("tx"), F.col("y").alias("ty")).agg(F.countDistinct("event_id").alias("n")), f"SELECT {_EXY}, count(DISTINCT event_id)::BIGINT AS n FROM events GROUP BY 1, 2")
-_add("stream_labelled", lambda s, d: S.run_once(S.label_stream(_event_stream(s, d), stage(tile_clusters(table(s, d, "events").withColumns({"x": F.floor(F.col("user_id") / 10), "y": F.floor(F.col("value") / 10)}), _XY, TileParams(5, 4)), "clusters"), _XY), mode="append").groupBy("tx", "ty").agg(F.count("r_tx").alias("labelled"), F.count("*").alias("rows")))
+_add("stream_labelled", lambda s, d: S.run_once(S.label_stream(_event_stream(s, d), stage(tile_clusters(table(s, d, "events").withColumns({"x": F.floor(F.col("user_id") / 10), "y": F.floor(F.col("value") / 10)}), _XY, TileParams(5, 4)), "clusters"), _XY), mode="append").groupBy("tx", "ty").agg(F.count("r_tx").alias("labelled"), F.count("*").alias("rows")), f"WITH RECURSIVE counts AS (SELECT {_EXY}, count(*)::BIGINT AS n FROM events GROUP BY 1, 2), sig AS (SELECT * FROM counts WHERE n >= 5), {_walk()} SELECT tx, ty, (CASE WHEN c.r_tx IS NULL THEN 0 ELSE k.n END)::BIGINT AS labelled, k.n AS rows FROM counts k LEFT JOIN clusters c USING (tx, ty)")
+_add(
+    "stream_window_clusters",
+    lambda s, d: S.window_clusters(S.run_once(S.stream_counts(_event_stream(s, d), _XY, "30 days")), TileParams(2, 2)).select(F.unix_timestamp("start").alias("start_s"), "r_tx", "r_ty", "tx", "ty", "n"),
+    f"WITH RECURSIVE sig AS (SELECT (epoch(ts)::BIGINT // 2592000 * 2592000)::BIGINT AS start_s, {_EXY}, count(*)::BIGINT AS n FROM events GROUP BY 1, 2, 3 HAVING count(*) >= 2), {_walk(('start_s', 'tx', 'ty'), 'a.start_s = b.start_s AND ' + _CHEB1, mu=2)} SELECT start_s, r_tx, r_ty, tx, ty, n FROM clusters",
+)

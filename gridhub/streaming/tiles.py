@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from pyspark.sql.streaming.query import StreamingQuery
 
-from gridhub.config import Grid, TileParams
+from gridhub.config import Grid, Neighborhood, TileParams
 from gridhub.operators.agglomerate import agglomerate, keep_clusters
 from gridhub.operators.contract import significant
 from gridhub.operators.metrics import overlap
@@ -112,6 +112,18 @@ def decayed_counts(stream: DataFrame, grid: Grid, half_life: float, at: str = "t
     return rows.groupBy(*grid.keys).transformWithStateInPandas(statefulProcessor=DecayedCount(half_life, floor), outputStructType="tx bigint, ty bigint, weight double, at_s double", outputMode="Update", timeMode="None")
 
 
+def window_clusters(counts: DataFrame, params: TileParams | None = None) -> DataFrame:
+    """Clusters of every window of ``start, tx, ty, n`` in one plan: ``start, r_tx, r_ty, tx, ty, n``.
+
+    The window's start is one more axis, along which no tile has a neighbour.
+    """
+    params = params or TileParams()
+    within = Neighborhood(offsets=tuple((0, *o) for o in params.near.all_offsets(2)))
+    tiles = counts.select(F.unix_micros("start").alias("t0"), F.col("tx").alias("t1"), F.col("ty").alias("t2"), "n")
+    found = keep_clusters(agglomerate(significant(tiles, params.tau), within), params.mu)
+    return found.select(F.timestamp_micros("t0").alias("start"), F.col("r_t1").alias("r_tx"), F.col("r_t2").alias("r_ty"), F.col("t1").alias("tx"), F.col("t2").alias("ty"), "n")
+
+
 def stream_clusters(counts: DataFrame, path: str, checkpoint: str, params: TileParams | None = None, output_mode: str = "complete", **trigger) -> StreamingQuery:
     """Clusters of every trigger, published as one folder per batch id.
 
@@ -123,16 +135,10 @@ def stream_clusters(counts: DataFrame, path: str, checkpoint: str, params: TileP
 
     def publish(batch: DataFrame, batch_id: int) -> None:
         if windowed:
-            starts = [r[0] for r in batch.select("start").distinct().orderBy("start").collect()]
-            out = None
-            for s in starts:
-                part = batch.where(F.col("start") == F.lit(s)).drop("start", "end")
-                found = keep_clusters(agglomerate(significant(part, params.tau), params.near), params.mu).withColumn("start", F.lit(s))
-                out = found if out is None else out.unionByName(found)
+            out = window_clusters(batch, params)
         else:
             out = keep_clusters(agglomerate(significant(batch, params.tau), params.near), params.mu)
-        if out is not None:
-            out.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
+        out.write.mode("overwrite").parquet(f"{path}/batch={batch_id}")
 
     return counts.writeStream.outputMode(output_mode).option("checkpointLocation", checkpoint).foreachBatch(publish).trigger(**(trigger or {"availableNow": True})).start()
 

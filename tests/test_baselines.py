@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from gridhub import baselines as B
-from gridhub.baselines import density
+from gridhub.baselines import density, hierarchy
 from gridhub.baselines.hierarchy import merge_tree
 from gridhub.baselines.subspace import cover_boxes
 from gridhub.operators.metrics import pair_scores, same_partition
@@ -24,7 +24,7 @@ RUNS = {
     "kmeans": lambda p: B.kmeans(p, AXES, 4), "minibatch": lambda p: B.minibatch_kmeans(p, AXES, 4), "gmm": lambda p: B.gaussian_mixture(p, AXES, 4),
     "mean_shift": lambda p: B.mean_shift(p, AXES, 3.0), "dbscan": lambda p: B.dbscan(p, AXES, 1.5, 4), "cells": lambda p: B.dbscan(p, AXES, 1.5, 4, "cells"),
     "ward": lambda p: B.ward(p, AXES, 4), "average": lambda p: B.linkage(p, AXES, 4), "single": lambda p: B.linkage(p, AXES, 4, "single"), "complete": lambda p: B.linkage(p, AXES, 4, "complete"),
-    "single_distributed": lambda p: B.single_linkage(p, AXES, 4, 0.5, 6.0),
+    "single_parts": lambda p: B.single_linkage(p, AXES, 4, 0.5), "average_parts": lambda p: B.linkage_by_parts(p, AXES, 4, "average", 0.3), "complete_parts": lambda p: B.linkage_by_parts(p, AXES, 4, "complete", 0.3),
     "birch": lambda p: B.birch(p, AXES, 0.5, 10, 4), "spectral": lambda p: B.spectral(p, AXES, 4, 20), "affinity": lambda p: B.affinity_propagation(p, AXES, preference=-200.0),
 }
 
@@ -42,6 +42,44 @@ def test_quadratic_methods_refuse(blobs):
             run()
 
 
+@pytest.mark.parametrize("link", ["average", "single", "complete"])
+@pytest.mark.parametrize("k", [1, 3, 17, 60, 200])
+def test_linkage_by_parts_is_the_whole_tree(spark, link, k):
+    rng = np.random.default_rng(k)
+    x = np.concatenate([rng.uniform(0, 3, (40, 2)), rng.uniform(2, 9, (25, 2)), [[20.0, 20.0]] * 3])
+    df = spark.createDataFrame([(float(a), float(b)) for a, b in x], "x double, y double")
+    got = {(r.x, r.y): r.label for r in B.linkage_by_parts(df, AXES, k, link, 0.4).collect()}
+    places = np.unique(x, axis=0)
+    weight = np.array([(x == p).all(1).sum() for p in places])
+    want = merge_tree(places, weight, k, link)
+    assert len(set(got.values())) == len(set(want)) == min(k, len(places))
+    assert len({(got[tuple(p)], w) for p, w in zip(places, want)}) == len(set(want))
+
+
+def test_linkage_by_parts_on_ties_and_sizes(spark):
+    line = spark.createDataFrame([(float(i), 0.0) for i in range(10)], "x double, y double")
+    for k in (1, 4, 10):
+        assert B.single_linkage(line, AXES, k, 0.5).agg(F.countDistinct("label")).first()[0] == k
+    with pytest.raises(B.BaselineTooLarge):
+        B.linkage_by_parts(line, AXES, 1, "average", 0.5, cap=5)
+
+
+def test_ward_without_a_matrix(spark):
+    rng = np.random.default_rng(2)
+    x, w = rng.normal(0, 1, (300, 2)), rng.integers(1, 4, 300)
+    one, other = hierarchy.merge_steps(x, w, "ward"), hierarchy.ward_steps(x, w)
+    assert np.allclose([m[0] for m in one], [m[0] for m in other])
+    for k in (2, 9, 50):
+        a, b = (np.unique(hierarchy._unions(300, m[: 300 - k]), return_inverse=True)[1] for m in (one, other))
+        assert len(set(zip(a, b))) == k
+
+
+def test_mean_shift_places_every_point(spark):
+    rng = np.random.default_rng(5)
+    df = spark.createDataFrame([(float(v), 0.0) for v in 40 * rng.beta(1.2, 4, 3000)], "x double, y double")
+    assert B.mean_shift(df, AXES, 1.0).where("label is null").count() == 0
+
+
 def brute_dbscan(x, eps, min_pts):
     near = ((x[:, None] - x[None]) ** 2).sum(2) <= eps * eps
     core = near.sum(1) >= min_pts

@@ -94,6 +94,18 @@ def test_silhouettes_match_brute_force(spark):
     assert M.silhouette_fast(df, ("x", "y"), "k").first().silhouette == pytest.approx(brute_silhouette(x, labels, True), abs=1e-5)
 
 
+@pytest.mark.parametrize("block", [4, 1024])
+def test_silhouettes_of_uneven_clusters(spark, monkeypatch, block):
+    rng = np.random.default_rng(6)
+    ring = np.array([[12 * np.cos(t), 12 * np.sin(t)] for t in np.linspace(0, 6, 40)])
+    x = np.concatenate([ring, rng.normal(0, 0.3, (15, 2)), rng.uniform(-20, 20, (60, 2)), rng.normal(6, 3, (30, 2)), np.repeat([[25.0, 0.0]], 5, 0)])
+    labels = np.repeat([0, 1, 2, 3, 4], [40, 15, 60, 30, 5])
+    df = spark.createDataFrame([(float(a), float(b), int(k)) for (a, b), k in zip(x, labels)], "x double, y double, k int")
+    monkeypatch.setattr(M, "BLOCK", block)
+    assert M.silhouette(df, ("x", "y"), "k").first().silhouette == pytest.approx(brute_silhouette(x, labels, False), abs=1e-5)
+    assert M.silhouette_fast(df, ("x", "y"), "k").first().silhouette == pytest.approx(brute_silhouette(x, labels, True), abs=1e-5)
+
+
 def test_scores(spark):
     df = spark.createDataFrame([(1, 5), (1, 5), (2, 6), (2, 6), (3, 6), (-1, None)], "hub int, label int")
     got = M.matched_ratio(df, "hub", ["label"]).first()

@@ -9,6 +9,7 @@ from gridhub.config import Grid, TileParams
 from gridhub.functions import ml, sql
 from gridhub.operators.agglomerate import agglomerate, tile_clusters
 from gridhub.operators.contract import count_tiles
+from gridhub.operators.project import with_tile
 from gridhub.plans import advisor
 from gridhub.sources import tables
 from gridhub.sources.hubs import HubSource, e7_grid, hub_points
@@ -67,6 +68,15 @@ def test_clusters_per_trigger_and_their_fate(spark, folder):
     last = spark.read.parquet(f"{path}/out/batch=3")
     want = tile_clusters(df, GRID, TileParams(3, 1))
     assert sorted(map(tuple, last.select(*want.columns).collect())) == sorted(map(tuple, want.collect()))
+    windows = S.stream_counts(read(spark, path), GRID, "6 hours")
+    S.stream_clusters(windows, f"{path}/win", f"{path}/ck4", TileParams(1, 1)).awaitTermination()
+    got = spark.read.parquet(f"{path}/win/batch=3").select("start", "r_tx", "r_ty", "tx", "ty", "n")
+    tiled = with_tile(df, GRID).groupBy(F.window("ts", "6 hours").start.alias("start"), "tx", "ty").agg(F.count("*").alias("n"))
+    want = None
+    for r in tiled.select("start").distinct().collect():
+        one = agglomerate(tiled.where(F.col("start") == F.lit(r.start)).select("tx", "ty", "n")).select(F.lit(r.start).alias("start"), "r_tx", "r_ty", "tx", "ty", "n")
+        want = one if want is None else want.unionByName(one)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
     a = agglomerate(spark.createDataFrame([(0, 0, 9), (1, 0, 9), (50, 0, 9), (60, 0, 9), (62, 0, 9)], "tx bigint, ty bigint, n bigint"))
     b = agglomerate(spark.createDataFrame([(0, 0, 9), (1, 0, 9), (60, 0, 9), (61, 0, 9), (62, 0, 9), (90, 0, 9)], "tx bigint, ty bigint, n bigint"))
     fates = {(r.cluster[0], r.fate) for r in S.evolution(a, b).collect()}
@@ -88,12 +98,10 @@ def test_dedup_sessions_labels_joins(spark, folder):
 
 def test_decayed_counts(spark, folder):
     df, path = folder
-    try:
-        out = S.decayed_counts(read(spark, path, 4), GRID, 3600.0)
-        query = out.writeStream.format("memory").queryName("decay").outputMode("update").trigger(availableNow=True).option("checkpointLocation", f"{path}/ck3").start()
-        query.awaitTermination()
-    except Exception as e:  # the stateful Python worker needs protobuf and a free port
-        pytest.skip(f"transformWithState is not available here: {type(e).__name__}")
+    pytest.importorskip("google.protobuf", reason="the stateful Python worker needs protobuf")
+    out = S.decayed_counts(read(spark, path, 4), GRID, 3600.0)
+    query = out.writeStream.format("memory").queryName("decay").outputMode("update").trigger(availableNow=True).option("checkpointLocation", f"{path}/ck3").start()
+    query.awaitTermination()
     got = {r.tx: r.weight for r in spark.sql("select tx, max_by(weight, at_s) weight from decay group by tx").collect()}
     for tx in range(3):
         times = sorted(r.ts.timestamp() for r in df.where(F.floor("x") == tx).collect())
@@ -112,6 +120,7 @@ def test_sql_surface(spark):
     inside = sql.point_in_polygon([(0.0, 0.0), (2.0, 0.0), (2.0, 2.0), (0.0, 2.0)])
     assert spark.table("t").where(inside(F.col("tx") + 0.5, F.col("ty") + 0.5)).count() == 2
     assert sql.map_side_counts(spark.table("t"), ("tx", "ty")).count() == 3
+    assert sql.map_side_counts(spark.table("t").where("tx < 0"), ("tx", "ty")).count() == 0
     assert spark.createDataFrame([('{"k": 4}',)], "p string").select(sql.props_number(F.col("p"))).first()[0] == 4
 
 

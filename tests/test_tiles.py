@@ -6,7 +6,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from gridhub.config import Grid, Neighborhood, TileParams, canvas_tiles, precision_metres, tau_relaxed
-from gridhub.operators import contract, project, variants
+from gridhub.operators import agglomerate as agglomeration
+from gridhub.operators import contract, project, sliced, variants
 from gridhub.operators.agglomerate import agglomerate, cluster_ids, keep_clusters, nested_clusters, tile_clusters
 from gridhub.operators.sliced import block_clusters, slice_clusters, sliced_clusters
 from gridhub.plans import inspect
@@ -106,7 +107,11 @@ def test_engines_give_the_flood_fill(spark, engine):
 
 
 @pytest.mark.parametrize("near", [Neighborhood("manhattan", 2), Neighborhood("chebyshev", 3)])
-def test_slices_give_the_flood_fill(spark, near):
+@pytest.mark.parametrize("small, slice_tiles", [(True, 1_000_000), (False, 1_000_000), (False, 12)])
+def test_slices_give_the_flood_fill(spark, near, small, slice_tiles, monkeypatch):
+    monkeypatch.setattr(sliced, "SLICE_TILES", slice_tiles)
+    if not small:
+        monkeypatch.setattr(agglomeration, "DRIVER_TILES", 0)
     rng = __import__("random").Random(5)
     cells = {(rng.randrange(0, 60), rng.randrange(0, 20)) for _ in range(130)}
     df = tiles(spark, cells)
