@@ -2,11 +2,19 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from gridhub.operators.unionfind import label_components
 from gridhub.plans.staging import release, stage
 
+#: Edges between integer nodes, 16 bytes each, up to which one task solves the whole graph.
+TASK_EDGES = 1_000_000
+
 
 def _ends(edges: DataFrame, lower: Column, upper: Column) -> DataFrame:
     return edges.select(lower.alias("a"), upper.alias("b"))
@@ -31,12 +39,22 @@ def _fingerprint(edges: DataFrame) -> tuple:
     return row[0], row[1]
 
 
+def _one_task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    ends = [(b.column("a").to_numpy(), b.column("b").to_numpy()) for b in batches]
+    if ends:
+        a, b = (np.concatenate(side) for side in zip(*ends))
+        nodes, at = np.unique(np.r_[a, b], return_inverse=True)
+        roots = nodes[label_components(len(nodes), at[: len(a)], at[len(a) :])]
+        yield pa.RecordBatch.from_pydict({"node": pa.array(nodes), "root": pa.array(roots)})
+
+
 def star_components(edges: DataFrame, src: str = "src", dst: str = "dst", max_rounds: int = 60) -> DataFrame:
     """Label every node of ``edges`` with the least node of its component.
 
     Alternating star contraction: each round is two grouped minima and two equi-joins,
     ending in one staged table; the driver reads a count and a hash per round.  Rounds
-    are logarithmic in practice.  Self loops give a component of one node; rows with a
+    are logarithmic in practice.  Up to TASK_EDGES edges of integer nodes, once counted,
+    are solved by one task instead.  Self loops give a component of one node; rows with a
     null end are ignored.  Node ids are any ordered type.
 
     Returns ``(node, root)``, one row per node that occurs in an edge.
@@ -45,6 +63,10 @@ def star_components(edges: DataFrame, src: str = "src", dst: str = "dst", max_ro
     loops = clean.where("s = d").select(F.col("s").alias("node")).distinct()
     now = stage(clean.where("s <> d").select(F.least("s", "d").alias("a"), F.greatest("s", "d").alias("b")).distinct(), "cc")
     mark = _fingerprint(now)
+    if 0 < mark[0] <= TASK_EDGES and dict(now.dtypes)["a"] == "bigint":
+        solved = stage(now.repartition(1).mapInArrow(_one_task, "node bigint, root bigint"), "cc")
+        release(now)
+        return solved.unionByName(loops.join(solved, "node", "left_anti").select("node", F.col("node").alias("root")))
     for _ in range(max_rounds):
         if not mark[0]:
             break
