@@ -28,7 +28,7 @@ BUCKETS = 1 << 17
 DIM = 8
 GRAMS = (3, 4, 5)
 #: Bounds of the labelled sample that the model is fitted on: documents of each class, and
-#: bytes of a document (longer ones are not drawn for fitting; all are scored whole).
+#: bytes of a document (the sample is drawn among documents up to that; all are scored whole).
 FIT_DOCS, FIT_BYTES = 3_000, 20_000
 #: Characters up to which a word's score is kept for its next occurrence, and of a longer
 #: word the characters that are taken at a time.
@@ -159,21 +159,37 @@ def learnable(labels: DataFrame, folds: int = 5) -> DataFrame:
 def labelled_sample(docs: DataFrame, labels: DataFrame, folds: int = 5) -> DataFrame:
     """Bounded fit sample: rows whose id's CRC-32 is not 0 modulo ``folds``.
 
-    Labels are drawn by a hash of the id, at most FIT_DOCS of each class; their documents
-    come by a broadcast of those ids.  Rows without text or label take no part.
+    Labels of documents within FIT_BYTES are drawn by a hash of the id, at most FIT_DOCS of
+    each class; the texts come by a broadcast of those ids.  Rows without text or label
+    take no part.
     """
-    known = learnable(labels, folds).withColumn("place", F.xxhash64("doc_id", F.lit(11)))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.octet_length("text") <= FIT_BYTES)
+    known = learnable(labels, folds).join(texts.select("doc_id"), "doc_id", "left_semi").withColumn("place", F.xxhash64("doc_id", F.lit(11)))
     sides = [known.where(F.col("toxic") == c).orderBy("place", "doc_id").limit(FIT_DOCS).select("doc_id", "toxic") for c in (0, 1)]
     drawn = F.broadcast(sides[0].unionByName(sides[1]))  # 2 * FIT_DOCS ids at most
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.octet_length("text") <= FIT_BYTES)
     return texts.join(drawn, "doc_id").select("text", "toxic")
 
 
 def train(docs: DataFrame, labels: DataFrame) -> SubwordModel:
-    """Fit on the bounded sample, weighted to the share of toxic rows among all labelled."""
-    rows = labelled_sample(docs, labels).toArrow().sort_by([("text", "ascending"), ("toxic", "ascending")])
+    """Fit on the bounded sample, weighted to the share of toxic rows among all labelled.
+
+    One task fits and sends back the words' table, BUCKETS numbers, and the bias behind
+    them; repeated rows of the sample count each, and rows are sorted, so reruns agree.
+    """
     share = learnable(labels).agg(F.avg("toxic")).first()[0]
-    return fit(rows["text"].combine_chunks(), rows["toxic"].to_numpy().astype(np.int64), share)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = pa.Table.from_batches(list(batches), pa.schema([("text", pa.string()), ("toxic", pa.int32())])).sort_by([("text", "ascending"), ("toxic", "ascending")])
+        text = rows["text"].combine_chunks()
+        model = fit(text if isinstance(text, pa.Array) else pa.array([], pa.string()), rows["toxic"].to_numpy().astype(np.int64), share)
+        numbers = np.r_[model.table.astype(np.float64), model.bias]
+        full = np.flatnonzero(numbers)
+        yield pa.RecordBatch.from_pydict({"at": pa.array(full), "number": pa.array(numbers[full])})
+
+    found = labelled_sample(docs, labels).repartition(1).mapInArrow(run, "at long, number double").toArrow()
+    numbers = np.zeros(BUCKETS + 1)
+    numbers[found["at"].to_numpy()] = found["number"].to_numpy()
+    return SubwordModel(numbers[:-1].astype(np.float32), float(numbers[-1]))
 
 
 def score_texts(docs: DataFrame, model: SubwordModel, whole: bool = False) -> DataFrame:
