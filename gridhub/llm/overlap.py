@@ -6,7 +6,9 @@ first few of both, however the sample falls, so these few are what is dealt into
 Pairs of a bucket are thinned by size and by a histogram whose distance never exceeds that
 of the sets; the rest is settled by the whole sets.  In a bucket everything is first
 compared with one leader, and what the links found join needs no comparison any more, so a
-large group of near copies is not written out as pairs.
+large group of near copies is not written out as pairs.  Sets that are still apart in a
+crowded bucket, as a passage in many texts makes them, are dealt once more, in the order
+that their own counts give.
 """
 
 from __future__ import annotations
@@ -30,7 +32,9 @@ WIDTH, PERCENT = 5, 80
 #: and how many of the commonest are put last.  They bear on speed only.
 SAMPLE_TEXTS, COMMON_IN, COMMON_KEPT = 10_000, 5, 200_000
 #: Shingles a histogram's bin holds on average, at least half of it, and rounds of leaders.
-PER_BIN, ROUNDS = 8, 3
+PER_BIN, ROUNDS = 8, 2
+#: Keys of a bucket up to which all its pairs are written out; larger ones are dealt anew.
+PAIR_BUCKET = 16
 
 
 def shingle_set(text: str, width: int = WIDTH, seed: int = 42) -> np.ndarray:
@@ -155,6 +159,36 @@ def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_pydict({c: pa.array(x[out]) for c, x in rows.items()})
 
 
+def _tokens(texts: DataFrame, width: int) -> DataFrame:
+    """``key, n, token`` of every distinct shingle of every text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in text_slices(batches):
+            sets = [shingle_set(t, width) for t in filled(part).to_pylist()]
+            sizes = [len(s) for s in sets]
+            key = np.repeat(np.array([_set_key(s) for s in sets], np.int64), sizes)
+            yield pa.RecordBatch.from_pydict({"key": pa.array(key), "n": pa.array(np.repeat(sizes, sizes).astype(np.int64)), "token": pa.array(np.concatenate(sets).view(np.int64))})
+
+    return texts.select("text").mapInArrow(run, "key long, n long, token long")
+
+
+def rare_buckets(docs: DataFrame, known: DataFrame, keys: DataFrame, width: int, percent: int) -> DataFrame:
+    """``token, key, n`` as first dealt, for some keys, with their shingles in the order of how many of them have each.
+
+    What a passage brings into a large bucket comes last in this order, so sets that share
+    no more than that don't meet.  A shingle of one set alone takes a place among its first
+    and needs no bucket.  A row that is repeated counts twice, which only keeps more.
+    """
+    ids = stage(known.join(keys, "key", "left_semi").groupBy("key").agg(F.min("doc_id").alias("doc_id")), "ids")
+    tokens = _tokens(with_ids(docs, ids), width)
+    shared = tokens.groupBy("token").agg(F.count("*").alias("df")).where("df > 1")
+    met = tokens.join(shared, "token")
+    first = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
+    alone = F.col("n") - F.count("*").over(Window.partitionBy("key"))
+    place = F.row_number().over(Window.partitionBy("key").orderBy("df", "token"))
+    return met.withColumns({"alone": alone, "place": place}).where(F.col("place") <= first - F.col("alone")).select("token", "key", "n")
+
+
 def _pairs_where(test: Callable[[pa.RecordBatch], np.ndarray]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -203,7 +237,6 @@ def similar_texts(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, f
     component by id, set and carried columns; rows alike in these are all first.
     """
     known = stage(described(docs, width, percent, carry), "known")
-    w = Window.partitionBy("token")
     links = None
     if first is not None:
         pairs = stage(first(known), "pair")
@@ -214,25 +247,39 @@ def similar_texts(docs: DataFrame, width: int = WIDTH, percent: int = PERCENT, f
     buckets = stage(dealt.mapInArrow(_shared, "token long, key long, n long"), "shared")
     near_size = (F.least("n", "m") * 100 >= F.greatest("n", "m") * percent) & (F.col("root") != F.col("other_root"))
     pair = [F.least("key", "other").alias("src"), F.greatest("key", "other").alias("dst")]
-    for turn in range(ROUNDS + 1):
-        open_rows = buckets.withColumn("root", F.col("key"))
+
+    def partners(rows: DataFrame) -> DataFrame:
+        return rows.select("token", F.col("key").alias("other"), F.col("n").alias("m"), F.col("root").alias("other_root"))
+
+    def all_pairs(rows: DataFrame) -> DataFrame:
+        return rows.join(partners(rows), "token").where(near_size & (F.col("key") < F.col("other"))).select(*pair)
+
+    def apart(rows: DataFrame) -> DataFrame:
+        """Rows with their roots, of the buckets that the links found do not join as a whole."""
+        rooted = rows.withColumn("root", F.col("key"))
         if links is not None:
-            roots = star_components(links)
-            open_rows = buckets.join(roots.withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
-            open_rows = open_rows.withColumns({"lo": F.min("root").over(w), "hi": F.max("root").over(w)}).where("lo <> hi").drop("lo", "hi")
-            open_rows = stage(open_rows, "open")
+            rooted = rows.join(star_components(links).withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+        over = rooted.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count("*").alias("held")).where("lo <> hi")
+        return stage(rooted.join(over.select("token", "held"), "token"), "open")
+
+    for turn in range(ROUNDS + 1):
+        open_rows = apart(buckets)
         if open_rows.isEmpty():
             break
-        others = open_rows.select("token", F.col("key").alias("other"), F.col("n").alias("m"), F.col("root").alias("other_root"))
-        if turn < ROUNDS:  # leaders first, and all pairs that are still apart at last
+        if turn < ROUNDS:  # everything meets one leader of its bucket
             lot = F.xxhash64("other", F.lit(turn))
-            others = others.groupBy("token").agg(F.min(F.struct(lot.alias("lot"), "other", "m", "other_root")).alias("top")).select("token", "top.other", "top.m", "top.other_root")
-        else:
-            near_size = near_size & (F.col("key") < F.col("other"))
-        pairs = stage(open_rows.join(others, "token").where(near_size).select(*pair).distinct(), "pair")
+            leaders = partners(open_rows).groupBy("token").agg(F.min(F.struct(lot.alias("lot"), "other", "m", "other_root")).alias("top")).select("token", "top.other", "top.m", "top.other_root")
+            pairs = open_rows.join(leaders, "token").where(near_size).select(*pair)
+        else:  # and what is still apart meets in pairs
+            pairs = all_pairs(open_rows.where(F.col("held") <= PAIR_BUCKET))
+            crowd = stage(open_rows.where(F.col("held") > PAIR_BUCKET).select("key").distinct(), "crowd")
+            if not crowd.isEmpty():
+                rare = stage(rare_buckets(docs, known, crowd, width, percent), "rare")
+                pairs = pairs.unionByName(all_pairs(apart(rare)))
+        pairs = stage(pairs.distinct(), "pair")
         found = true_links(docs, known, pairs, width, percent)
         links = found if links is None else stage(links.unionByName(found), "links")
-        release(pairs, *([open_rows] if turn or first is not None else []))
+        release(pairs, open_rows)
     release(buckets)
     roots = star_components(links).withColumnRenamed("node", "key") if links is not None else None
     rows = known.select("doc_id", "key", *carry)
