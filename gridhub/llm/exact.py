@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridhub.llm.arrow import column, filled, text_slices
-from gridhub.llm.joins import BROADCAST_IDS
+from gridhub.llm.joins import BROADCAST_IDS, join_hot_apart
 from gridhub.plans.staging import stage
 
 #: Digests that one filter holds, about; a shard is one task's group.
@@ -197,7 +197,7 @@ def exact_duplicates(snapshot: DataFrame, batch: DataFrame, shard_keys: int = SH
     both = merged.withColumn("side", F.explode(F.array(F.lit(0), F.lit(1))))
     groups = both.unionByName(rest).select("sha", "bytes", "side", F.col("top.doc_id").alias("keep_id"), F.col("top.row").alias("keep_row"), F.col("n").alias("group_size"))
     rows = snapshot.drop("normal").withColumn("side", F.lit(0)).unionByName(batch.drop("normal").withColumn("side", F.lit(1)))
-    return rows.join(groups, ["sha", "bytes", "side"]).select(*[c for c in rows.columns if c != "side"], "keep_id", "keep_row", "group_size")
+    return join_hot_apart(rows, stage(groups, "groups"), ["sha", "bytes", "side"], "group_size").select(*[c for c in rows.columns if c != "side"], "keep_id", "keep_row", "group_size")
 
 
 def dedup_documents(docs: DataFrame, snapshot_parts: int = 2, carry: tuple[str, ...] = ()) -> DataFrame:

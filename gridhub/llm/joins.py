@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from gridhub.plans.staging import stage
 
+#: Rows from which on a key is joined apart from the others.
+HOT_ROWS = 1_000_000
 #: Ids that are broadcast, tens of MB at most; more of them go through a shuffled join.
 BROADCAST_IDS = 1_000_000
 
@@ -70,3 +72,17 @@ def take_rows(docs: DataFrame, decided: DataFrame, alike_once: bool = False) ->
     if wanted.where("_copies > 1").isEmpty():
         return taken.select(*docs.columns)
     return taken.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies")))).select(*docs.columns)
+
+
+def join_hot_apart(rows: DataFrame, table: DataFrame, keys: list[str], size: str) -> DataFrame:
+    """``rows`` joined with ``table``, which is staged and has one row a key and its rows' number.
+
+    Keys of more than HOT_ROWS rows, so at most one in HOT_ROWS of them all, are broadcast
+    and their rows stay where they are; the others meet by key.
+    """
+    hot = table.where(F.col(size) > HOT_ROWS)
+    many = hot.count()
+    if not 0 < many <= BROADCAST_IDS:
+        return rows.join(table, keys)
+    rest = rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(table.where(F.col(size) <= HOT_ROWS), keys)
+    return rows.join(F.broadcast(hot), keys).unionByName(rest)

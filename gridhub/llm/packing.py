@@ -31,6 +31,8 @@ SEQUENCE = 4096
 WINDOW = 64
 #: Rows of (block, source) offsets that are broadcast, a few MB.
 BROADCAST_ROWS = 100_000
+#: Numbers of windows and sources that a task remembers.
+LEVELS = 1 << 21
 #: Fixed value: the id that closes a document.
 END_ID = 2
 
@@ -113,7 +115,7 @@ class RoundRobin:
             known[-1] = min(k * self.span, upto[-1])
             for j in range(len(upto) - 1, 0, -1):
                 known[j - 1] = known[j] * upto[j - 1] // upto[j] if upto[j] else 0
-            if len(self._levels) > 4096:
+            if len(self._levels) * len(upto) > LEVELS:
                 self._levels.clear()
             self._levels[phase, k] = known
         return known

@@ -11,14 +11,15 @@ its links, so no group of near copies is written out as pairs.
 An anchor with many homes is split by the 18 bits that need no anchor: each of its
 fingerprints goes to the parts named by those bits and by each change of one of them.  Two
 fingerprints that differ there in two bits at most meet in a part, and no task holds a
-whole crowded anchor.
+whole crowded anchor.  Visitors of an anchor are compared with its homes block by block, so
+a worker holds some numbers a member, whatever their number.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from functools import lru_cache
-from itertools import combinations
+from itertools import combinations, product
 
 import numpy as np
 import pyarrow as pa
@@ -27,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridhub.llm.arrow import column, filled, text_slices
-from gridhub.llm.joins import BROADCAST_IDS
+from gridhub.llm.joins import BROADCAST_IDS, join_hot_apart
 from gridhub.llm.overlap import PERCENT, WIDTH, similar_texts
 from gridhub.operators.components import star_components
 from gridhub.plans.staging import stage
@@ -135,17 +136,20 @@ def _home_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_pydict({"anchor": pa.array(anchor.astype(np.int32)), "n": pa.array(many.astype(np.int64))})
 
 
-def _forest(homes: np.ndarray, guests: np.ndarray, block: int = 512) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Edges that span the links between the homes of an anchor and all that visit it."""
+def _forest(homes: np.ndarray, guests: np.ndarray, block: int = 512, width: int = 8192) -> list[tuple[np.ndarray, np.ndarray]]:
+    """Edges that span the links between the homes of an anchor and all that visit it.
+
+    However many visit, what is held is some numbers a member and one block of distances.
+    """
     members = np.unique(np.concatenate([homes, guests]))
     label = np.arange(len(members))
     place = np.searchsorted(members, homes)
     bits = members.view(np.uint64)
     edges = []
-    for i in range(0, len(place), block):
-        near = np.bitwise_count(bits[place[i : i + block], None] ^ bits[None, :]) <= THRESHOLD
+    for i, left in product(range(0, len(place), block), range(0, len(members), width)):
+        near = np.bitwise_count(bits[place[i : i + block], None] ^ bits[None, left : left + width]) <= THRESHOLD
         rows, cols = np.nonzero(near)
-        mine = place[i : i + block][rows]
+        mine, cols = place[i : i + block][rows], cols + left
         other = mine != cols
         mine, cols = mine[other], cols[other]
         while len(mine):  # hook the larger label to the smaller, then shorten
@@ -227,12 +231,12 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     part in the choice of the least id.  Returns ``doc_id, fp, component_id``.
     """
     prints = stage(document_fingerprints(docs), "fp")
-    groups = stage(prints.groupBy("fp").agg(F.min("doc_id").alias("least")), "fpd")
+    groups = stage(prints.groupBy("fp").agg(F.min("doc_id").alias("least"), F.count("*").alias("rows")), "fpd")
     roots = star_components(stage(fingerprint_links(groups), "link"))
     labelled = groups.join(roots.withColumnRenamed("node", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     named = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_print = labelled.join(named, "root").select("fp", "component_id")
-    return prints.join(by_print, "fp").select("doc_id", "fp", "component_id")
+    by_print = stage(labelled.join(named, "root").select("fp", "component_id", "rows"), "named")
+    return join_hot_apart(prints, by_print, ["fp"], "rows").select("doc_id", "fp", "component_id")
 
 
 def anchor_pairs(known: DataFrame) -> DataFrame:

@@ -160,6 +160,28 @@ def test_toxicity_reads_texts_without_ascii_spaces_to_their_end(spark, monkeypat
     assert np.array_equal(np.sort(whole), np.sort(toxicity._grams([made[1] * 5])[1]))
 
 
+def test_scores_match_a_plain_scorer(spark, monkeypatch):
+    monkeypatch.setattr(toxicity, "CHUNK_CHARS", 37)
+    rng = np.random.default_rng(12)
+    model = toxicity.SubwordModel(rng.normal(0, 3, toxicity.BUCKETS).astype(np.float32), 0.3)
+    texts = ["Good, GOOD words! and (good)", "字" * 64 + "毒" * 50, "字" * 64, "x" * 200 + " y", "...", "a\u00a0b\u3000c d", None, "", "Straße Éx " * 30]
+    got = {r.doc_id: r.score for r in toxicity.score_texts(frame(spark, texts, extra=True), model).collect()}
+    for i, t in enumerate(texts):
+        bags = Counter()
+        for w in (t or "").lower().split():
+            bags[w.strip("!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~") or w] += 1
+        each = {}
+        for w in bags:
+            data = f"<{w}>"
+            grams_of = {data} | {data[k : k + n] for n in (3, 4, 5) for k in range(len(data) - n + 1)}
+            rows = [zlib.crc32(g.encode()) % toxicity.BUCKETS for g in grams_of]
+            rows = set(rows) if len(w) > toxicity.MEMO_CHARS else rows
+            each[w] = np.mean([model.table[r] for r in rows])
+        weight = sum(n**0.5 for n in bags.values())
+        logit = 0.3 + (sum(n**0.5 * each[w] for w, n in bags.items()) / weight if weight else 0)
+        assert got[i] == pytest.approx(1 / (1 + np.exp(-np.clip(logit, -30, 30))), abs=2e-6), t
+
+
 def test_toxicity_without_labels(spark):
     docs = frame(spark, ["a", "b"])
     model = toxicity.train(docs, spark.createDataFrame([], "doc_id long, toxic int"))
@@ -514,6 +536,25 @@ def test_top_k_with_a_crowded_cell_and_large_components(spark, monkeypatch):
         assert sorted(got[q]) == [(n + 1, i, -s) for n, (s, i) in enumerate(all_of[:5])]
 
 
+def test_hot_keys_are_joined_apart(spark, monkeypatch):
+    monkeypatch.setattr(joins, "HOT_ROWS", 3)
+    rows = spark.createDataFrame([(k, i) for k in (1, 1, 1, 1, 2, 2, 3) for i in range(1)], "k long, v long")
+    table = stage(spark.createDataFrame([(1, 4, "a"), (2, 2, "b"), (3, 1, "c")], "k long, size long, name string"))
+    got = joins.join_hot_apart(rows, table, ["k"], "size").select("k", "name").collect()
+    assert sorted(map(tuple, got)) == sorted((k, "abc"[k - 1]) for k in (1, 1, 1, 1, 2, 2, 3))
+
+
+def test_an_anchor_with_many_guests_is_compared_in_blocks():
+    rng = np.random.default_rng(4)
+    homes = rng.integers(0, 1 << 62, 30)
+    guests = np.concatenate([homes ^ (1 << int(b)) for b in rng.integers(0, 62, 20)] + [rng.integers(0, 1 << 62, 500)])
+    spans = []
+    for block, width in ((512, 8192), (7, 13)):
+        edges = simhash._forest(homes, guests, block, width)
+        spans.append({(min(a, b), max(a, b)) for x, y in edges for a, b in zip(x.tolist(), y.tolist())})
+    assert len(spans[0]) == len(spans[1]) > 400
+
+
 def test_semi_join_by_id(spark, monkeypatch):
     docs = frame(spark, ["a", "b", "c"], ids=[1, None, 2])
     ids = spark.createDataFrame([(1,), (None,), (1,)], "doc_id long")

@@ -7,8 +7,10 @@ import duckdb
 import numpy as np
 import pytest
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline
-from gridhub.llm import registry, simhash, tokens
+from gridhub.llm import registry, simhash, tokens, toxicity
 from gridhub.plans.staging import stage
 
 
@@ -51,14 +53,45 @@ def test_pipeline_stages(spark, tiny):
     assert docs.agg({"length": "sum"}).first()[0] > 0 and tokens.word_tokenizer().endswith(".json")
 
 
-def test_pipeline_with_repeated_rows_and_nulls(spark, tiny):
-    docs = spark.createDataFrame([(1, "same text here", "en", "a", 1), (1, "same text here", "en", "a", 1), (2, "Same text here", "en", "a", 1), (3, None, None, None, None), (None, "other words", "en", "b", 1)], "doc_id long, text string, lang string, source string, n_chars long")
-    kept = corpus_pipeline.drop_copies(spark, docs, tiny)
-    assert sorted((r.doc_id is None, r.doc_id or 0) for r in kept.collect()) == [(False, 2), (False, 3), (True, 0)]
-    for _, step in corpus_pipeline.STAGES[1:]:
-        kept = stage(step(spark, kept, tiny), "t")
-    empty = docs.where("doc_id > 99")
-    for _, step in corpus_pipeline.STAGES[1:]:
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+def rows_of(df):
+    return sorted(((r.doc_id is None, r.doc_id or 0, r.text or "") for r in df.collect()))
+
+
+def test_pipeline_decides_row_by_row(spark, tiny, monkeypatch):
+    docs = spark.read.parquet(f"{tiny}/documents.parquet")
+    model = toxicity.train(docs, spark.read.parquet(f"{tiny}/labels.parquet"))
+    scored = toxicity.score_texts(docs, model, whole=True).select("doc.text", "score").where("text is not null and octet_length(text) > 200").orderBy("score").collect()
+    clean, toxic = scored[0].text, scored[-1].text
+    assert scored[0].score < 0.5 <= scored[-1].score
+    other = " ".join(f"w{i}" for i in range(60))
+    rows = [(7, toxic), (7, clean), (None, toxic), (None, clean.upper()), (8, clean), (8, clean), (9, other), (None, other + " more"), (9, other), (10, None), (10, ""), (None, None)]
+    made = spark.createDataFrame([(i, t, "en", None if k % 4 == 0 else "a", 1) for k, (i, t) in enumerate(rows)], DOCS).withColumn("copies", F.lit("clash"))
+    monkeypatch.setattr(corpus_pipeline, "train", lambda docs, labels: model)
+    empty_kept = toxicity.score_texts(made, model).where("doc_id = 10").first().score < 0.5
+    kept = stage(corpus_pipeline.drop_toxic(spark, made, tiny), "t")
+    assert kept.columns == made.columns
+    assert rows_of(kept) == sorted((i is None, i or 0, t or "") for i, t in rows if t != toxic and (t or empty_kept))
+    # one of the texts equal but for case, the largest id; null and empty texts are equal
+    kept = stage(corpus_pipeline.drop_copies(spark, made, tiny), "t")
+    assert rows_of(kept) == sorted([(False, 7, toxic), (False, 8, clean), (False, 9, other), (True, 0, other + " more"), (False, 10, "")])
+    # near copies: the least id, a null id after all others
+    kept = stage(corpus_pipeline.drop_near_copies(spark, made, tiny), "t")
+    assert [(n, i) for n, i, _ in rows_of(kept)] == [(False, 7), (False, 7), (False, 9), (False, 10)]
+    words = lambda df: sum(len((r.text or "").split()) for r in df.collect())
+    mixed = stage(corpus_pipeline.mix_sources(spark, made, tiny), "t")
+    most = max(words(made.where(F.col("doc_id") == i)) for i in (7, 8, 9))
+    assert abs(words(mixed) - 1.5 * words(made)) <= 2 * most and mixed.columns == made.columns
+    for name, step in corpus_pipeline.STAGES[:-1]:
+        made = stage(step(spark, made, tiny), name)
+    assert corpus_pipeline.pack_documents(spark, made, tiny).select("doc_id", "start").distinct().count() > 0
+
+
+def test_pipeline_of_nothing(spark, tiny):
+    empty = spark.createDataFrame([], DOCS)
+    for _, step in corpus_pipeline.STAGES:
         assert step(spark, empty, tiny).count() == 0
 
 
