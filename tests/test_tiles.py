@@ -106,8 +106,7 @@ def test_engines_give_the_flood_fill(spark, engine):
     assert groups(agglomerate(tiles(spark, cells), near, engine)) == flood(cells, near)
 
 
-@pytest.mark.parametrize("near", [Neighborhood("manhattan", 2), Neighborhood("chebyshev", 3)])
-@pytest.mark.parametrize("small, slice_tiles", [(True, 1_000_000), (False, 1_000_000), (False, 12)])
+@pytest.mark.parametrize("near, small, slice_tiles", [(Neighborhood("manhattan", 2), True, 1_000_000), (Neighborhood("chebyshev", 3), True, 9), (Neighborhood("manhattan", 2), False, 1_000_000), (Neighborhood("chebyshev", 3), False, 12)])
 def test_slices_give_the_flood_fill(spark, near, small, slice_tiles, monkeypatch):
     monkeypatch.setattr(sliced, "SLICE_TILES", slice_tiles)
     if not small:
