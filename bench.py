@@ -3,7 +3,8 @@
 Times are means over RUNS runs into the noop sink after one warm-up run.  ``base_*`` is
 the counting form at four precisions, ``retain_*`` keeps points, ``label`` is the two-pass
 labeller, ``sliced_*`` the sliced form; ``*_60m`` runs on shifted copies of the points, a
-size at which the engine's fixed costs no longer matter.
+size at which the engine's fixed costs no longer matter; ``*_60k`` are baselines on a tenth
+of the hubs.
 """
 
 from __future__ import annotations
@@ -15,6 +16,7 @@ import time
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
+from gridhub import baselines
 from gridhub.config import Neighborhood, TileParams
 from gridhub.operators import metrics, variants
 from gridhub.operators.agglomerate import keep_clusters, agglomerate, tile_clusters
@@ -55,13 +57,23 @@ def main() -> None:
         runs[f"counts_p{level}_60m"] = lambda v=level: significant(count_tiles(large, e7_grid(v)), 5)
     runs["base_p35_60m"] = lambda: tile_clusters(large, e7_grid("35"), PARAMS)
     runs["sliced8_p35_60m"] = lambda: slice_clusters(significant(count_tiles(large, e7_grid("35")), 5), Neighborhood(), 8, mu=4)
+    runs["retain_p35_60m"] = lambda: variants.tile_clusters_points(large, e7_grid("35"), PARAMS)
+    small = stage(points.where(F.col("hub") <= 100).select("hub", (F.col("lon_e7") / 1e4).alias("x"), (F.col("lat_e7") / 1e4).alias("y")), "small")
+    axes = ("x", "y")
+    runs["dbscan_60k"] = lambda: baselines.dbscan(small, axes, 0.2, 5)
+    runs["minibatch_kmeans_60k"] = lambda: baselines.minibatch_kmeans(small, axes, 100)
+    runs["average_linkage_60k"] = lambda: baselines.linkage_by_parts(small, axes, 100, "average", 0.4)
+    runs["mean_shift_60k"] = lambda: baselines.mean_shift(small, axes, 1.0)
+    once = {"average_linkage_60k", "mean_shift_60k"}  # slow methods are run once, unwarmed
     took = {}
     for name, run in runs.items():
-        run().write.format("noop").mode("overwrite").save()
+        turns = 1 if name in once else RUNS
+        if name not in once:
+            run().write.format("noop").mode("overwrite").save()
         began = time.perf_counter()
-        for _ in range(RUNS):
+        for _ in range(turns):
             run().write.format("noop").mode("overwrite").save()
-        took[name] = round((time.perf_counter() - began) / RUNS, 3)
+        took[name] = round((time.perf_counter() - began) / turns, 3)
     found = {v: variants.label_points(points, tile_clusters(points, e7_grid(v), PARAMS), e7_grid(v)) for v in ("3", "35", "4", "5")}
     percent = {v: metrics.matched_ratio(df).first()["percent"] for v, df in found.items()}
     many = large.agg(F.count("*")).first()[0]

@@ -43,7 +43,7 @@ def tile_labels(points: DataFrame) -> DataFrame:
 METHODS: dict[str, Callable[[DataFrame, int], DataFrame]] = {
     "tiles_two_pass": lambda p, k: tile_labels(p), "mean_shift": lambda p, k: B.mean_shift(p, AXES, 1.0), "dbscan": lambda p, k: B.dbscan(p, AXES, 0.2, 5),
     "minibatch_kmeans": lambda p, k: B.minibatch_kmeans(p, AXES, k), "birch": lambda p, k: B.birch(p, AXES, 0.3, 50, k), "gaussian_mixture": lambda p, k: B.gaussian_mixture(p, AXES, k),
-    "ward": lambda p, k: B.ward(p, AXES, k), "average_linkage": lambda p, k: B.linkage(p, AXES, k), "spectral": lambda p, k: B.spectral(p, AXES, k), "affinity": lambda p, k: B.affinity_propagation(p, AXES),
+    "ward": lambda p, k: B.ward(p, AXES, k), "average_linkage": lambda p, k: B.linkage_by_parts(p, AXES, k, "average", 0.4), "complete_linkage": lambda p, k: B.linkage_by_parts(p, AXES, k, "complete", 0.4), "spectral": lambda p, k: B.spectral(p, AXES, k), "affinity": lambda p, k: B.affinity_propagation(p, AXES),
 }
 
 
@@ -55,7 +55,7 @@ def compare(spark: SparkSession, folder: str, runs: int, tell: Callable[[dict],
         try:
             took = M.timed(lambda r=run: r(points, hubs), runs)
             labelled = stage(run(points, hubs).select("hub", "x", "y", "label"), "found")
-            tell({"experiment": "compare", "method": name, "hubs": hubs, "matched": M.matched_ratio(labelled, "hub", ["label"]).first()["percent"], "silhouette": M.silhouette_fast(labelled, AXES, "label").first()["silhouette"], **took})
+            tell({"experiment": "compare", "method": name, "hubs": hubs, "matched": M.matched_ratio(labelled, "hub", ["label"]).first()["percent"], "silhouette": M.silhouette(labelled, AXES, "label").first()["silhouette"], "silhouette_sq": M.silhouette_fast(labelled, AXES, "label").first()["silhouette"], **took})
         except B.BaselineTooLarge as e:
             tell({"experiment": "compare", "method": name, "hubs": hubs, "refused": str(e)})
     began = time.perf_counter()
