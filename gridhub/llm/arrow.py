@@ -8,6 +8,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+#: Fixed value: white space outside ASCII's six, as a pattern.
+BLANKS = r"[\x{1c}-\x{1f}\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}]"
 #: Bytes of text handled at a time in one Python worker.
 SLICE_BYTES = 4 << 20
 
@@ -37,8 +39,12 @@ def filled(batch: pa.RecordBatch, name: str = "text") -> pa.Array:
 
 
 def word_lists(texts: pa.Array, unicode: bool = False) -> tuple[np.ndarray, pa.Array]:
-    """Split on ASCII (or all) white space: list offsets and the flat array of non-empty words."""
-    lists = pc.utf8_split_whitespace(texts) if unicode else pc.ascii_split_whitespace(texts)
+    """Split on ASCII (or all) white space: list offsets and the flat array of non-empty words.
+
+    The library's own split on Unicode white space now and then misses a blank at the very
+    end of its buffer, so other blanks become ASCII ones first.
+    """
+    lists = pc.ascii_split_whitespace(pc.replace_substring_regex(texts, BLANKS, " ") if unicode else texts)
     flat = lists.flatten()
     counts = pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
     full = pc.binary_length(flat).to_numpy(zero_copy_only=False) > 0

@@ -94,7 +94,7 @@ class KeyTable:
     """Open addressing over 64-bit keys, looked up for whole arrays."""
 
     def __init__(self, keys: np.ndarray):
-        bits = max(4, int(len(keys)).bit_length() + 2)
+        bits = max(4, int(len(keys)).bit_length() + 1)
         self.shift, self.mask, self.probes = np.uint64(64 - bits), (1 << bits) - 1, 0
         self.keys, self.places = np.zeros(1 << bits, np.uint64), np.full(1 << bits, -1, np.int32)
         left = np.arange(len(keys))

@@ -38,23 +38,27 @@ ALPHA = 4.0
 #: Words with unigram shares and first-word totals of their own, known to every task.
 HEAD = 1 << 16
 #: Pairs counted inside the scans, and texts of the sample that names them: speed only.
-HOT_PAIRS, SAMPLE_TEXTS = 1 << 18, 4_000
+HOT_PAIRS, SAMPLE_TEXTS = 1 << 20, 20_000
 #: Losses are whole millionths of a bit.
 UNIT = 1_000_000
 #: Bytes of text taken at a time, and keys that a task holds before it sends them on.
 WORD_SLICE, HELD = 2 << 20, 1 << 20
 #: Key of the word that stands before every text.
-START = np.uint64(1)
-#: Signs, and characters of scripts without spaces, are words of their own.
-SPLIT = r"([^\s\p{L}\p{M}\p{N}]|[\p{Han}\p{Hiragana}\p{Katakana}\p{Thai}\p{Lao}\p{Khmer}\p{Myanmar}])"
+START = np.uint64(0x9AE16A3B2F90404F)
+#: Characters of scripts without spaces are words of their own.
+SPLIT = r"([\p{Han}\p{Hiragana}\p{Katakana}\p{Thai}\p{Lao}\p{Khmer}\p{Myanmar}])"
+#: ASCII signs at both ends of a word are no part of it, unless there is nothing else.
+SIGNS = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 _STEP = np.uint64(0x9E3779B97F4A7C15)
+#: Codes of rows: one of a document's two, and the step between first words' head numbers.
+LONE, WIDE = -(1 << 63), 1 << 25
 
 
 def slice_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """(offsets per text, key of every word) of whole texts, lower-cased."""
     bounds, words = word_lists(pc.replace_substring_regex(pc.utf8_lower(texts), SPLIT, r" \1 "), unicode=True)
     coded = words.dictionary_encode()
-    keys = np.fromiter((xxhash.xxh64_intdigest(w) for w in coded.dictionary.to_pylist()), np.uint64, len(coded.dictionary))
+    keys = np.fromiter((xxhash.xxh64_intdigest(w.strip(SIGNS) or w) for w in coded.dictionary.to_pylist()), np.uint64, len(coded.dictionary))
     return bounds, keys[coded.indices.to_numpy()]
 
 
@@ -170,14 +174,15 @@ class Shared:
 
 
 def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
-    """One row a document with its hot pairs settled, and one a document and other pair.
-
-    All columns are numbers, so that both kinds of rows go through one exchange.  Of a
-    document (``h1`` = -2): ``row, p`` = row, ``g`` = doc_id, ``n`` = words, ``nctx`` and
-    ``h2`` = losses under background and target, ``t`` = pairs that no other document has.
-    Of a pair: its document's ``row``, key ``g`` and times ``n``, the first word's times
-    ``nctx`` in the document, head numbers ``h1, h2`` of both words, whether in the target
-    ``t``, and ``p`` where it meets its likes.
+    """Rows of documents with their hot pairs settled, and one a document and other pair.
+
+    All go through one exchange as ``row, p, g, n, nctx, code``.  A pair's row: its
+    document's row, ``p`` where it meets its likes (the first word's key, or the pair's if
+    that is a head word), ``g`` the pair's key in the first case, its times ``n`` and its
+    first word's times ``nctx`` in the document, and ``code``: head numbers of both words
+    and whether in the target.  A document's two rows have p = row: doc_id, words, loss
+    under the background, and -1 less the loss under the target as code; then under the
+    least code the number of pairs that no other document has.
     """
     sent = docs.sparkSession.sparkContext.broadcast(shared)  # HEAD words and HOT_PAIRS pairs at most
 
@@ -209,18 +214,23 @@ def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
                 sums.append(np.bincount(x[near], n[near] * np.round(-np.log2(p) * UNIT), many).astype(np.int64))
                 if model == 0:
                     lone = np.bincount(x[near], n[near] * (c == 0), many).astype(np.int64)
-            yield batch(rows, rows, column(part, "doc_id"), np.diff(bounds), sums[0], np.full(many, -2, np.int32), sums[1], lone)
+            yield batch(rows, rows, column(part, "doc_id"), np.diff(bounds), sums[0], -1 - sums[1])
+            nothing = np.zeros(many, np.int64)
+            yield batch(rows, rows, pa.nulls(many, pa.int64()), lone, nothing, np.full(many, LONE))
             far = np.setdiff1d(np.arange(len(n)), near, assume_unique=True)
-            meet = np.where(h1[far] >= 0, g[far], f[far]).view(np.int64)
-            far, meet = far[(by := np.argsort(meet, kind="stable"))], meet[by]  # alike rows side by side compress
-            yield batch(rows[x[far]], meet, pa.array(g[far].view(np.int64)), n[far], nctx[far], h1[far], h2[far], flag[x[far]])
+            common = h1[far] >= 0
+            meet = np.where(common, g[far], f[far]).view(np.int64)
+            by = np.argsort(meet, kind="stable")  # alike rows side by side compress
+            far, meet, pair_key = far[by], meet[by], np.where(common, 0, g[far].view(np.int64))[by]
+            code = ((h1[far].astype(np.int64) + 1) * WIDE + h2[far] + 1) * 2 + flag[x[far]]
+            yield batch(rows[x[far]], meet, pa.array(pair_key), n[far], nctx[far], code)
 
-    def batch(row, p, g, n, nctx, h1, h2, t) -> pa.RecordBatch:
-        whole = {"row": row, "p": p, "n": n, "nctx": nctx, "h2": h2, "t": t}
-        return pa.RecordBatch.from_pydict({c: pa.array(np.asarray(v, np.int64)) for c, v in whole.items()} | {"g": g.cast(pa.int64()), "h1": pa.array(np.asarray(h1, np.int32))})
+    def batch(row, p, g, n, nctx, code) -> pa.RecordBatch:
+        whole = {"row": row, "p": p, "g": g, "n": n, "nctx": nctx, "code": code}
+        return pa.RecordBatch.from_pydict({c: v.cast(pa.int64()) if isinstance(v, pa.Array) else pa.array(np.asarray(v, np.int64)) for c, v in whole.items()})
 
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "in_target")
-    return source.mapInArrow(run, "row long, p long, n long, nctx long, h2 long, t long, g long, h1 int")
+    return source.mapInArrow(run, "row long, p long, g long, n long, nctx long, code long")
 
 
 def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
@@ -240,11 +250,12 @@ def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
     shared = Shared(stage(counted(docs, frequent_pairs(docs)), "words"), head)
     met = pair_losses(docs, shared).repartition("p").sortWithinPartitions("p", "g")
     pair, word = Window.partitionBy("p", "g"), Window.partitionBy("p")
-    tail = F.col("h1") >= -1
+    pairs, docs_rows = F.col("code") >= 0, (F.col("code") < 0) & (F.col("code") > LONE)
+    met = met.withColumns({"t": F.col("code") % 2, "h2": F.floor(F.col("code") / 2) % WIDE - 1, "h1": F.floor(F.col("code") / (2 * WIDE)) - 1})
     met = met.withColumns({"c0": F.sum("n").over(pair), "c1": F.sum(F.col("n") * F.col("t")).over(pair)})
     met = met.withColumns({"w0": F.sum("n").over(word), "w1": F.sum(F.col("n") * F.col("t")).over(word)})
     places = np.arange(len(shared.words))
-    firsts = spark.createDataFrame(pa.table({"f_id": pa.array(places.astype(np.int32)), "f0": shared.firsts[0], "f1": shared.firsts[1]}))
+    firsts = spark.createDataFrame(pa.table({"f_id": places, "f0": shared.firsts[0], "f1": shared.firsts[1]}))
     unigram = spark.createDataFrame(pa.table({"u_id": np.r_[places, -1], "u0": shared.unigram[0], "u1": shared.unigram[1]}))
     met = met.join(F.broadcast(firsts), F.col("h1") == F.col("f_id"), "left").join(F.broadcast(unigram), F.col("h2") == F.col("u_id"), "left")  # HEAD rows at most
 
@@ -256,11 +267,11 @@ def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
         return F.col("n") * F.round(bits * UNIT).cast("long")
 
     sums = met.groupBy("row").agg(
-        F.max(F.when(~tail, F.col("g"))).alias("doc_id"),
-        F.max(F.when(~tail, F.col("n"))).alias("n_words"),
-        F.sum(F.when(tail, F.when(F.col("c0") == F.col("n"), F.col("n")).otherwise(0)).otherwise(F.col("t"))).alias("lone_pairs"),
-        F.sum(F.when(tail, loss(1)).otherwise(F.col("h2"))).alias("target"),
-        F.sum(F.when(tail, loss(0)).otherwise(F.col("nctx"))).alias("background"),
+        F.max(F.when(docs_rows, F.col("g"))).alias("doc_id"),
+        F.max(F.when(docs_rows, F.col("n"))).alias("n_words"),
+        F.sum(F.when(pairs, F.when(F.col("c0") == F.col("n"), F.col("n")).otherwise(0)).when(F.col("code") == LONE, F.col("n")).otherwise(0)).alias("lone_pairs"),
+        F.sum(F.when(pairs, loss(1)).when(docs_rows, -1 - F.col("code")).otherwise(0)).alias("target"),
+        F.sum(F.when(pairs, loss(0)).when(docs_rows, F.col("nctx")).otherwise(0)).alias("background"),
     )
     mean = lambda c: F.when(F.col("n_words") > 0, F.round(F.col(c) / F.col("n_words") / UNIT, 6))
     scored = sums.select("doc_id", "n_words", "lone_pairs", mean("target").alias("target_loss"), mean("background").alias("background_loss"))

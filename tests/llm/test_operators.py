@@ -14,6 +14,7 @@ import xxhash
 from pyspark.sql import functions as F
 
 from gridhub.llm import chat, exact, grams, joins, lmscore, mixing, neighbors, packing, quality, simhash, tokens, toxicity
+from gridhub.llm.arrow import word_lists
 from gridhub.plans.staging import stage
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -233,7 +234,7 @@ def test_mix_of_empty_texts_and_equal_rows(spark):
 
 
 def plain_words(text):
-    return regex.sub(lmscore.SPLIT, r" \1 ", (text or "").lower()).split()
+    return [w.strip(lmscore.SIGNS) or w for w in regex.sub(lmscore.SPLIT, r" \1 ", (text or "").lower()).split()]
 
 
 def plain_differences(texts, flags, head):
@@ -270,14 +271,14 @@ def test_word_pair_losses_match_plain_dicts(spark, monkeypatch, head, hot):
     flags = [i in (0, 4, 8, 11) for i in range(len(LM_TEXTS))]
     docs = frame(spark, LM_TEXTS, extra=True).withColumn("in_target", F.col("doc_id").isin(0, 4, 8, 11)).repartition(3)
     shared = lmscore.Shared(stage(lmscore.counted(docs, np.zeros(0, np.uint64))), head)
-    named = {"": 1} | {w: xxhash.xxh64_intdigest(w) for t in LM_TEXTS for w in plain_words(t)}
+    named = {"": int(lmscore.START)} | {w: xxhash.xxh64_intdigest(w) for t in LM_TEXTS for w in plain_words(t)}
     want = plain_differences(LM_TEXTS, flags, {w for w, k in named.items() if w and k in set(shared.words.tolist())})
     got = {r.doc_id: r for r in lmscore.cross_entropy_difference(docs, head).collect()}
     assert len(got) == len(LM_TEXTS)
     for i, (n, lone, t, b) in enumerate(want):
         assert (got[i].n_words, got[i].lone_pairs) == (n, lone)
         for mine, plain in ((got[i].target_loss, t), (got[i].background_loss, b)):
-            assert mine is None if plain is None else abs(mine - plain) < 2e-6
+            assert mine is None if plain is None else abs(mine - plain) < 2e-6, (i, got[i], want[i])
     assert got[6].background_loss != got[7].background_loss and got[8].difference != got[9].difference
 
 
@@ -555,6 +556,16 @@ def test_an_anchor_with_many_guests_is_compared_in_blocks():
     assert len(spans[0]) == len(spans[1]) > 400
 
 
+def test_words_end_at_all_white_space():
+    blanks = [chr(c) for c in range(0x3001) if chr(c).isspace()]
+    texts = ["a" + b + "b" + b for b in blanks] + [" \u00a0\n", "\n", "", "a\u200bb"]
+    rng = np.random.default_rng(1)
+    for _ in range(300):
+        some = [texts[i] for i in rng.integers(0, len(texts), 4)]
+        bounds, words = word_lists(pa.array(some), unicode=True)
+        assert [words.to_pylist()[a:b] for a, b in zip(bounds, bounds[1:])] == [t.split() for t in some]
+
+
 def test_semi_join_by_id(spark, monkeypatch):
     docs = frame(spark, ["a", "b", "c"], ids=[1, None, 2])
     ids = spark.createDataFrame([(1,), (None,), (1,)], "doc_id long")
