@@ -9,6 +9,6 @@ from gridhub.baselines.common import BaselineTooLarge
 from gridhub.baselines.density import dbscan, dbscan_multi, mean_shift
 from gridhub.baselines.hierarchy import birch, linkage, linkage_by_parts, single_linkage, single_linkage_at, ward
 from gridhub.baselines.partition import affinity_propagation, gaussian_mixture, kmeans, minibatch_kmeans, power_iteration, spectral
-from gridhub.baselines.subspace import clique, clique_units
+from gridhub.baselines.subspace import clique, clique_units, full_units
 
-__all__ = ["BaselineTooLarge", "affinity_propagation", "birch", "clique", "clique_units", "dbscan", "dbscan_multi", "gaussian_mixture", "kmeans", "linkage", "linkage_by_parts", "mean_shift", "minibatch_kmeans", "power_iteration", "single_linkage", "single_linkage_at", "spectral", "ward"]
+__all__ = ["BaselineTooLarge", "affinity_propagation", "birch", "clique", "clique_units", "dbscan", "dbscan_multi", "full_units", "gaussian_mixture", "kmeans", "linkage", "linkage_by_parts", "mean_shift", "minibatch_kmeans", "power_iteration", "single_linkage", "single_linkage_at", "spectral", "ward"]

@@ -138,3 +138,8 @@ def test_grid_subspaces(spark, blobs):
     with pytest.raises(B.BaselineTooLarge):
         B.clique(blobs, AXES, 40, 0.01, lookup="scan", scan_cap=1)
     assert by_hash.agg(F.sum("n")).first()[0] <= 160
+
+
+def test_no_dense_unit_gives_no_rows(spark, blobs):
+    assert B.full_units(blobs, AXES, 40, 0.9).collect() == []
+    assert B.full_units(blobs, AXES, 40, 0.01).count() == B.clique_units(blobs, AXES, 40, 0.01)[(0, 1)].count() > 0
