@@ -258,3 +258,10 @@ def test_plans(spark, tiny):
 
     assert not inspect.has_pair_join(tile_edges(counts, Neighborhood())) and not inspect.has_python(tile_edges(counts, Neighborhood()))
     assert not inspect.has_python(variants.rescue_windows(counts, 5))
+
+
+def test_driver_engine_goes_on_in_blocks(spark, monkeypatch):
+    monkeypatch.setattr(agglomeration, "DRIVER_TILES", 20)
+    rng, near = __import__("random").Random(6), Neighborhood()
+    cells = {(rng.randrange(-12, 12), rng.randrange(-12, 12)) for _ in range(150)}
+    assert groups(agglomerate(tiles(spark, cells), near, "driver")) == flood(cells, near)
