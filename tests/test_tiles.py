@@ -265,3 +265,13 @@ def test_driver_engine_goes_on_in_blocks(spark, monkeypatch):
     rng, near = __import__("random").Random(6), Neighborhood()
     cells = {(rng.randrange(-12, 12), rng.randrange(-12, 12)) for _ in range(150)}
     assert groups(agglomerate(tiles(spark, cells), near, "driver")) == flood(cells, near)
+
+
+def test_recursive_engine_is_not_ended_by_spark_s_row_limit(spark):
+    near, cells = Neighborhood(), {(x, y) for x in range(9) for y in range(3)}
+    spark.conf.set(agglomeration.RECURSION_ROWS, "20")
+    try:
+        assert groups(agglomerate(tiles(spark, cells), near, "recursive")) == flood(cells, near)
+        assert spark.conf.get(agglomeration.RECURSION_ROWS) == "20"
+    finally:
+        spark.conf.unset(agglomeration.RECURSION_ROWS)
