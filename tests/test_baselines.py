@@ -143,3 +143,24 @@ def test_grid_subspaces(spark, blobs):
 def test_no_dense_unit_gives_no_rows(spark, blobs):
     assert B.full_units(blobs, AXES, 40, 0.9).collect() == []
     assert B.full_units(blobs, AXES, 40, 0.01).count() == B.clique_units(blobs, AXES, 40, 0.01)[(0, 1)].count() > 0
+
+
+@pytest.mark.parametrize("engine", ["pairs", "cells"])
+def test_close_pairs_are_thinned_not_written(spark, engine, monkeypatch):
+    rows, real = [], density.stage
+    monkeypatch.setattr(density, "stage", lambda df, name="t": (lambda out: rows.append(out.count()) or out)(real(df, name)))
+    monkeypatch.setattr(density, "FOREST_EDGES", 50)
+    at = np.random.default_rng(3).uniform(0, 1, (200, 2))
+    df = spark.createDataFrame([(float(a), float(b)) for a, b in at], "x double, y double")
+    assert B.dbscan(df, AXES, 0.5, 5, engine).agg(F.countDistinct("label"), F.count("label")).first()[:] == (1, 200)
+    assert max(rows) <= 400  # 200 places have over 10,000 close pairs
+
+
+def test_linkage_keeps_the_trees_of_parts_that_stay_apart(spark, monkeypatch):
+    runs, real = [], hierarchy._dbscan_blocks
+    monkeypatch.setattr(hierarchy, "_dbscan_blocks", lambda *a, **k: runs.append(a[2]) or real(*a, **k))
+    rng = np.random.default_rng(9)
+    x = np.concatenate([rng.uniform(0, 1, (30, 2)) + [50 * i, 0] for i in range(3)])
+    df = spark.createDataFrame([(float(a), float(b)) for a, b in x], "x double, y double")
+    got = {(r.x, r.y): r.label for r in B.linkage_by_parts(df, AXES, 3, "complete", 0.5).collect()}
+    assert len({(got[tuple(p)], i // 30) for i, p in enumerate(x)}) == 3 and len(runs) == 1
