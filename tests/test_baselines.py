@@ -5,8 +5,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from gridhub import baselines as B
-from gridhub.baselines import density, hierarchy
+from gridhub.baselines import density, hierarchy, partition
+from gridhub.baselines.common import Nearest
 from gridhub.baselines.hierarchy import merge_tree
+from gridhub.baselines.partition import Mixture
 from gridhub.baselines.subspace import cover_boxes
 from gridhub.operators.metrics import pair_scores, same_partition
 
@@ -164,3 +166,53 @@ def test_linkage_keeps_the_trees_of_parts_that_stay_apart(spark, monkeypatch):
     df = spark.createDataFrame([(float(a), float(b)) for a, b in x], "x double, y double")
     got = {(r.x, r.y): r.label for r in B.linkage_by_parts(df, AXES, 3, "complete", 0.5).collect()}
     assert len({(got[tuple(p)], i // 30) for i, p in enumerate(x)}) == 3 and len(runs) == 1
+
+
+@pytest.fixture(scope="module")
+def many_groups(spark):
+    rng = np.random.default_rng(4)
+    rows = [(h, float(h % 20 * 10 + a), float(h // 20 * 10 + b)) for h in range(300) for a, b in rng.normal(0, 0.4, (12, 2))]
+    return spark.createDataFrame(rows, "hub int, x double, y double").cache()
+
+
+@pytest.mark.parametrize("dim", [1, 2, 3])
+def test_nearest_centres_without_a_table_of_all_pairs(dim, monkeypatch):
+    monkeypatch.setattr(Nearest, "TABLE", 1000)
+    rng = np.random.default_rng(dim)
+    centres, x = np.concatenate([rng.normal(0, 1, (200, dim)), rng.uniform(-50, 50, (100, dim))]), rng.uniform(-80, 80, (500, dim))
+    all_pairs = ((x[:, None] - centres[None]) ** 2).sum(2)
+    found, d2 = Nearest(centres).find(x)
+    assert (found == all_pairs.argmin(1)).all() and np.allclose(d2, all_pairs.min(1))
+
+
+def test_many_groups_of_kmeans_are_found_from_few_passes(many_groups, monkeypatch):
+    passes, real = [], partition._moments
+    monkeypatch.setattr(partition, "_moments", lambda rows, centres: passes.append(len(centres)) or real(rows, centres))
+    assert pair_scores(B.kmeans(many_groups, AXES, 300), "hub", "label").first().ari >= 0.97
+    assert len(passes) < 40 and max(passes) < 3600
+
+
+def test_minibatch_starts_hold_no_table_of_all_pairs(many_groups, monkeypatch):
+    monkeypatch.setattr(Nearest, "TABLE", 1)
+    assert pair_scores(B.minibatch_kmeans(many_groups, AXES, 300), "hub", "label").first().ari >= 0.97
+
+
+@pytest.mark.parametrize("dim", [1, 2, 3])
+def test_mixture_shares_are_those_of_all_gaussians(dim, monkeypatch):
+    monkeypatch.setattr(Mixture, "TABLE", 500)
+    rng, k = np.random.default_rng(dim), 40
+    mean, turn = rng.uniform(-60, 60, (k, dim)), rng.normal(0, 1, (k, dim, dim)) * rng.choice([0.1, 1, 4], (k, 1, 1))
+    cov, weight = turn @ turn.transpose(0, 2, 1) + 0.05 * np.eye(dim), rng.dirichlet(np.ones(k))
+    x = np.concatenate([mean[rng.integers(0, k, 200)] + rng.normal(0, 1, (200, dim)), rng.uniform(-200, 200, (50, dim))])
+    far = x[:, None] - mean[None]
+    logs = np.log(weight) - 0.5 * np.linalg.slogdet(cov)[1] - 0.5 * np.einsum("nki,kij,nkj->nk", far, np.linalg.inv(cov), far)
+    want = np.exp(logs - logs.max(1, keepdims=True))
+    model, got = Mixture(weight, mean, cov), np.zeros(logs.shape)
+    for at, c, share, _ in model.shares(x):
+        got[at, c] = share
+    assert np.allclose(got, want / want.sum(1, keepdims=True), atol=1e-9) and (model.best(x) == logs.argmax(1)).all()
+
+
+def test_birch_takes_more_features_than_a_matrix_holds(spark):
+    line = spark.range(7000).select((F.col("id") * 10).cast("double").alias("x"), F.lit(0.0).alias("y"))
+    assert B.birch(line, AXES, 0.5, 50, 3500).agg(F.countDistinct("label"), F.count("label")).first()[:] == (3500, 7000)
