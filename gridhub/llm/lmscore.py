@@ -180,7 +180,8 @@ def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
     document's row, ``p`` where it meets its likes (the first word's key, or the pair's if
     that is a head word), ``g`` the pair's key in the first case, its times ``n`` and its
     first word's times ``nctx`` in the document, and ``code``: head numbers of both words
-    and whether in the target.  A document's two rows have p = row: doc_id, words, loss
+    and whether in the target.  Two head words meet by their numbers instead, below -1,
+    with 1 as ``g`` and no numbers in ``code``, which takes half the bytes.  A document's two rows have p = row: doc_id, words, loss
     under the background, and -1 less the loss under the target as code; then under the
     least code the number of pairs that no other document has.
     """
@@ -218,11 +219,13 @@ def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
             nothing = np.zeros(many, np.int64)
             yield batch(rows, rows, pa.nulls(many, pa.int64()), lone, nothing, np.full(many, LONE))
             far = np.setdiff1d(np.arange(len(n)), near, assume_unique=True)
-            common = h1[far] >= 0
-            meet = np.where(common, g[far], f[far]).view(np.int64)
+            common, both = h1[far] >= 0, (h1[far] >= 0) & (h2[far] >= 0)
+            numbers = h1[far].astype(np.int64), h2[far].astype(np.int64)
+            meet = np.where(both, -2 - (numbers[0] * WIDE + numbers[1]), np.where(common, g[far], f[far]).view(np.int64))
+            code = np.where(both, 0, ((numbers[0] + 1) * WIDE + numbers[1] + 1) * 2) + flag[x[far]]
+            pair_key = np.where(both, 1, np.where(common, 0, g[far].view(np.int64)))
             by = np.argsort(meet, kind="stable")  # alike rows side by side compress
-            far, meet, pair_key = far[by], meet[by], np.where(common, 0, g[far].view(np.int64))[by]
-            code = ((h1[far].astype(np.int64) + 1) * WIDE + h2[far] + 1) * 2 + flag[x[far]]
+            far, meet, pair_key, code = far[by], meet[by], pair_key[by], code[by]
             yield batch(rows[x[far]], meet, pa.array(pair_key), n[far], nctx[far], code)
 
     def batch(row, p, g, n, nctx, code) -> pa.RecordBatch:
@@ -251,7 +254,11 @@ def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
     met = pair_losses(docs, shared).repartition("p").sortWithinPartitions("p", "g")
     pair, word = Window.partitionBy("p", "g"), Window.partitionBy("p")
     pairs, docs_rows = F.col("code") >= 0, (F.col("code") < 0) & (F.col("code") > LONE)
-    met = met.withColumns({"t": F.col("code") % 2, "h2": F.floor(F.col("code") / 2) % WIDE - 1, "h1": F.floor(F.col("code") / (2 * WIDE)) - 1})
+    both = F.col("code").isin(0, 1) & (F.col("g") == 1) & (F.col("p") < -1)
+    numbers = -2 - F.col("p")
+    h2 = F.when(both, F.pmod(numbers, F.lit(WIDE))).otherwise(F.floor(F.col("code") / 2) % WIDE - 1)
+    h1 = F.when(both, F.expr(f"(-2 - p) div {WIDE}")).otherwise(F.floor(F.col("code") / (2 * WIDE)) - 1)
+    met = met.withColumns({"t": F.col("code") % 2, "h2": h2, "h1": h1})
     met = met.withColumns({"c0": F.sum("n").over(pair), "c1": F.sum(F.col("n") * F.col("t")).over(pair)})
     met = met.withColumns({"w0": F.sum("n").over(word), "w1": F.sum(F.col("n") * F.col("t")).over(word)})
     places = np.arange(len(shared.words))

@@ -580,3 +580,10 @@ def test_top_k_with_repeated_query_rows(spark, copies):
     df = spark.createDataFrame(data, "vec_id long, v array<long>")
     got = [(r["rank"], r.vec_id, r.score) for r in neighbors.top_k(df.where("vec_id = 0"), df).orderBy("rank").collect()]
     assert got == [(i, i, 1000 * (1000 - 10 * i)) for i in range(1, 11)]
+
+
+def test_pairs_of_head_words_travel_as_numbers(spark):
+    docs = spark.createDataFrame([(1, "a b a b", True), (2, "a b", False)], "doc_id long, text string, in_target boolean")
+    shared = lmscore.Shared(stage(lmscore.counted(docs, np.zeros(0, np.uint64))), 100)
+    rows = lmscore.pair_losses(docs, shared).where("code >= 0").collect()
+    assert rows and all(r.p < -1 and r.g == 1 and r.code in (0, 1) for r in rows)
