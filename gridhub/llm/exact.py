@@ -9,16 +9,13 @@ their digest, and the bytes of both whole normalised texts are compared there.
 
 from __future__ import annotations
 
-import hashlib
-from collections.abc import Iterator
+from string import ascii_lowercase, ascii_uppercase
 
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from gridhub.llm.arrow import column, filled, text_slices
 from gridhub.llm.joins import BROADCAST_IDS, join_hot_apart
 from gridhub.plans.staging import stage
 
@@ -107,27 +104,19 @@ class FuseFilter:
         return cls(seed, segment, segments, np.frombuffer(data, np.uint8, offset=24))
 
 
-def _digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    row = TaskContext.get().partitionId() << 40
-    for part in text_slices(batches):
-        normal = [t.encode().lower() for t in filled(part).to_pylist()]  # bytes.lower touches A-Z only
-        n = part.num_rows
-        yield pa.RecordBatch.from_pydict({
-            "doc_id": column(part, "doc_id"), "row": pa.array(np.arange(row, row + n)), "sha": pa.array([hashlib.sha256(t).digest() for t in normal], pa.binary()),
-            "bytes": pa.array([len(t) for t in normal], pa.int64()), "normal": pa.array(normal, pa.binary()),
-        } | {c: column(part, c) for c in part.schema.names if c not in ("doc_id", "text")})
-        row += n
-
-
 def text_digests(docs: DataFrame, carry: tuple[str, ...] = ()) -> DataFrame:
     """``doc_id, row, sha, bytes, normal``: the whole text with A-Z lower-cased; null is empty.
 
     ``row`` numbers the input rows, so that repeated rows stay apart.  It is stable only
-    once the result is staged.  ``carry`` names further columns to keep.
+    once the result is staged.  ``carry`` names further columns to keep.  Texts stay in
+    Spark's own rows: no second copy of them waits in Arrow buffers or Python workers.
     """
-    kinds = dict(docs.dtypes)
-    schema = ", ".join(["doc_id long, row long, sha binary, bytes long, normal binary", *(f"`{c}` {kinds[c]}" for c in carry)])
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", *carry).mapInArrow(_digests, schema)
+    text = F.coalesce("text", F.lit(""))
+    ascii_only = F.length(text) == F.octet_length(text)  # there, lower() touches A-Z only and is faster
+    normal = F.when(ascii_only, F.lower(text)).otherwise(F.translate(text, ascii_uppercase, ascii_lowercase)).cast("binary")
+    kept = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.monotonically_increasing_id().alias("row"), normal.alias("normal"), *[F.col(f"`{c}`") for c in carry])
+    sha = F.unhex(F.sha2("normal", 256))
+    return kept.select("doc_id", "row", sha.alias("sha"), F.octet_length("normal").cast("long").alias("bytes"), "normal", *[F.col(f"`{c}`") for c in carry])
 
 
 def distinct_texts(digests: DataFrame) -> DataFrame:

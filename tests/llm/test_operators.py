@@ -493,6 +493,17 @@ def test_groups_match_a_plain_dict(spark, odd, parts):
     assert exact.dedup_documents(docs.where("doc_id < 0"), parts).count() == 0
 
 
+def test_digests_keep_texts_in_spark_s_rows(spark):
+    texts = [*ODD, "𝔸BC😀Z", "ＡＺ ẞ K Å", "ÀÉ ABC", "@AZ[`az{"]
+    found = exact.text_digests(frame(spark, texts, extra=True), carry=("n",))
+    assert "InArrow" not in found._jdf.queryExecution().executedPlan().toString()
+    got = found.collect()
+    for r in got:
+        normal = (texts[r.doc_id] or "").encode().lower()
+        assert (bytes(r.normal), bytes(r.sha), r.bytes, r.n) == (normal, hashlib.sha256(normal).digest(), len(normal), 1)
+    assert len({r.row for r in got}) == len(texts)
+
+
 # ---------------------------------------------------------------- top-k
 
 
