@@ -203,7 +203,7 @@ def score_texts(docs: DataFrame, model: SubwordModel, whole: bool = False) -> Da
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo: dict[str, float] = {}
-        for part in text_slices(batches):
+        for part in text_slices(read(batches)):
             bounds, flat = _words(filled(part))
             coded = flat.dictionary_encode()
             words = coded.dictionary.to_pylist()
@@ -218,9 +218,13 @@ def score_texts(docs: DataFrame, model: SubwordModel, whole: bool = False) -> Da
             yield pa.RecordBatch.from_pydict({kept: column(part, kept), "score": score})
 
     if whole:
-        kept, source = "doc", docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("doc"), "text")
+        kept, source = "doc", docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("doc"))
+        at = [c.lower() for c in docs.columns].index("text")
+        # the text goes to Python once, within its row
+        read = lambda batches: (pa.RecordBatch.from_arrays([b.column(0), b.column(0).field(at)], ["doc", "text"]) for b in batches)
         return source.mapInArrow(run, StructType([source.schema["doc"], StructField("score", DoubleType())]))
-    kept, source = "doc_id", docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    kept, read = "doc_id", iter
+    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return source.mapInArrow(run, "doc_id long, score double")
 
 

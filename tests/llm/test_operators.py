@@ -183,6 +183,18 @@ def test_scores_match_a_plain_scorer(spark, monkeypatch):
         assert got[i] == pytest.approx(1 / (1 + np.exp(-np.clip(logit, -30, 30))), abs=2e-6), t
 
 
+def test_whole_rows_send_their_text_once(spark, odd):
+    rng = np.random.default_rng(7)
+    model = toxicity.SubwordModel(rng.normal(0, 3, toxicity.BUCKETS).astype(np.float32), 0.3)
+    docs = odd.withColumn("doc", F.lit(1)).withColumnRenamed("text", "Text").select("Text", "doc", "doc_id", "lang")
+    found = toxicity.score_texts(docs, model, whole=True)
+    (sent,) = found._jdf.queryExecution().optimizedPlan().children().apply(0).output().mkString("|").split("|")
+    assert sent.startswith("doc#")
+    alone = {r.doc_id: r.score for r in toxicity.score_texts(odd, model).collect()}
+    assert {r.doc.doc_id: r.score for r in found.collect()} == alone
+    assert {r.doc.doc_id: r.doc.Text for r in found.collect()} == {r.doc_id: r.text for r in odd.collect()}
+
+
 def test_toxicity_without_labels(spark):
     docs = frame(spark, ["a", "b"])
     model = toxicity.train(docs, spark.createDataFrame([], "doc_id long, toxic int"))
