@@ -52,22 +52,46 @@ SIGNS = "!\"#$%&'()*+,-./:;<=>?@[\\]^_`{|}~"
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 #: Codes of rows: one of a document's two, and the step between first words' head numbers.
 LONE, WIDE = -(1 << 63), 1 << 25
+#: A first word's times below SMALL travel in a number's upper bytes.
+SMALL, UPPER = 1 << 14, 48
 
 
-def slice_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """(offsets per text, key of every word) of whole texts, lower-cased."""
+def slice_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    """(offsets per text, code of every word, sorted key of each code, START's code) of whole texts, lower-cased."""
     bounds, words = word_lists(pc.replace_substring_regex(pc.utf8_lower(texts), SPLIT, r" \1 "), unicode=True)
     coded = words.dictionary_encode()
-    keys = np.fromiter((xxhash.xxh64_intdigest(w.strip(SIGNS) or w) for w in coded.dictionary.to_pylist()), np.uint64, len(coded.dictionary))
-    return bounds, keys[coded.indices.to_numpy()]
+    hashed = np.fromiter((xxhash.xxh64_intdigest(w.strip(SIGNS) or w) for w in coded.dictionary.to_pylist()), np.uint64, len(coded.dictionary))
+    keys, code = np.unique(np.r_[hashed, START], return_inverse=True)  # words apart by their signs alone share a code
+    return bounds, code[coded.indices.to_numpy()], keys, int(code[-1])
 
 
-def _pairs(bounds: np.ndarray, words: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(first word, pair) keys at every word, and the text each word is in."""
-    first = np.r_[START, words[:-1]] if len(words) else words
+def _firsts(bounds: np.ndarray, words: np.ndarray, start: int) -> tuple[np.ndarray, np.ndarray]:
+    """Code of the word before every word, and the text each word is in."""
+    first = np.r_[start, words[:-1]] if len(words) else words
     sizes = np.diff(bounds)
-    first[bounds[:-1][sizes > 0]] = START
-    return first, first * _STEP ^ words, np.repeat(np.arange(len(sizes)), sizes)
+    first[bounds[:-1][sizes > 0]] = start
+    return first, np.repeat(np.arange(len(sizes)), sizes)
+
+
+def _pair_keys(keys: np.ndarray, first: np.ndarray, words: np.ndarray) -> np.ndarray:
+    return keys[first] * _STEP ^ keys[words]
+
+
+def _distinct(by: np.ndarray, first: np.ndarray, words: np.ndarray, kinds: int) -> tuple[np.ndarray, ...]:
+    """Distinct (by, first, word), sorted, how often each comes, and how often its (by, first)."""
+    if len(by) and (int(by.max()) + 1) * kinds * kinds < 1 << 63:  # one sort of plain numbers
+        whole = np.sort((by * kinds + first) * kinds + words)
+        new = np.flatnonzero(np.r_[True, whole[1:] != whole[:-1]])
+        head, w = np.divmod(whole[new], kinds)
+        x, f = np.divmod(head, kinds)
+    else:
+        order = np.lexsort((words, first, by))
+        x, f, w = by[order], first[order], words[order]
+        new = np.flatnonzero(np.r_[True, (x[1:] != x[:-1]) | (f[1:] != f[:-1]) | (w[1:] != w[:-1])][: len(x)])
+        x, f, w = x[new], f[new], w[new]
+    n = np.diff(np.r_[new, len(by)])
+    group = np.cumsum(np.r_[True, (x[1:] != x[:-1]) | (f[1:] != f[:-1])][: len(x)]) - 1
+    return x, f, w, n, np.bincount(group, n).astype(np.int64)[group]
 
 
 class _Tally:
@@ -100,8 +124,10 @@ def frequent_pairs(docs: DataFrame) -> np.ndarray:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tally = _Tally(1)
         for part in text_slices(batches, limit=WORD_SLICE):
-            _, pair, _ = _pairs(*slice_words(filled(part)))
-            tally.add(pair, np.ones(len(pair)))
+            bounds, words, keys, start = slice_words(filled(part))
+            first, text = _firsts(bounds, words, start)
+            _, f, w, n, _ = _distinct(np.zeros_like(text), first, words, len(keys))
+            tally.add(_pair_keys(keys, f, w), n)
             if (found := tally.take()) is not None:
                 yield batch(*found)
         if (found := tally.take(True)) is not None:
@@ -128,13 +154,16 @@ def counted(docs: DataFrame, hot: np.ndarray) -> DataFrame:
         words_in, pairs_in = _Tally(4), _Tally(2)
         table = KeyTable(sent.value)
         for part in text_slices(batches, limit=WORD_SLICE):
-            bounds, words = slice_words(filled(part))
-            first, pair, text = _pairs(bounds, words)
+            bounds, words, keys, start = slice_words(filled(part))
+            first, text = _firsts(bounds, words, start)
             flag = column(part, "in_target").to_numpy(zero_copy_only=False).astype(np.int64)[text]
-            one, none = np.ones(len(words), np.int64), np.zeros(len(words), np.int64)
-            words_in.add(np.r_[words, first], np.r_[one, none], np.r_[flag, none], np.r_[none, one], np.r_[none, flag])
+            sums = [np.bincount(c, w, len(keys)) for c in (words, first) for w in (None, flag)]
+            seen = sums[0] + sums[2] > 0
+            words_in.add(keys[seen], *[c[seen] for c in sums])
+            mine, f, w, n, _ = _distinct(flag, first, words, len(keys))
+            pair = _pair_keys(keys, f, w)
             known = table.find(pair) >= 0
-            pairs_in.add(pair[known], one[known], flag[known])
+            pairs_in.add(pair[known], n[known], (n * mine)[known])
             for kind, tally in ((0, words_in), (1, pairs_in)):
                 if (found := tally.take()) is not None:
                     yield batch(kind, *found)
@@ -173,10 +202,21 @@ class Shared:
             self.unigram.append(np.r_[own, other] / (mass + max(1, kinds)))
 
 
+def upper(times: np.ndarray) -> np.ndarray:
+    """Numbers below SMALL in the upper bytes, next to the number behind them; others as they are."""
+    return np.where(times < SMALL, times << UPPER, times)
+
+
+def from_upper(name: str) -> F.Column:
+    """What ``upper`` was given; no text has 2**UPPER words."""
+    return F.when(F.col(name) >= 1 << UPPER, F.shiftright(name, UPPER)).otherwise(F.col(name))
+
+
 def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
     """Rows of documents with their hot pairs settled, and one a document and other pair.
 
-    All go through one exchange as ``row, p, g, n, nctx, code``.  A pair's row: its
+    All go through one exchange as ``n, nctx, p, row, g, code``: what varies lies side by
+    side, which compresses, and for that ``upper`` moves a pair's ``nctx``.  A pair's row: its
     document's row, ``p`` where it meets its likes (the first word's key, or the pair's if
     that is a head word), ``g`` the pair's key in the first case, its times ``n`` and its
     first word's times ``nctx`` in the document, and ``code``: head numbers of both words
@@ -192,20 +232,16 @@ def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
         head, hot = KeyTable(s.words), KeyTable(s.pairs)
         row = TaskContext.get().partitionId() << 33
         for part in text_slices(batches, limit=WORD_SLICE):
-            bounds, words = slice_words(filled(part))
-            first, pair, text = _pairs(bounds, words)
+            bounds, words, keys, start = slice_words(filled(part))
+            first, text = _firsts(bounds, words, start)
             many = part.num_rows
             rows, row = row + np.arange(many), row + many
             flag = column(part, "in_target").to_numpy(zero_copy_only=False).astype(np.int64)
-            order = np.lexsort((pair, first, text))
-            f, g, x = first[order], pair[order], text[order]
-            new_first = np.r_[True, (f[1:] != f[:-1]) | (x[1:] != x[:-1])] if len(f) else np.zeros(0, bool)
-            new = np.flatnonzero(new_first | np.r_[True, g[1:] != g[:-1]] if len(f) else new_first)
-            n = np.diff(np.r_[new, len(f)])
-            nctx = np.diff(np.r_[np.flatnonzero(new_first), len(f)])[np.cumsum(new_first)[new] - 1] if len(f) else n
-            f, g, x, w = f[new], g[new], x[new], words[order[new]]
-            h1, h2, at = head.find(f), head.find(w), hot.find(g)
-            near = np.flatnonzero((h1 >= 0) & (at >= 0))
+            x, f, w, n, nctx = _distinct(text, first, words, len(keys))
+            place, g = head.find(keys), _pair_keys(keys, f, w)
+            h1, h2, at, f = place[f], place[w], hot.find(g), keys[f]
+            settled = (h1 >= 0) & (at >= 0)
+            near = np.flatnonzero(settled)
             sums = []
             for model in (0, 1):
                 own = n[near] if model == 0 else n[near] * flag[x[near]]
@@ -218,22 +254,22 @@ def pair_losses(docs: DataFrame, shared: Shared) -> DataFrame:
             yield batch(rows, rows, column(part, "doc_id"), np.diff(bounds), sums[0], -1 - sums[1])
             nothing = np.zeros(many, np.int64)
             yield batch(rows, rows, pa.nulls(many, pa.int64()), lone, nothing, np.full(many, LONE))
-            far = np.setdiff1d(np.arange(len(n)), near, assume_unique=True)
+            far = np.flatnonzero(~settled)
             common, both = h1[far] >= 0, (h1[far] >= 0) & (h2[far] >= 0)
             numbers = h1[far].astype(np.int64), h2[far].astype(np.int64)
             meet = np.where(both, -2 - (numbers[0] * WIDE + numbers[1]), np.where(common, g[far], f[far]).view(np.int64))
             code = np.where(both, 0, ((numbers[0] + 1) * WIDE + numbers[1] + 1) * 2) + flag[x[far]]
             pair_key = np.where(both, 1, np.where(common, 0, g[far].view(np.int64)))
-            by = np.argsort(meet, kind="stable")  # alike rows side by side compress
+            by = np.argsort(meet)  # alike rows side by side compress
             far, meet, pair_key, code = far[by], meet[by], pair_key[by], code[by]
-            yield batch(rows[x[far]], meet, pa.array(pair_key), n[far], nctx[far], code)
+            yield batch(rows[x[far]], meet, pa.array(pair_key), n[far], upper(nctx[far]), code)
 
     def batch(row, p, g, n, nctx, code) -> pa.RecordBatch:
-        whole = {"row": row, "p": p, "g": g, "n": n, "nctx": nctx, "code": code}
+        whole = {"n": n, "nctx": nctx, "p": p, "row": row, "g": g, "code": code}
         return pa.RecordBatch.from_pydict({c: v.cast(pa.int64()) if isinstance(v, pa.Array) else pa.array(np.asarray(v, np.int64)) for c, v in whole.items()})
 
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", "in_target")
-    return source.mapInArrow(run, "row long, p long, g long, n long, nctx long, code long")
+    return source.mapInArrow(run, "n long, nctx long, p long, row long, g long, code long")
 
 
 def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
@@ -269,7 +305,7 @@ def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
     def loss(model: int) -> F.Column:
         own = F.lit(1) if model == 0 else F.col("t")
         c = F.col(f"c{model}") - F.col("n") * own
-        total = F.coalesce(f"f{model}", F.col(f"w{model}").cast("double")) - F.col("nctx") * own
+        total = F.coalesce(f"f{model}", F.col(f"w{model}").cast("double")) - from_upper("nctx") * own
         bits = -F.log2((c + ALPHA * F.col(f"u{model}")) / (total + ALPHA))
         return F.col("n") * F.round(bits * UNIT).cast("long")
 

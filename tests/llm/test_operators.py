@@ -477,6 +477,30 @@ def test_weighted_phases_send_everything():
     assert np.array(parts).sum(0).tolist() == totals and parts[0][0] == 100 and abs(parts[0][1] - 50) <= 1
 
 
+@pytest.mark.parametrize("kinds", [9, 1 << 40])
+def test_distinct_pairs_match_a_plain_count(kinds):
+    rng = np.random.default_rng(8)
+    for n in (0, 1, 500):
+        by, first, words = np.sort(rng.integers(0, 6, n)), rng.integers(0, 9, n), rng.integers(0, 9, n)
+        plain, heads = Counter(zip(by, first, words)), Counter(zip(by, first))
+        x, f, w, times, ctx = lmscore._distinct(by, first, words, kinds)
+        assert list(zip(x, f, w)) == sorted(plain)
+        assert [plain[k] for k in zip(x, f, w)] == times.tolist() and [heads[k] for k in zip(x, f)] == ctx.tolist()
+
+
+def test_times_come_back_from_upper_bytes(spark):
+    times = np.array([1, 2, lmscore.SMALL - 1, lmscore.SMALL, lmscore.SMALL + 1, 1 << 31, 1 << 40])
+    sent = spark.createDataFrame(pa.table({"nctx": lmscore.upper(times), "is": times}))
+    assert sent.where(lmscore.from_upper("nctx") != F.col("is")).isEmpty()
+    assert (lmscore.upper(times)[:3] >= 1 << lmscore.UPPER).all()
+
+
+def test_words_apart_by_signs_share_a_code():
+    bounds, words, keys, start = lmscore.slice_words(pa.array(["Cat cat, (cat)", "", "dog"]))
+    assert bounds.tolist() == [0, 3, 3, 4] and len(set(words[:3])) == 1 and words[3] not in (words[0], start)
+    assert [int(k) for k in keys[words[[0, 3]]]] == [xxhash.xxh64_intdigest(w) for w in ("cat", "dog")] and keys[start] == lmscore.START
+
+
 # ---------------------------------------------------------------- exact dedup
 
 
