@@ -13,7 +13,7 @@ import regex
 import xxhash
 from pyspark.sql import functions as F
 
-from gridhub.llm import chat, exact, grams, joins, lmscore, mixing, neighbors, packing, quality, simhash, tokens, toxicity
+from gridhub.llm import chat, exact, grams, joins, lmscore, mixing, neighbors, overlap, packing, quality, simhash, tokens, toxicity
 from gridhub.llm.arrow import word_lists
 from gridhub.plans.staging import stage
 
@@ -122,6 +122,41 @@ def test_golay_code_covers():
     assert home.sum() == 3 and len(own) == len(anchor)
 
 
+def test_crowded_buckets_are_compared_without_dealing_every_shingle(spark, monkeypatch):
+    def never(*_):
+        raise AssertionError("all shingles of the crowd were dealt once more")
+
+    monkeypatch.setattr(overlap, "rare_buckets", never)
+    monkeypatch.setattr(overlap, "COMMON_IN", 10**9)  # the passage stays among the first shingles
+    rng = np.random.default_rng(11)
+    passage, texts = [f"p{i}" for i in range(60)], []
+    for i in range(30):
+        own = [f"u{i}x{j}" for j in range(60)]
+        texts.append(passage + own)
+        if i % 2:
+            at = int(rng.integers(10, 50))
+            texts.append(passage + own[:at] + ["other"] + own[at + 1 :])
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in texts]
+    least = [min(j for j, b in enumerate(sets) if 10 * len(a & b) >= 8 * len(a | b)) for a in sets]
+    docs = frame(spark, [" ".join(w) for w in texts])
+    assert {r.doc_id: r.component_id for r in overlap.similar_texts(docs).collect()} == dict(enumerate(least))
+
+
+def test_bucket_pairs_carries_buckets_across_batches(spark):
+    bins = bytes(range(16)), bytes(range(15, -1, -1))  # far apart
+    known = spark.createDataFrame([(k, bytearray(bins[k % 2]) if k % 5 else bytearray()) for k in range(90)], "key long, bins binary")
+    rows = [(t, k, 200 if k < 80 else 90, k if k % 7 else 0) for t in (-5, 3, 8) for k in range(90) if (k + t) % 4]
+    near = lambda a, b: not (a % 5 and b % 5) or a % 2 == b % 2
+    root = lambda k: k if k % 7 else 0
+    want = {(a, b) for t, a, n, _ in rows for u, b, m, _ in rows if t == u and a < b and n == m and root(a) != root(b) and near(a, b)}
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 7)
+    try:
+        found = overlap.bucket_pairs(spark.createDataFrame(rows, "token long, key long, n long, root long"), known, 80).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert {(r.src, r.dst) for r in found} == want
+
+
 # ---------------------------------------------------------------- toxicity
 
 
