@@ -56,12 +56,21 @@ LONE, WIDE = -(1 << 63), 1 << 25
 SMALL, UPPER = 1 << 14, 48
 
 
+def word_keys(words: pa.Array) -> np.ndarray:
+    """Key of each word, which does not depend on the signs at its ends."""
+    bare = pc.utf8_trim(words, SIGNS)
+    held = pc.if_else(pc.equal(pc.binary_length(bare), 0), words, bare).cast(pa.large_binary())
+    _, ends, data = held.buffers()
+    ends = np.frombuffer(ends, np.int64)[held.offset : held.offset + len(held) + 1].tolist() if len(held) else [0]
+    line, digest = data.to_pybytes() if data else b"", xxhash.xxh64_intdigest
+    return np.fromiter((digest(line[a:b]) for a, b in zip(ends, ends[1:])), np.uint64, len(held))
+
+
 def slice_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
     """(offsets per text, code of every word, sorted key of each code, START's code) of whole texts, lower-cased."""
     bounds, words = word_lists(pc.replace_substring_regex(pc.utf8_lower(texts), SPLIT, r" \1 "), unicode=True)
     coded = words.dictionary_encode()
-    hashed = np.fromiter((xxhash.xxh64_intdigest(w.strip(SIGNS) or w) for w in coded.dictionary.to_pylist()), np.uint64, len(coded.dictionary))
-    keys, code = np.unique(np.r_[hashed, START], return_inverse=True)  # words apart by their signs alone share a code
+    keys, code = np.unique(np.r_[word_keys(coded.dictionary), START], return_inverse=True)  # words apart by their signs alone share a code
     return bounds, code[coded.indices.to_numpy()], keys, int(code[-1])
 
 
@@ -292,18 +301,21 @@ def cross_entropy_difference(docs: DataFrame, head: int = HEAD) -> DataFrame:
     pairs, docs_rows = F.col("code") >= 0, (F.col("code") < 0) & (F.col("code") > LONE)
     both = F.col("code").isin(0, 1) & (F.col("g") == 1) & (F.col("p") < -1)
     numbers = -2 - F.col("p")
-    h2 = F.when(both, F.pmod(numbers, F.lit(WIDE))).otherwise(F.floor(F.col("code") / 2) % WIDE - 1)
-    h1 = F.when(both, F.expr(f"(-2 - p) div {WIDE}")).otherwise(F.floor(F.col("code") / (2 * WIDE)) - 1)
-    met = met.withColumns({"t": F.col("code") % 2, "h2": h2, "h1": h1})
-    met = met.withColumns({"c0": F.sum("n").over(pair), "c1": F.sum(F.col("n") * F.col("t")).over(pair)})
-    met = met.withColumns({"w0": F.sum("n").over(word), "w1": F.sum(F.col("n") * F.col("t")).over(word)})
+    bits, last = WIDE.bit_length() - 1, F.lit(WIDE - 1).cast("long")
+    h2 = F.when(both, numbers.bitwiseAND(last)).otherwise(F.shiftright("code", 1).bitwiseAND(last) - 1)
+    h1 = F.when(both, F.shiftright(numbers, bits)).otherwise(F.shiftright("code", bits + 1) - 1)
+    t = F.col("code").bitwiseAND(F.lit(1).cast("long"))
+    met = met.withColumn("n_t", F.col("n") * t)  # all that the windows carry besides the rows
+    met = met.withColumns({"c0": F.sum("n").over(pair), "c1": F.sum("n_t").over(pair)})
+    met = met.withColumns({"w0": F.sum("n").over(word), "w1": F.sum("n_t").over(word)})
+    met = met.withColumns({"h2": h2, "h1": h1})
     places = np.arange(len(shared.words))
     firsts = spark.createDataFrame(pa.table({"f_id": places, "f0": shared.firsts[0], "f1": shared.firsts[1]}))
     unigram = spark.createDataFrame(pa.table({"u_id": np.r_[places, -1], "u0": shared.unigram[0], "u1": shared.unigram[1]}))
     met = met.join(F.broadcast(firsts), F.col("h1") == F.col("f_id"), "left").join(F.broadcast(unigram), F.col("h2") == F.col("u_id"), "left")  # HEAD rows at most
 
     def loss(model: int) -> F.Column:
-        own = F.lit(1) if model == 0 else F.col("t")
+        own = F.lit(1) if model == 0 else t
         c = F.col(f"c{model}") - F.col("n") * own
         total = F.coalesce(f"f{model}", F.col(f"w{model}").cast("double")) - from_upper("nctx") * own
         bits = -F.log2((c + ALPHA * F.col(f"u{model}")) / (total + ALPHA))

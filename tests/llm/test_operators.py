@@ -412,6 +412,19 @@ def test_key_table_finds_every_key():
     assert (grams.KeyTable(keys[:0]).find(keys) == -1).all()
 
 
+def test_words_are_hashed_without_a_string_each(monkeypatch):
+    words = ["one", "(one)", "...", "'stuff'", "é", "日本", "a--b", "", "#né!", "x" * 9000]
+    want = [xxhash.xxh64_intdigest(w.strip(lmscore.SIGNS) or w) for w in words]
+    for some, hashes in ((pa.array(words), want), (pa.array(words).slice(3, 4), want[3:7]), (pa.array([], pa.string()), []), (pa.array([""]), want[7:8])):
+        assert lmscore.word_keys(some).tolist() == hashes
+
+
+def test_windows_of_pair_losses_carry_no_numbers_of_words(spark, capsys):
+    lmscore.cross_entropy_difference(frame(spark, ODD).withColumn("in_target", F.col("doc_id") < 4)).explain("formatted")
+    windows = [x for x in capsys.readouterr().out.split("\n\n") if re.match(r"\(\d+\) Window", x)]
+    assert len(windows) == 2 and not any(re.search(r"\b(h1|h2|t)#|_w\d+#", x) for x in windows)
+
+
 # ---------------------------------------------------------------- tokens, packing
 
 
