@@ -157,6 +157,81 @@ def test_bucket_pairs_carries_buckets_across_batches(spark):
     assert {(r.src, r.dst) for r in found} == want
 
 
+def _roots(n, edges):
+    own = list(range(n))
+
+    def find(i):
+        while own[i] != i:
+            i = own[i]
+        return i
+
+    for a, b in edges:
+        a, b = find(a), find(b)
+        own[max(a, b)] = min(a, b)
+    return [find(i) for i in range(n)]
+
+
+@pytest.mark.parametrize("task_bucket, block_keys", [(512, 2048), (512, 7), (20, 2048), (20, 7)])
+def test_texts_about_a_passage_are_compared_without_a_row_a_pair(spark, monkeypatch, task_bucket, block_keys):
+    written, real = [], overlap.stage
+
+    def counted(df, name="t", *more):
+        out = real(df, name, *more)
+        if name in ("pair", "likely", "true"):
+            written.append(out.count())
+        return out
+
+    monkeypatch.setattr(overlap, "stage", counted)
+    monkeypatch.setattr(overlap, "COMMON_IN", 10**9)  # the passage stays among the first shingles
+    monkeypatch.setattr(overlap, "TASK_BUCKET", task_bucket)
+    monkeypatch.setattr(overlap, "BLOCK_KEYS", block_keys, raising=False)
+    rng = np.random.default_rng(29)
+    passage = [f"p{i}" for i in range(60)]
+    texts = [passage + [f"u{i}x{j}" for j in range(int(rng.integers(4, 12)))] for i in range(90)]
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in texts]
+    close = [(i, j) for j in range(len(sets)) for i in range(j) if 10 * len(sets[i] & sets[j]) >= 8 * len(sets[i] | sets[j])]
+    assert len(close) > 5 * len(texts)
+    docs = frame(spark, [" ".join(w) for w in texts])
+    assert {r.doc_id: r.component_id for r in overlap.similar_texts(docs).collect()} == dict(enumerate(_roots(len(texts), close)))
+    if block_keys > len(texts):  # blocks give as many rows a key as there are blocks
+        assert max(written) <= 2 * len(texts)
+
+
+@pytest.mark.parametrize("block_keys", [2048, 9])
+def test_bucket_groups_joins_what_bucket_pairs_pairs(spark, monkeypatch, block_keys):
+    monkeypatch.setattr(overlap, "BLOCK_KEYS", block_keys)
+    rng = np.random.default_rng(31)
+    sets, kind = [], [np.unique(rng.integers(0, 2**63, n).astype(np.uint64)) for n in (230, 240, 250, 270, 60)]
+    for i in range(80):  # sketches of 256 and 512 bits
+        s = kind[i % 5].copy()
+        s[rng.integers(0, len(s), i % 30)] = rng.integers(0, 2**63, i % 30).astype(np.uint64)
+        sets.append(np.unique(s))
+    known = spark.createDataFrame([(k, bytearray(overlap.sketch(s))) for k, s in enumerate(sets)], "key long, bins binary")
+    rows = [(t, k, len(sets[k]), k % 40 if k % 3 else k, 60) for t in (-4, 9) for k in range(80) if (k + t) % 7]
+    df = spark.createDataFrame(rows, "token long, key long, n long, root long, held long")
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 11)
+    try:
+        pairs = [(r.src, r.dst) for r in overlap.bucket_pairs(df, known, 80).collect()]
+        edges = [(r.src, r.dst) for r in overlap.bucket_groups(df, known, 80).collect()]
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert len(pairs) > 300 and _roots(80, edges) == _roots(80, pairs)
+    assert {k for e in edges for k in e} == {k for p in pairs for k in p}
+    if block_keys > 80:
+        assert len(edges) < 2 * 80
+
+
+def test_sketches_never_exceed_the_symmetric_difference():
+    rng = np.random.default_rng(37)
+    for n in (1, 40, 255, 256, 300, 2100):
+        a = np.unique(rng.integers(0, 2**63, n).astype(np.uint64))
+        for m in (0, n // 10, n):
+            b = np.unique(np.r_[a[m:], rng.integers(0, 2**63, n // 5).astype(np.uint64)])
+            far = len(np.setxor1d(a, b))
+            bound = overlap.distances([overlap.sketch(a), overlap.sketch(b)], [overlap.sketch(b), overlap.sketch(b)])
+            assert bound[1] == 0 and bound[0] <= far and (far + bound[0]) % 2 == 0 and (m == n or far // 2 <= bound[0])
+
+
 # ---------------------------------------------------------------- toxicity
 
 
