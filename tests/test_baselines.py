@@ -192,6 +192,55 @@ def test_many_groups_of_kmeans_are_found_from_few_passes(many_groups, monkeypatc
     assert len(passes) < 40 and max(passes) < 3600
 
 
+def test_kmeans_computes_its_input_a_few_times_only(spark, many_groups):
+    seen = spark.sparkContext.accumulator(0)
+
+    def counted(batches):
+        for pdf in batches:
+            seen.add(len(pdf))
+            yield pdf
+
+    found = B.kmeans(many_groups.mapInPandas(counted, many_groups.schema), AXES, 300)
+    assert found.count() == 3600 and seen.value <= 5 * 3600
+
+
+@pytest.mark.parametrize("dim", [1, 2, 3])
+def test_runs_of_points_find_the_nearest_of_all_centres(dim, monkeypatch):
+    rng = np.random.default_rng(dim)
+    centres = np.concatenate([rng.normal(0, 1, (200, dim)), rng.uniform(-50, 50, (300, dim)), rng.integers(-3, 3, (100, dim))])
+    x = np.concatenate([rng.normal(0, 1, (3000, dim)), rng.integers(-3, 3, (900, dim)), rng.normal(9, 0.01, (999, dim)), rng.uniform(-400, 400, (60, dim))])
+    x = x[np.lexsort((x[:, -1], np.floor(x[:, 0])))]
+    all_pairs = ((x[:, None] - centres[None]) ** 2).sum(2)
+    for few, chunk in ((128, 256), (3, 7)):
+        monkeypatch.setattr(Nearest, "FEW", few)
+        monkeypatch.setattr(Nearest, "CHUNK", chunk)
+        for find in (Nearest(centres).along, Nearest(centres).find):
+            found, d2 = find(x)
+            assert (found == all_pairs.argmin(1)).all() and np.allclose(d2, all_pairs.min(1))
+
+
+def test_runs_far_from_all_centres_meet_few_of_them(monkeypatch):
+    rng = np.random.default_rng(3)
+    near, met, single = Nearest(rng.uniform(0, 100, (20000, 2))), [], []
+    facing, find = Nearest._facing, Nearest.find
+    monkeypatch.setattr(Nearest, "_facing", lambda self, low, high: met.append(facing(self, low, high)) or met[-1])
+    monkeypatch.setattr(Nearest, "find", lambda self, x: single.append(len(x)) or find(self, x))
+    near.along(np.sort(rng.uniform(300, 310, (6400, 2)), 0))
+    assert max(map(len, met)) < 200 and sum(single) < 640
+
+
+def test_blocks_hold_every_point_once_and_neighbours_together(spark, monkeypatch):
+    monkeypatch.setattr(partition, "BLOCK", 100)
+    monkeypatch.setattr(partition, "FILE", 450)
+    rng = np.random.default_rng(5)
+    x = np.concatenate([rng.uniform(0, 9, (1500, 2)), [[4.0, 4.0]] * 700, [[1e6, -1e6]]])
+    rows = spark.createDataFrame([(float(a), float(b)) for a, b in x], "x double, y double").repartition(3)
+    blocks = list(partition._unpacked(partition._blocks(partition._scan(rows, AXES)).toArrow().to_batches(), 2))
+    held = np.concatenate(blocks)
+    assert max(map(len, blocks)) <= 100 and (held[np.lexsort(held.T)] == x[np.lexsort(x.T)]).all()
+    assert np.median([np.ptp(b, axis=0).prod() for b in blocks]) < 12
+
+
 def test_minibatch_starts_hold_no_table_of_all_pairs(many_groups, monkeypatch):
     monkeypatch.setattr(Nearest, "TABLE", 1)
     assert pair_scores(B.minibatch_kmeans(many_groups, AXES, 300), "hub", "label").first().ari >= 0.97
